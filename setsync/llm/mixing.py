@@ -8,7 +8,7 @@ it takes whole passes first and then blocks in seeded order. The words between a
 target move to shards with room, so a source meets its target to the word.
 
 Defined cases: null texts and texts of white space have size 0 and take 0; the null source comes
-last; ties in the seeded order fall to the id, the size, then any order of equal rows; repeated rows
+last; ties in the seeded order fall to the id, the size, the text's hash, then any order of equal rows; repeated rows
 are documents of their own; empty tables give no rows.
 """
 
@@ -29,6 +29,7 @@ SEED = "mix-1"
 #: A prime above any number of blocks in a shard: its multiples run through all of them.
 STRIDE = 2_654_435_761
 WORD = r"[^\x20\x09-\x0D]+"
+SPACE = r"[\x20\x09-\x0D]"
 
 
 def seeded(*parts: Column) -> Column:
@@ -106,24 +107,33 @@ def shard_words(sizes: DataFrame, targets: DataFrame, block: int = BLOCK, cap: i
     return first.select("source", "shard", "shard_size", (F.col("_take") + F.signum("_more").cast("long") * step).alias("take"))
 
 
-def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", block: int = BLOCK, shard_rows: int = SHARD_ROWS) -> DataFrame:
-    """``doc_id, source, size, source_size, target, taken, first, rest``: what the mix takes of each row.
+def mix(
+    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source",
+    block: int = BLOCK, shard_rows: int = SHARD_ROWS, carry: bool = False,
+) -> DataFrame:
+    """``doc_id, source, size, source_size, target, taken, passes, parts``: what the mix takes of each row.
 
-    ``taken = passes * size + words of chosen blocks``; blocks that begin or end inside a document
-    take a part of it.
+    ``taken`` is ``passes`` times the size plus the words of ``parts`` (first word and number of words
+    in the row); blocks that begin or end inside a document take a part of it. ``carry`` adds the row
+    of ``docs`` as the struct ``_row``.
     """
     # Sizes are needed three times and are narrow; texts are read once.
-    rows = cut(docs.select(
+    wide = docs.select(
         F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"),
         F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("long").alias("size"),
-    ))
+        F.xxhash64(text_col).alias("_tie"), *([F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")] if carry else []),
+    )
+    rows = cut(wide.drop("_row"))
     targets = cut(source_targets(rows))
     few = targets.select(F.col("source").alias("_source"), "source_size", "target", F.ceil(F.col("n_docs") / shard_rows).cast("long").alias("_shards"))
-    placed = rows.join(few, F.col("source").eqNullSafe(F.col("_source"))).drop("_source").withColumn("_key", seeded(F.col("doc_id")))
-    placed = placed.withColumn("shard", F.pmod("_key", F.col("_shards")))
-    quotas = shard_words(placed, targets, block).select(F.col("source").alias("_source"), F.col("shard").alias("_shard"), "shard_size", "take")
-    order = W.partitionBy("source", "shard").orderBy("_key", "doc_id", "size").rowsBetween(W.unboundedPreceding, W.currentRow)
-    run = placed.withColumn("_to", F.sum("size").over(order)).withColumn("_from", F.col("_to") - F.col("size"))
+
+    def dealt(frame: DataFrame) -> DataFrame:
+        known = frame.join(few, F.col("source").eqNullSafe(F.col("_source"))).drop("_source").withColumn("_key", seeded(F.col("doc_id")))
+        return known.withColumn("shard", F.pmod("_key", F.col("_shards")))
+
+    quotas = shard_words(dealt(rows), targets, block).select(F.col("source").alias("_source"), F.col("shard").alias("_shard"), "shard_size", "take")
+    order = W.partitionBy("source", "shard").orderBy("_key", "doc_id", "size", "_tie").rowsBetween(W.unboundedPreceding, W.currentRow)
+    run = dealt(wide if carry else rows).withColumn("_to", F.sum("size").over(order)).withColumn("_from", F.col("_to") - F.col("size"))
     run = run.join(quotas, F.col("source").eqNullSafe(F.col("_source")) & (F.col("shard") == F.col("_shard")))
     whole = F.floor(F.col("shard_size") / block)
     passes = F.when(F.col("shard_size") > 0, F.floor(F.col("take") / F.col("shard_size"))).otherwise(0)
@@ -150,9 +160,27 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     return run.withColumn("parts", parts).select(
         "doc_id", "source", "size", "source_size", "target",
         (F.col("_passes") * F.col("size") + F.coalesce(F.aggregate("parts", F.lit(0).cast("long"), lambda s, p: s + p["n"]), F.lit(0))).cast("long").alias("taken"),
-        F.when(F.col("size") > 0, F.col("_passes")).otherwise(0).alias("passes"), "parts",
+        F.when(F.col("size") > 0, F.col("_passes")).otherwise(0).alias("passes"), "parts", *(["_row"] if carry else []),
     )
 
 
+def mixed_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """The mix as rows with the columns of ``docs``: a copy for each pass and one for each part that a block takes.
+
+    A part keeps its words and the white space after each. ``n_chars``, if there, follows the text.
+    """
+    taken = mix(docs, id_col, text_col, source_col, carry=True).where("taken > 0")
+    text = F.col(f"_row.{text_col}")
+    spelled = F.regexp_extract_all(text, F.lit(f"({WORD}{SPACE}*)"), F.lit(1))
+    cutting = F.col("taken") % F.col("size") != 0
+    words = F.when(cutting, spelled)
+    parts = F.transform("parts", lambda p: F.array_join(F.slice(F.col("_spelled"), (p["at"] + 1).cast("int"), p["n"].cast("int")), ""))
+    copies = F.array_repeat(text, F.floor(F.col("taken") / F.col("size")).cast("int"))
+    whole = taken.withColumn("_spelled", words).withColumn("_texts", F.when(cutting, F.concat(copies, parts)).otherwise(copies))
+    rows = whole.select("_row", F.explode("_texts").alias("_text"))
+    new = {text_col: F.col("_text"), "n_chars": F.length("_text").cast("long")}
+    return rows.select(*[new.get(c, F.col(f"_row.`{c}`")).alias(c) for c in docs.columns])
+
+
 def op6_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")

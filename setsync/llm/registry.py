@@ -7,10 +7,16 @@ from importlib import import_module
 
 #: Query name -> module of this subpackage that defines it.
 MODULES = {
+    "op1_license_scan": "licenses",
+    "op2_embedding_neardup": "covertree",
+    "op3_secret_scan": "secrets",
+    "op4_chat_format": "chat",
     "op5_bestfit_pack": "packing",
     "op6_mix_sources": "mixing",
+    "op7_fingerprint": "piecewise",
     "op8_simhash_neardup": "simhash",
     "op9_token_counts": "tokens",
+    "op10_toxicity": "toxicity",
 }
 
 

@@ -279,6 +279,16 @@ def simhash_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     return prints.join(labels, "fp").select("doc_id", "fp", "component_id")
 
 
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
+    """The rows of ``docs``, all columns kept, that name their group; of rows that repeat an id, one."""
+    groups = cut(simhash_groups(docs, id_col, text_col, radius).where("doc_id is not null"))
+    names = groups.where("doc_id = component_id").groupBy(F.col("doc_id").alias("_name")).agg(F.count("*").alias("_copies"))
+    kept = docs.join(names.select("_name"), (F.col(id_col) == F.col("_name")), "left_semi")
+    if names.where("_copies > 1").limit(1).count():
+        kept = kept.dropDuplicates([id_col])
+    return kept.unionByName(docs.where(F.col(id_col).isNull()))
+
+
 def op8_simhash_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash_groups(table(spark, sf_dir, "documents"))
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
