@@ -1,13 +1,432 @@
-"""All queries of the engine by name, each (spark, folder) -> DataFrame, and their SQL twins."""
+"""All queries of the engine by name, each (spark, folder) -> DataFrame, and their SQL twins.
+
+Queries that other engines check use the portable dialect; those that decode use portable digests as
+elements and the fast dialect inside, so their results are comparable too.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from setsync import oracles
+from setsync.operators import cells, estimators, filters, parity, peel, semijoin, slices, syndrome, transfer, xortable
+from setsync.plans import advisor, hybrid, ledger, static_hybrid, sweep
+from setsync.plans.costs import leak_cost_bits
+from setsync.sources import workloads
+from setsync.sources.elements import LEFT, RIGHT, digests, table
+from setsync.streaming import cell_stream, slice_stream
+
+POINTS = [0.0, 20.0, 50.0, 85.0, 95.0, 100.0]
+FEW = [50.0, 95.0]
+CLOSE = [95.0, 99.0]
+PREFIX_1, PREFIX_2 = 13, 24
+RATES = [0.01, 0.25]
+COARSE = [0.01, 0.05, 0.1, 0.2, 0.35, 0.5]
+CELLS = 32
+MOMENT_CELLS = 64
+CUTS = ["2024-01-10", "2024-01-20", "2024-01-29"]
+NATURAL = {"orders": None, "part": None, "documents": None, "pages": None, "conversations": None, "embeddings": None}
+
+
+def swept(points: list[float]):
+    def pair(spark: SparkSession, folder: str, n: int | None = None) -> DataFrame:
+        return workloads.lineitem_sweep(spark, folder, points, dialect="portable", n=n)[0]
+
+    return pair
+
+
+def replica_pair_sizes(spark, folder):
+    return transfer.set_sizes(swept(POINTS)(spark, folder))
+
+
+def jaccard_sweep(spark, folder):
+    pair, runs = workloads.lineitem_sweep(spark, folder, workloads.FULL_RANGE, dialect="portable")
+    return transfer.set_sizes(pair).join(F.broadcast(runs.select("run_id", "similarity_pct")), "run_id").select("similarity_pct", "d", "jaccard")
+
+
+def exact_difference(spark, folder):
+    return transfer.exact_difference(swept(FEW)(spark, folder))
+
+
+def slice_bits(spark, folder):
+    left = swept(FEW)(spark, folder).where(F.col("side") == LEFT)
+    return slices.build_slices(left, 0, 1, 1, dialect="portable").drop("shard")
+
+
+def slice_fill(spark, folder):
+    left = swept(FEW)(spark, folder).where(F.col("side") == LEFT)
+    words = slices.build_slices(left, 0, 3, 1, dialect="portable")
+    per = words.groupBy("run_id", "slice", "m").agg(F.sum(F.bit_count("bits")).cast("long").alias("set_bits"))
+    return per.withColumn("fill", F.round(F.col("set_bits") / F.col("m"), 6))
+
+
+def first_phase(spark, folder, points=POINTS):
+    pair = swept(points)(spark, folder)
+    left, right = pair.where(F.col("side") == LEFT), pair.where(F.col("side") == RIGHT)
+    return left, hybrid.run_phase(left, right, 1, dialect="portable", prefix=PREFIX_1)
+
+
+def second_phase(spark, folder, points=POINTS):
+    left, first = first_phase(spark, folder, points)
+    suspects = first.status.where("suspect").drop("first_miss", "suspect")
+    return first, hybrid.run_phase(suspects, left, 2, dialect="portable", prefix=PREFIX_2)
+
+
+def phase1_histogram(spark, folder):
+    return first_phase(spark, folder)[1].histogram
+
+
+def phase1_stop(spark, folder):
+    return first_phase(spark, folder)[1].stops
+
+
+def phase2_histogram(spark, folder):
+    return second_phase(spark, folder)[1].histogram
+
+
+def phase2_stop(spark, folder):
+    return second_phase(spark, folder)[1].stops
+
+
+def hybrid_metadata(spark, folder):
+    first, second = second_phase(spark, folder)
+    kept = [p.status.where("suspect").groupBy("run_id", "digest").agg(F.lit(s).alias("s")) for p, s in ((first, 1), (second, -1))]
+    leaks = kept[0].unionByName(kept[1]).groupBy("run_id", "digest").agg(F.sum("s").alias("s")).where("s <> 0").groupBy("run_id").agg(F.count("*").alias("leaks"))
+    sent = lambda p, k: p.stops.select("run_id", (F.col("stop") + 1).alias(f"slices_{k}"), ((F.col("stop") + 1) * F.ceil(F.col("m") / 8)).cast("long").alias(f"bytes_{k}"))
+    per = sent(first, 1).join(sent(second, 2), "run_id", "left").join(leaks, "run_id", "left").na.fill(0)
+    return per.withColumn("metadata_bytes", F.round(F.col("bytes_1") + F.col("bytes_2") + F.col("leaks") * leak_cost_bits() / 8, 3))
+
+
+def differences(found: DataFrame) -> DataFrame:
+    return found.select("run_id", F.col("digest").cast("long").alias("digest"), F.col("side").cast("int").alias("side"))
+
+
+def hybrid_result(spark, folder):
+    return differences(hybrid.difference_found(hybrid.synchronise(swept(POINTS)(spark, folder).persist())))
+
+
+def converged_union(spark, folder):
+    pair = swept(POINTS)(spark, folder).persist()
+    found = hybrid.difference_found(hybrid.synchronise(pair)).select("run_id", "digest", "side")
+    both = pair.select("run_id", "digest", F.col("side").cast("int").alias("side")).unionByName(found.withColumn("side", -F.col("side")))
+    per = both.distinct().groupBy("run_id", "side").agg(F.count("*").alias("n"), F.sum(F.pmod("digest", F.lit(1_000_003))).alias("digest_sum"))
+    return per
+
+
+def hybrid_sharded(spark, folder):
+    pair = swept(FEW)(spark, folder).withColumn("shard", F.pmod("digest", F.lit(8)).cast("int")).persist()
+    return differences(hybrid.difference_found(hybrid.synchronise(pair, stop="shard", in_shards=True)))
+
+
+def hybrid_natural(spark, folder):
+    parts = []
+    for name in NATURAL:
+        base = digests(table(spark, folder, name), None, "fast")
+        parts.append(workloads.threshold_pair(base, 80.0, run_id=name))
+    pair = parts[0]
+    for p in parts[1:]:
+        pair = pair.unionByName(p)
+    return sweep.converged(pair.persist(), hybrid.synchronise(pair))
+
+
+def hybrid_bytes(spark, folder):
+    pair = swept(POINTS)(spark, folder).persist()
+    return ledger.summarise(hybrid.hybrid_ledger(pair, hybrid.synchronise(pair)))
+
+
+def hybrid_turn_based(spark, folder):
+    pair = swept(FEW)(spark, folder).persist()
+    trace = hybrid.synchronise(pair)
+    both = [hybrid.hybrid_ledger(pair, trace, mode="turn_based").withColumn("mode", F.lit("turn_based")), hybrid.hybrid_ledger(pair, trace, latency_slices=1).withColumn("mode", F.lit("continuous"))]
+    return both[0].unionByName(both[1]).where("is_metadata").groupBy("run_id", "mode").agg(F.sum("bytes").alias("metadata_bytes"), F.sum("messages").alias("messages"))
+
+
+def effective_rates(spark, folder):
+    return hybrid.effective_rate(first_phase(spark, folder)[1])
+
+
+def static_filter_fpr(spark, folder):
+    pair = swept([0.0, 50.0])(spark, folder)
+    left, right = pair.where(F.col("side") == LEFT), pair.where(F.col("side") == RIGHT)
+    sizes = filters.sizes_for(left, RATES)
+    probed = filters.probe_filter(right, filters.build_filter(left, sizes, 1, "portable"), sizes, 1, "portable")
+    outside = probed.join(left.select("run_id", "digest"), ["run_id", "digest"], "left_anti")
+    return outside.groupBy("run_id", "eps").agg(F.count("*").alias("non_members"), F.sum(F.col("passes").cast("long")).alias("passed"))
+
+
+def static_hybrid_bytes(spark, folder):
+    return static_hybrid.static_counts(swept(FEW)(spark, folder), RATES, "portable").select("run_id", "eps", "bits_1", "bits_2", "leaks", "wanted")
+
+
+def best_static_eps(spark, folder):
+    return static_hybrid.best_static(swept(FEW)(spark, folder), COARSE, "portable")
+
+
+def static_hybrid_result(spark, folder):
+    return differences(static_hybrid.static_hybrid(swept(FEW)(spark, folder).persist(), 0.05))
+
+
+def partitioned_equals_slices(spark, folder):
+    pair = swept(FEW)(spark, folder)
+    left, right = pair.where(F.col("side") == LEFT), pair.where(F.col("side") == RIGHT)
+    probed = filters.probe_partitioned(right, left, 3, "portable")
+    return probed.groupBy("run_id").agg(F.count("*").alias("tested"), F.sum(F.col("passes").cast("long")).alias("passed"))
+
+
+def xortable_cells(spark, folder):
+    return xortable.build_table(swept(CLOSE)(spark, folder), 300, 3, "portable").drop("shard")
+
+
+def xortable_result(spark, folder):
+    # Twice as many cells as the 5,128 and 1,006 differences at most; the table is sized by the known d.
+    return differences(xortable.table_reconcile(swept(CLOSE)(spark, folder), 9000, 3).where("decoded and digest is not null"))
+
+
+def cell_prefix(spark, folder):
+    return cells.difference_cells(swept(CLOSE)(spark, folder), CELLS, "portable").drop("shard")
+
+
+def cell_stream_result(spark, folder):
+    pair = swept(CLOSE)(spark, folder).persist()
+    return differences(hybrid.reconcile_cells(pair, 2000, exact_prefix=False).where("digest is not null"))
+
+
+def relational_peel_result(spark, folder):
+    pair = swept([99.0])(spark, folder).persist()
+    size = 4096
+    return differences(peel.peel_relational(cells.difference_cells(pair, size), size).where("decoded"))
+
+
+def cells_per_diff(spark, folder):
+    pair = swept([90.0, 95.0, 98.0, 99.0, 99.9])(spark, folder).persist()
+    got = hybrid.reconcile_cells(pair, 4000)
+    per = got.groupBy("run_id").agg(F.max("cells_used").alias("cells"), F.count("digest").alias("d"))
+    return per.withColumn("cells_per_diff", F.col("cells") / F.col("d"))
+
+
+def maintained_cells(spark, folder):
+    left = swept([95.0])(spark, folder).where(F.col("side") == LEFT).drop("payload_bytes")
+    leaves = F.pmod("digest", F.lit(10)) == 0
+    old = cells.build_cells(left.where(F.pmod("digest", F.lit(7)) != 0), 0, CELLS, "portable")
+    changes = left.where(leaves).where(F.pmod("digest", F.lit(7)) != 0).withColumn("change", F.lit(-1))
+    changes = changes.unionByName(left.where(~leaves).where(F.pmod("digest", F.lit(7)) == 0).withColumn("change", F.lit(1)))
+    return cells.maintain_cells(old, changes, CELLS, "portable").drop("shard")
+
+
+def syndrome_bytes(spark, folder):
+    sizes = transfer.set_sizes(swept(POINTS)(spark, folder))
+    return ledger.summarise(syndrome.sketch_ledger(sizes))
+
+
+def syndrome_result(spark, folder):
+    pair = swept([98.0])(spark, folder, n=2000).withColumn("shard", F.pmod("digest", F.lit(16)).cast("int"))
+    return differences(syndrome.syndrome_sketch(pair, 14).where("decoded and digest is not null"))
+
+
+def parity_round1_bins(spark, folder):
+    return parity.parity_bins(swept(CLOSE)(spark, folder), 200, 127, 1, "portable").where("parity = 1").select("run_id", "grp", "bin", "id_xor")
+
+
+def estimated(spark, folder, points):
+    pair = swept(points)(spark, folder).persist()
+    return pair, estimators.sign_sum_estimate(pair).select("run_id", F.col("d_safe").alias("d_hat"))
+
+
+def parity_result(spark, folder):
+    pair, d_hat = estimated(spark, folder, POINTS)
+    return differences(parity.parity_groups(pair, d_hat)[0])
+
+
+def parity_bytes(spark, folder):
+    pair, d_hat = estimated(spark, folder, [50.0, 85.0, 95.0])
+    return ledger.summarise(parity.parity_ledger(transfer.set_sizes(pair), parity.parity_groups(pair, d_hat)[1]))
+
+
+def sign_sum_estimate(spark, folder):
+    return estimators.sign_sum_estimate(swept(POINTS)(spark, folder), dialect="portable")
+
+
+def cell_moment_estimate(spark, folder):
+    diff = cells.difference_cells(swept(FEW)(spark, folder), MOMENT_CELLS, "portable")
+    return estimators.cell_moment_estimate(diff, MOMENT_CELLS).select("run_id", F.round("d_hat", 3).alias("d_hat"))
+
+
+def sketch_estimates(spark, folder):
+    pair = swept(POINTS)(spark, folder).persist()
+    both = estimators.hll_difference_estimate(pair).withColumn("estimator", F.lit("hll"))
+    return both.unionByName(estimators.theta_difference_estimate(pair).withColumn("estimator", F.lit("theta")))
+
+
+def subset_difference(spark, folder):
+    events = table(spark, folder, "events")
+    pair = None
+    for c in CUTS:
+        one = workloads.lagging_pair(events, c, "portable")
+        pair = one if pair is None else pair.unionByName(one)
+    return estimators.subset_difference_size(pair)
+
+
+def full_transfer_bytes(spark, folder):
+    return ledger.summarise(transfer.full_transfer_ledger(transfer.set_sizes(swept(POINTS)(spark, folder))))
+
+
+def digest_exchange_bytes(spark, folder):
+    return ledger.summarise(transfer.digest_exchange_ledger(transfer.set_sizes(swept(POINTS)(spark, folder))))
+
+
+def plain_measures(spark, folder):
+    pair, runs = workloads.lineitem_sweep(spark, folder, workloads.FULL_RANGE, dialect="portable")
+    sizes = transfer.set_sizes(pair).persist()
+    rows = transfer.full_transfer_ledger(sizes).unionByName(transfer.digest_exchange_ledger(sizes)).unionByName(syndrome.sketch_ledger(sizes))
+    return sweep.measures(ledger.summarise(rows), pair, runs)
+
+
+def overhead_by_similarity(spark, folder):
+    return plain_measures(spark, folder).select("method", "similarity_pct", "d", "total_bytes", "minimum_bytes", F.round("overhead_ratio", 6).alias("overhead_ratio"))
+
+
+def crossover(spark, folder):
+    rows = plain_measures(spark, folder).persist()
+    return sweep.crossover(rows, "full_transfer", "syndrome_sketch").unionByName(sweep.crossover(rows, "full_transfer", "digest_exchange"))
+
+
+def bytes_by_kind(spark, folder):
+    sizes = transfer.set_sizes(swept(POINTS)(spark, folder)).persist()
+    return ledger.by_kind(transfer.full_transfer_ledger(sizes).unionByName(syndrome.sketch_ledger(sizes)))
+
+
+def experiment_static(spark, folder):
+    pair, runs = workloads.lineitem_sweep(spark, folder, [0.0, 50.0, 85.0, 100.0])
+    pair = pair.persist()
+    rows = hybrid.hybrid_ledger(pair, hybrid.synchronise(pair)).unionByName(static_hybrid.static_ledger(pair, sweep.STATIC_RATES))
+    return sweep.measures(ledger.summarise(rows), pair, runs)
+
+
+def experiment_all(spark, folder):
+    return sweep.experiment(spark, folder, [0.0, 30.0, 60.0, 85.0, 95.0, 99.0])
+
+
+def experiment_high(spark, folder):
+    return sweep.experiment(spark, folder, [85.0, 90.0, 95.0, 97.5, 99.5, 100.0])
+
+
+def operation_counts(spark, folder):
+    pair = swept(POINTS)(spark, folder).persist()
+    return sweep.operation_counts(pair, hybrid.synchronise(pair))
+
+
+def joins(spark, folder):
+    urgent = table(spark, folder, "orders").where("o_orderpriority = '1-URGENT'").select(F.col("o_orderkey").alias("k"))
+    lines = table(spark, folder, "lineitem").select(F.col("l_orderkey").alias("k"), "l_linenumber", "l_partkey", "l_suppkey")
+    return lines, urgent
+
+
+def key_semijoin(spark, folder):
+    lines, urgent = joins(spark, folder)
+    return semijoin.ship_all(lines, urgent, "k").traffic.unionByName(semijoin.key_semijoin(lines, urgent, "k").traffic)
+
+
+def filter_semijoin(spark, folder):
+    lines, urgent = joins(spark, folder)
+    return semijoin.filter_semijoin(lines, urgent, "k", 0.01, "portable").traffic.unionByName(semijoin.filter_semijoin(lines, urgent, "k", 0.25, "portable").traffic)
+
+
+def sliced_semijoin_trace(spark, folder):
+    lines, urgent = joins(spark, folder)
+    return semijoin.sliced_trace(lines, urgent, "k", "portable")[1].where("slice < 5").drop("run_id")
+
+
+def sliced_semijoin_join(spark, folder):
+    lines, urgent = joins(spark, folder)
+    return semijoin.joined(semijoin.sliced_semijoin(lines, urgent, "k"), urgent, "k")
+
+
+def lagging_replica_events(spark, folder):
+    events = table(spark, folder, "events")
+    pair = None
+    for c in CUTS:
+        one = workloads.lagging_pair(events, c, "portable")
+        pair = one if pair is None else pair.unionByName(one)
+    return transfer.set_sizes(pair).select("run_id", "n_a", "n_b", "d", F.round("jaccard", 9).alias("jaccard"))
+
+
+def outage_events(spark, folder):
+    pair = workloads.outage_pair(table(spark, folder, "events"), ("2024-01-05", "2024-01-08"), ("2024-01-20", "2024-01-22")).persist()
+    found = hybrid.difference_found(hybrid.synchronise(pair))
+    return found.groupBy("side").agg(F.count("*").alias("n"))
+
+
+def worked_ranges(spark, folder):
+    pair = workloads.integer_ranges(spark, (1, 100_001), (3, 100_003))
+    return differences(xortable.table_reconcile(pair, 60, 3).where("decoded and digest is not null"))
+
+
+def windowed_cells(spark, folder):
+    events = table(spark, folder, "events").select("ts", "event_id")
+    both = events.withColumn("side", F.lit(LEFT)).where("event_id % 50 <> 0").unionByName(events.withColumn("side", F.lit(RIGHT)))
+    cell0 = cell_stream.windowed_cells(both.withColumn("ts", F.col("ts").cast("timestamp")), 64).where("cell = 0")
+    return cell0.select("run_id", F.col("cnt").alias("missing"))
+
+
+def session_sizes(spark, folder):
+    events = table(spark, folder, "events").select(F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_id", F.lit(RIGHT).alias("side"))
+    per = cell_stream.session_sizes(events, "1 hour")
+    return per.agg(F.count("*").alias("sessions"), F.sum("n").alias("events"), F.max("n").alias("largest"))
+
+
+def latest_user_events(spark, folder):
+    return cell_stream.latest_state(table(spark, folder, "events"), "user_id", "2024-01-15").select("user_id", "event_id")
+
+
+def stream_slices(spark, folder):
+    from setsync.sources.messages import ensure_checkpoints, shared_table
+
+    ensure_checkpoints(spark)
+    pair = swept([50.0])(spark, folder).persist()
+    path = shared_table(spark, "sent-slices")
+    slice_stream.write_slices(pair.where(F.col("side") == LEFT), path, 0, 9)
+    state = slice_stream.stream_slices(spark, path, pair.where(F.col("side") == RIGHT), leak_cost_bits())
+    return spark.createDataFrame([(*r, state.stop, state.overshoot) for r in state.trace], "slice int, new_rejects long, m long, stop int, overshoot int")
+
+
+def probe_then_sync(spark, folder):
+    return differences(advisor.probe_then_sync(swept(POINTS)(spark, folder).persist())[0])
+
+
+def advise(spark, folder):
+    rows = [(d, *advisor.advise(100_000, d)) for d in (10, 1000, 10_526, 66_666, 200_000)] + [(-1, *advisor.advise(100_000, None))]
+    return spark.createDataFrame(rows, "d long, method string, metadata_bytes double")
+
+
+def wide_digest_difference(spark, folder):
+    from setsync.sources.elements import wide_digests
+
+    orders = table(spark, folder, "orders").select("o_orderkey", "o_custkey")
+    old, new = wide_digests(orders.where("o_orderkey % 10 <> 0")), wide_digests(orders)
+    return new.join(old, "digest", "left_anti").agg(F.count("*").alias("only_right"))
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    f.__name__: f
+    for f in (
+        replica_pair_sizes, jaccard_sweep, exact_difference, slice_bits, slice_fill, phase1_histogram, phase1_stop, phase2_histogram, phase2_stop,
+        hybrid_metadata, hybrid_result, converged_union, hybrid_sharded, hybrid_natural, hybrid_bytes, hybrid_turn_based, effective_rates,
+        static_filter_fpr, static_hybrid_bytes, best_static_eps, static_hybrid_result, partitioned_equals_slices, xortable_cells, xortable_result,
+        cell_prefix, cell_stream_result, relational_peel_result, cells_per_diff, maintained_cells, syndrome_bytes, syndrome_result,
+        parity_round1_bins, parity_result, parity_bytes, sign_sum_estimate, cell_moment_estimate, sketch_estimates, subset_difference,
+        full_transfer_bytes, digest_exchange_bytes, overhead_by_similarity, crossover, bytes_by_kind, experiment_static, experiment_all, experiment_high,
+        operation_counts, key_semijoin, filter_semijoin, sliced_semijoin_trace, sliced_semijoin_join, lagging_replica_events, outage_events,
+        worked_ranges, windowed_cells, session_sizes, latest_user_events, stream_slices, probe_then_sync, advise, wide_digest_difference,
+    )
+}
+
 
 def queries() -> dict[str, Callable]:
-    return {}
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return oracles.all_sql()
