@@ -29,11 +29,15 @@ from pyspark.sql import functions as F
 from setsync.llm.shared import connected_components, cut, stored, table
 
 COSINE = 0.98
-#: Distinct vectors that the upper levels are built from, over all labels, and the fewest a label may send.
-ANCHORS = 2048
+#: Distinct vectors that the upper levels are built from, over all labels, at most; a label sends four for each full cell.
+ANCHORS = 8192
 #: Home vectors of a cell in one group.
 CELL_ROWS = 4000
 LEAF = 24
+#: Children of a node at most; pairs of points that two nodes compare at once; pairs in one matrix.
+FANOUT = 64
+SMALL = 1 << 14
+DENSE = 1 << 21
 SLACK = 1e-9
 
 
@@ -57,37 +61,29 @@ def upper_levels(points: np.ndarray, least: float) -> np.ndarray:
 
 
 class Node:
-    __slots__ = ("points", "centre", "radius", "children")
-
-    def __init__(self, points: np.ndarray, centre: np.ndarray, radius: float):
-        self.points, self.centre, self.radius, self.children = points, centre, radius, []
-
-
-def cover_tree(vectors: np.ndarray, points: np.ndarray, radius: float = 2.0) -> Node:
-    """Nested covers of halving radius down to ``LEAF`` points or to points that coincide.
-
-    A node's ``radius`` is measured: the largest distance from its centre to any of its points.
-    """
-
-    def node(points: np.ndarray) -> Node:
-        gaps = vectors[points] - vectors[points[0]]
-        return Node(points, vectors[points[0]], float(np.sqrt((gaps * gaps).sum(1).max())))
-
-    root = node(points)
-    work = [root]
-    while work:
-        at = work.pop()
-        if len(at.points) <= LEAF or at.radius < 1e-7:
-            continue
-        scale, left = at.radius / 2, at.points
-        while len(left):
-            gaps = vectors[left] - vectors[left[0]]
-            inside = (gaps * gaps).sum(1) <= scale * scale
-            child = node(left[inside])
-            at.children.append(child)
-            work.append(child)
-            left = left[~inside]
-    return root
+    """Points with a centre and their measured covering radius; children halve it, made when first asked for."""
+
+    __slots__ = ("points", "centre", "radius", "made")
+
+    def __init__(self, vectors: np.ndarray, points: np.ndarray):
+        self.points, self.centre, self.made = points, vectors[points[0]], None
+        gaps = vectors[points] - self.centre
+        self.radius = float(np.sqrt((gaps * gaps).sum(1).max()))
+
+    def children(self, vectors: np.ndarray) -> list["Node"]:
+        """Covers of half the radius; none for a leaf: few points, coinciding ones, or ones too spread for a cover of ``FANOUT``."""
+        if self.made is None:
+            self.made = []
+            if len(self.points) > LEAF and self.radius > 1e-7:
+                parts, left, scale = [], self.points, self.radius / 2
+                while len(left) and len(parts) < FANOUT:
+                    gaps = vectors[left] - vectors[left[0]]
+                    inside = (gaps * gaps).sum(1) <= scale * scale
+                    parts.append(left[inside])
+                    left = left[~inside]
+                if not len(left):
+                    self.made = [Node(vectors, p) for p in parts]
+        return self.made
 
 
 def dual_links(vectors: np.ndarray, weights: np.ndarray, homes: np.ndarray, others: np.ndarray, cosine: float = COSINE) -> tuple[np.ndarray, list[tuple[int, int]]]:
@@ -99,17 +95,23 @@ def dual_links(vectors: np.ndarray, weights: np.ndarray, homes: np.ndarray, othe
     counts = np.zeros(len(vectors), np.int64)
     parent = np.arange(len(vectors))
 
-    def find(x: int) -> int:
-        while parent[x] != x:
-            parent[x] = x = parent[parent[x]]
-        return x
-
     def tie(members: np.ndarray) -> None:
-        roots = sorted({find(int(x)) for x in members})
+        roots = parent[members]
+        while len(up := np.flatnonzero(parent[roots] != roots)):
+            roots[up] = parent[roots[up]]
+        roots = np.unique(roots)
         parent[roots] = roots[0]
 
+    def compare(a: np.ndarray, b: np.ndarray) -> None:
+        for at in range(0, len(a), max(1, DENSE // len(b))):
+            rows = a[at : at + max(1, DENSE // len(b))]
+            near = (vectors[rows] @ vectors[b].T >= cosine) | (rows[:, None] == b[None, :])
+            counts[rows] += near @ weights[b]
+            for k in np.flatnonzero(near.sum(1) > (rows[:, None] == b[None, :]).any(1)):
+                tie(np.append(b[near[k]], rows[k]))
+
     if len(homes) and len(others):
-        work = [(cover_tree(vectors, homes), cover_tree(vectors, others))]
+        work = [(Node(vectors, homes), Node(vectors, others))]
         while work:
             a, b = work.pop()
             gap = float(np.linalg.norm(a.centre - b.centre))
@@ -119,21 +121,23 @@ def dual_links(vectors: np.ndarray, weights: np.ndarray, homes: np.ndarray, othe
             if gap + spread < reach - SLACK:
                 counts[a.points] += weights[b.points].sum()
                 tie(np.concatenate([a.points, b.points]))
-            elif not a.children and not b.children:
-                near = vectors[a.points] @ vectors[b.points].T >= cosine
-                same = a.points[:, None] == b.points[None, :]
-                near |= same
-                counts[a.points] += near @ weights[b.points]
-                for row in np.flatnonzero((near & ~same).any(1)):
-                    tie(np.append(b.points[near[row]], a.points[row]))
-            elif not b.children or (a.children and a.radius >= b.radius):
-                work += [(child, b) for child in a.children]
+            elif len(a.points) * len(b.points) <= SMALL:
+                compare(a.points, b.points)
+            elif a.radius >= b.radius and (below := a.children(vectors)):
+                work += [(child, b) for child in below]
+            elif below := b.children(vectors):
+                work += [(a, child) for child in below]
+            elif below := a.children(vectors):
+                work += [(child, b) for child in below]
             else:
-                work += [(a, child) for child in b.children]
+                compare(a.points, b.points)
     # A vector is among its own neighbours where the other side holds it.
-    counts[np.intersect1d(homes, others)] -= weights[np.intersect1d(homes, others)]
-    roots = [find(x) for x in range(len(vectors))]
-    return counts[homes], [(x, r) for x, r in enumerate(roots) if x != r]
+    shared = np.intersect1d(homes, others)
+    counts[shared] -= weights[shared]
+    while (parent[parent] != parent).any():
+        parent = parent[parent]
+    linked = np.flatnonzero(parent != np.arange(len(vectors)))
+    return counts[homes], list(zip(linked.tolist(), parent[linked].tolist()))
 
 
 def spots_task(anchors: dict, chunks: dict | None, reach: float):
@@ -152,26 +156,33 @@ def spots_task(anchors: dict, chunks: dict | None, reach: float):
                 x, centres = unit(raw), anchors[(label, dim)]
                 square = np.maximum(0, 2 - 2 * x @ centres.T)
                 home = square.argmin(1)
+                if chunks is None:
+                    cells, sizes = np.unique(home, return_counts=True)
+                    out.append((np.full(len(cells), label), np.full(len(cells), dim), cells, sizes))
+                    continue
                 between = np.sqrt(np.maximum(1e-300, 2 - 2 * centres @ centres.T))
                 plane = (square - square[np.arange(len(x)), home][:, None]) / (2 * between[home])
                 visits = plane <= reach + SLACK
                 visits[np.arange(len(x)), home] = True
-                if chunks is None:
-                    out += [(label, dim, int(c), 1) for c in home]
-                    continue
-                for k, (rep, weight, vec) in enumerate(zip(own.rep.tolist(), own.weight.tolist(), own.vec)):
-                    for c in np.flatnonzero(visits[k]).tolist():
-                        n = chunks.get((label, dim, c), 1)
-                        part = hash((rep, 11)) % n
-                        if c == home[k]:
-                            out += [(label, dim, c, part, other, True, part == other, rep, weight, vec) for other in range(n)]
-                            out += [(label, dim, c, other, part, False, True, rep, weight, vec) for other in range(n) if other != part]
-                        else:
-                            out += [(label, dim, c, other, part, False, True, rep, weight, vec) for other in range(n)]
+                rep = own.rep.to_numpy(np.int64)
+                rows, cells = np.nonzero(visits)
+                many = np.array([chunks.get((label, dim, c), 1) for c in range(len(centres))], np.int64)
+                # Of a cell in n chunks, group (i, j) has the home vectors of chunk i and all vectors of chunk j.
+                chunk = (rep[rows] * 2_654_435_761 % (1 << 31)) % many[cells]
+                at_home = cells == home[rows]
+                groups = np.repeat(np.arange(len(rows)), many[cells])
+                turn = np.arange(len(groups)) - np.repeat(np.cumsum(many[cells]) - many[cells], many[cells])
+                as_home = at_home[groups]
+                spots = [(groups, turn, chunk[groups], as_home & (turn == chunk[groups]), np.ones(len(groups), bool))]
+                extra = as_home & (turn != chunk[groups])
+                spots.append((groups[extra], chunk[groups[extra]], turn[extra], np.ones(extra.sum(), bool), np.zeros(extra.sum(), bool)))
+                for g, part, other, is_home, target in spots:
+                    n = len(g)
+                    out.append((np.full(n, label), np.full(n, dim), cells[g], part, other, is_home, target, rep[rows[g]], own.weight.to_numpy(np.int64)[rows[g]], own.vec.to_numpy()[rows[g]]))
             names = ["label", "dim", "cell", "n"] if chunks is None else ["label", "dim", "cell", "part", "other", "home", "target", "rep", "weight", "vec"]
             types = [pa.int64()] * 4 if chunks is None else [pa.int64()] * 5 + [pa.bool_()] * 2 + [pa.int64()] * 2 + [pa.binary()]
-            cols = list(zip(*out)) or [()] * len(names)
-            yield pa.record_batch([pa.array(c, t) for c, t in zip(cols, types)], names=names)
+            for cols in out:
+                yield pa.record_batch([pa.array(c, t) for c, t in zip(cols, types)], names=names)
 
     return run
 
@@ -209,14 +220,17 @@ def link_vectors(vectors: DataFrame, cosine: float = COSINE, anchors: int = ANCH
     if not per_label:
         return rows.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
     share = max(1, anchors // per_label)
-    chosen = packed.withColumn("_turn", F.row_number().over(W.partitionBy("label", "dim").orderBy(F.xxhash64("rep"), "rep"))).where(F.col("_turn") <= share).drop("_turn")
+    most = W.partitionBy("label", "dim").orderBy(F.xxhash64("rep"), "rep")
+    wanted = packed.groupBy("label", "dim").agg(F.least(F.lit(share), F.ceil(F.count("*") / F.lit(cell_rows / 4))).alias("_want"))
+    chosen = packed.withColumn("_turn", F.row_number().over(most)).where(F.col("_turn") <= share).join(wanted, ["label", "dim"]).where("_turn <= _want").drop("_turn", "_want")
     centres: dict = {}
     for (label, dim), own in chosen.toPandas().groupby(["label", "dim"]):
         points = unit(np.stack([np.frombuffer(v, "<f8") for v in own.sort_values("rep").vec]))
         centres[(label, dim)] = points[upper_levels(points, reach)]
     spread = packed.mapInArrow(spots_task(centres, None, reach), "label long, dim long, cell long, n long")
-    sizes = spread.groupBy("label", "dim", "cell").count().where(F.col("count") > cell_rows).collect()
-    chunks = {(r.label, r.dim, r.cell): -(-r["count"] // cell_rows) for r in sizes}
+    # At most ``anchors`` cells, so at most as many rows reach the driver.
+    sizes = spread.groupBy("label", "dim", "cell").agg(F.sum("n").alias("rows")).where(F.col("rows") > cell_rows).collect()
+    chunks = {(r.label, r.dim, r.cell): -(-r["rows"] // cell_rows) for r in sizes}
     spots = packed.mapInArrow(spots_task(centres, chunks, reach), "label long, dim long, cell long, part long, other long, home boolean, target boolean, rep long, weight long, vec binary")
     found = cut(spots.groupBy("label", "dim", "cell", "part", "other").applyInPandas(group_task(cosine), "a long, b long, n long"))
     counts = found.where("b is null").groupBy(F.col("a").alias("rep")).agg(F.sum("n").alias("links"))
