@@ -7,18 +7,23 @@ The steps are correctly rounded operations in a fixed order: the column form and
 
 from __future__ import annotations
 
+from math import log
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from setsync.functions.hashing import DIALECTS, draw_np
 
-#: Draws after which a sequence has left any prefix used here (about 2 ln M are needed; the chance is below 1e-18).
-MOST_STEPS = 80
+def enough_steps(cells: int) -> int:
+    """Draws after which a sequence has left the prefix: about 2 ln M on average; to need this many has a chance under 1e-12."""
+    return min(cells, 24 + int(6 * log(cells / 2 + 1)))
 
 
-def cell_positions(digest: Column, cells: Column | int, dialect: str = "fast", steps: int = MOST_STEPS) -> Column:
+def cell_positions(digest: Column, cells: Column | int, dialect: str = "fast", steps: int | None = None) -> Column:
     """The digest's cells below ``cells``, rising, as an array."""
+    steps = steps or (80 if isinstance(cells, Column) else enough_steps(cells))
     limit = (cells if isinstance(cells, Column) else F.lit(cells)).cast("long")
     draw = DIALECTS[dialect].draw
 
@@ -87,8 +92,34 @@ def subtract_cells(left: DataFrame, right: DataFrame) -> DataFrame:
     return both.select(*keys, xor("ia", "ib").alias("id_xor"), xor("ca", "cb").alias("check_xor"), (F.coalesce("nb", zero) - F.coalesce("na", zero)).alias("cnt"))
 
 
+def cell_kernel(high: int):
+    """Partial difference cells of each batch and scope: what would be a row per contribution is added up before it moves."""
+
+    def run(batches):
+        from setsync.operators.peel import Cells
+
+        for batch in batches:
+            pdf = batch.to_pandas()
+            for (run_id, shard), own in pdf.groupby(["run_id", "shard"], sort=False):
+                box = Cells(high)
+                box.add(own.digest.to_numpy(np.int64), own.side.to_numpy(np.int64))
+                at = np.flatnonzero((box.ids != 0) | (box.checks != 0) | (box.counts != 0))
+                yield pa.record_batch(
+                    [pa.array([run_id] * len(at), pa.string()), pa.array(np.full(len(at), shard, np.int32)), pa.array(at, pa.int64()), pa.array(box.ids[at].view(np.int64)), pa.array(box.checks[at].view(np.int64)), pa.array(box.counts[at])],
+                    names=["run_id", "shard", "cell", "id_xor", "check_xor", "cnt"],
+                )
+
+    return run
+
+
 def difference_cells(elements: DataFrame, high: Column | int, dialect: str = "fast") -> DataFrame:
-    """The same in one aggregation over both sides: common elements cancel."""
+    """The same in one aggregation over both sides: common elements cancel.
+
+    With a fixed prefix and the fast dialect each batch adds its elements up in memory first.
+    """
+    if dialect == "fast" and isinstance(high, int):
+        parts = elements.select("run_id", "shard", "digest", F.col("side").cast("int").alias("side")).mapInArrow(cell_kernel(high), "run_id string, shard int, cell long, id_xor long, check_xor long, cnt long")
+        return parts.groupBy("run_id", "shard", "cell").agg(F.bit_xor("id_xor").alias("id_xor"), F.bit_xor("check_xor").alias("check_xor"), F.sum("cnt").alias("cnt"))
     rows = contributions(elements, high, dialect)
     return rows.groupBy("run_id", "shard", "cell").agg(F.bit_xor("digest").alias("id_xor"), F.bit_xor("chk").alias("check_xor"), F.sum(F.col("side").cast("long")).alias("cnt"))
 

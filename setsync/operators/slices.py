@@ -86,7 +86,9 @@ def test_in_shards(source: DataFrame, suspects: DataFrame, first: int, last: int
     def grouped(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         return kernel(a, b)
 
-    return source.select(*SCOPE, "digest").groupBy(*SCOPE).cogroup(suspects.groupBy(*SCOPE)).applyInPandas(grouped, schema)
+    # Fresh names, as both sides may come from one frame.
+    apart = source.select(*SCOPE, "digest").toDF("run_id_", "shard_", "digest").groupBy("run_id_", "shard_")
+    return apart.cogroup(suspects.groupBy(*SCOPE)).applyInPandas(grouped, schema)
 
 
 def rejects_by_slice(tested: DataFrame, sizes: DataFrame, last: int, per: list[str] = ["run_id"]) -> DataFrame:
