@@ -8,8 +8,8 @@ import sys
 import time
 
 HEADLINE = [
-    "phase1_stop", "hybrid_metadata", "hybrid_result", "hybrid_bytes", "static_hybrid_bytes", "cell_stream_result", "parity_result",
-    "sign_sum_estimate", "full_transfer_bytes", "filter_semijoin", "lagging_replica_events",
+    "replica_pair_sizes", "phase1_stop", "hybrid_bytes", "cell_stream_result", "parity_result", "sign_sum_estimate", "full_transfer_bytes",
+    "filter_semijoin", "lagging_replica_events",
 ]
 
 

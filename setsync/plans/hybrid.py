@@ -48,7 +48,8 @@ def run_phase(source: DataFrame, receiver: DataFrame, phase: int, cost_bits: flo
     tested = tested.persist()
     while True:
         histogram = rejects_by_slice(tested, sizes, last, per)
-        stops = stop_slice(histogram, cost, per)
+        # A row a run, used by every later step.
+        stops = stop_slice(histogram, cost, per).persist()
         open_runs = stops.where("stop is null and m > 0")
         if not open_runs.limit(1).count():
             break
