@@ -184,3 +184,39 @@ def mixed_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 def op6_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
+
+
+def op6_sql(block: int = BLOCK, shard_rows: int = SHARD_ROWS) -> str:
+    """The same mix in DuckDB, for unique ids: quotients are listed seat by seat instead of around a rounding."""
+    key = lambda text: f"(('0x' || substr(md5('{SEED}:' || {text}), 1, 15))::BIGINT)"
+    weights = f"list_value({', '.join(map(str, WEIGHTS))})"
+    return f"""with rows as (select doc_id, source, len(regexp_extract_all(coalesce(text, ''), '{WORD}'))::BIGINT size, {key("coalesce(doc_id::varchar, '-')")} k from documents),
+    per as (select source, sum(size)::BIGINT source_size, count(*) n_docs from rows group by 1),
+    w as (select *, {weights}[((row_number() over (order by source nulls last) - 1) % {len(WEIGHTS)} + 1)::INT]::BIGINT weight, source_size * {CAP} most from per),
+    o as (select *, (sum(source_size) over ()) * {SHARE_PERCENT / 100}::DOUBLE pool,
+          coalesce(sum(most) over (order by most / weight, source nulls last rows between unbounded preceding and 1 preceding), 0) before,
+          sum(weight) over (order by most / weight, source nulls last rows between current row and unbounded following) onward from w),
+    c as (select *, most * onward <= (pool - before) * weight held from o),
+    t as (select *, case when held then most::DOUBLE else (weight * (pool - sum(case when held then most else 0 end) over ()))::DOUBLE / sum(case when held then 0 else weight end) over () end target from c),
+    targets as (select source, source_size, n_docs, target, round(target)::BIGINT words from t),
+    total as (select round(sum(words) / {block})::BIGINT seats from targets),
+    won as (select source, 1 seat from targets, total, lateral (select unnest(range(seats)) k) where words > 0
+            qualify row_number() over (order by words / (2 * k + 1) desc, source nulls last) <= any_value(seats) over ()),
+    blocks as (select t.source, any_value(words) words, count(won.seat) quota, any_value(target) target,
+               any_value(source_size) source_size, any_value(ceil(n_docs / {shard_rows})::BIGINT) shards from targets t left join won on t.source is not distinct from won.source group by 1),
+    placed as (select r.*, b.source_size, b.target, r.k % b.shards shard from rows r join blocks b on r.source is not distinct from b.source),
+    sh as (select p.source, shard, sum(size)::BIGINT shard_size from placed p group by 1, 2),
+    shb as (select sh.*, b.words, b.quota from sh join blocks b on sh.source is not distinct from b.source),
+    won2 as (select source, shard from shb, lateral (select unnest(range(quota)) k) where shard_size > 0
+             qualify row_number() over (partition by source order by shard_size / (2 * k + 1) desc, shard) <= any_value(quota) over (partition by source)),
+    q as (select shb.source, shb.shard, any_value(shard_size) shard_size, any_value(words) words, count(won2.shard) quota
+          from shb left join won2 on shb.source is not distinct from won2.source and shb.shard = won2.shard group by 1, 2),
+    f as (select *, least(quota * {block}, shard_size * {CAP}) first, words - sum(least(quota * {block}, shard_size * {CAP})) over (partition by source) more from q),
+    g as (select *, case when more >= 0 then shard_size * {CAP} - first else first end room from f),
+    takes as (select source, shard, shard_size, (first + sign(more) * greatest(0, least(room, abs(more) - coalesce(sum(room) over (partition by source order by shard rows between unbounded preceding and 1 preceding), 0))))::BIGINT take from g),
+    run as (select p.*, sum(size) over (partition by p.source, p.shard order by k, doc_id, size rows unbounded preceding)::BIGINT upto, shard_size, take, shard_size // {block} n,
+            case when shard_size > 0 then take // shard_size else 0 end passes from placed p join takes x on p.source is not distinct from x.source and p.shard = x.shard),
+    z as (select *, upto - size since, take - passes * shard_size rest, {key("coalesce(source, '-') || ':' || shard || ':turn'")} % greatest(n, 1) turn from run),
+    parts as (select doc_id, sum(greatest(0, least(upto, b * {block} + greatest(0, least({block}, rest - {block} * (case when b < n then (b * ({STRIDE} % greatest(n, 1)) + turn) % greatest(n, 1) else n end)))) - greatest(since, b * {block}))) words
+              from z, lateral (select unnest(range(since // {block}, (upto - 1) // {block} + 1)) b) where size > 0 group by 1)
+    select z.doc_id, size, source_size, target, (passes * size + coalesce(words, 0))::BIGINT taken from z left join parts on z.doc_id = parts.doc_id"""
