@@ -397,7 +397,7 @@ def probe_then_sync(spark, folder):
 
 
 def advise(spark, folder):
-    rows = [(d, *advisor.advise(100_000, d)) for d in (10, 1000, 10_526, 66_666, 200_000)] + [(-1, *advisor.advise(100_000, None))]
+    rows = [(d, name, float(size)) for d in (10, 1000, 10_526, 66_666, 200_000, -1) for name, size in [advisor.advise(100_000, None if d < 0 else d)]]
     return spark.createDataFrame(rows, "d long, method string, metadata_bytes double")
 
 
@@ -409,6 +409,23 @@ def wide_digest_difference(spark, folder):
     return new.join(old, "digest", "left_anti").agg(F.count("*").alias("only_right"))
 
 
+def sql_functions(spark, folder):
+    from setsync.functions.sqlapi import register
+
+    register(spark)
+    table(spark, folder, "orders").createOrReplaceTempView("sql_orders")
+    return spark.sql("""
+        with e as (select element_digest_portable(cast(o_orderkey as string)) digest from sql_orders), m as (select slice_bits(count(*)) m from e)
+        select k as slice, m, count(distinct slice_pos_portable(digest, 1, k, m)) set_bits from e cross join m lateral view explode(sequence(0L, 2L)) t as k group by k, m""")
+
+
+def trials_summary(spark, folder):
+    pair, runs = workloads.lineitem_sweep(spark, folder, [50.0, 90.0], trials=3, n=600)
+    pair = pair.persist()
+    rows = ledger.summarise(hybrid.hybrid_ledger(pair, hybrid.synchronise(pair)))
+    return sweep.over_trials(sweep.measures(rows, pair, runs))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
@@ -419,7 +436,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
         parity_round1_bins, parity_result, parity_bytes, sign_sum_estimate, cell_moment_estimate, sketch_estimates, subset_difference,
         full_transfer_bytes, digest_exchange_bytes, overhead_by_similarity, crossover, bytes_by_kind, experiment_static, experiment_all, experiment_high,
         operation_counts, key_semijoin, filter_semijoin, sliced_semijoin_trace, sliced_semijoin_join, lagging_replica_events, outage_events,
-        worked_ranges, windowed_cells, session_sizes, latest_user_events, stream_slices, probe_then_sync, advise, wide_digest_difference,
+        worked_ranges, windowed_cells, session_sizes, latest_user_events, stream_slices, probe_then_sync, advise, wide_digest_difference, sql_functions, trials_summary,
     )
 }
 

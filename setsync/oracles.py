@@ -246,6 +246,7 @@ def all_sql() -> dict[str, str]:
         "windowed_cells": "select strftime(date_trunc('day', ts), '%Y-%m-%dT%H:%M') run_id, count(*) filter (where event_id % 50 = 0) missing from events group by 1",
         "session_sizes": session,
         "latest_user_events": "select user_id, event_id from events where ts <= '2024-01-15' qualify row_number() over (partition by user_id order by ts desc, event_id desc) = 1",
+        "sql_functions": f"with e as (select distinct {h('o_orderkey::varchar')} digest from orders), m as (select ceil(count(*) / {LN2})::BIGINT m from e) select slice, m, count(distinct {pos1}) set_bits from e, m, range(3) t(slice) group by 1, 2",
         "probe_then_sync": result(points),
         "wide_digest_difference": "select count(*) only_right from (select distinct o_orderkey, o_custkey from orders where o_orderkey % 10 = 0)",
     }
