@@ -29,6 +29,7 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All rows; each secret that is found, however it is wrapped, gives way to a mark."""
+    shared.bounded_batches(spark)
     masked = docs.withColumn("text", secrets.masked_column(F.col("text")))
     return masked.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else masked
 

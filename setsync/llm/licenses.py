@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from setsync.llm.shared import table
+from setsync.llm.shared import bounded_batches, table
 
 #: Known sentences, normalised. ``{v}`` is a version, ``{x}`` any words.
 SENTENCES = {
@@ -170,6 +170,7 @@ def licence_column(text: pd.Series) -> pd.DataFrame:
 
 def scan_licences(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: known sentences, their identifiers, the licences they spell, what is left, spans."""
+    bounded_batches(docs.sparkSession)
     return docs.select(F.col(id_col).alias("doc_id"), licence_column(F.col(text_col)).alias("s")).select("doc_id", "s.*")
 
 

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from setsync.llm.shared import table
+from setsync.llm.shared import bounded_batches, table
 
 WINDOW = 7
 LEAST_BLOCK = 3
@@ -181,6 +181,7 @@ def with_next(docs: DataFrame, id_col: str, text_col: str, buckets: int) -> Data
 
     The driver sees the bounds and the first id of at most ``buckets`` ranges.
     """
+    bounded_batches(docs.sparkSession)
     lowest = F.lit(-(1 << 63))
     key = F.coalesce(F.col(id_col).cast("long"), lowest)
     ids = docs.select(key.alias("key"))

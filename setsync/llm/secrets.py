@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from setsync.llm.shared import table
+from setsync.llm.shared import bounded_batches, table
 
 KINDS = ("assign", "access", "hex")
 #: The patterns of the base findings and their least lengths.
@@ -267,6 +267,7 @@ def masked_column(text: pd.Series) -> pd.Series:
 
 def scan_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: ``doc_id``, counts of base findings, their digest, all spans, layers read."""
+    bounded_batches(docs.sparkSession)
     found: Column = secrets_column(F.col(text_col))
     return docs.select(F.col(id_col).alias("doc_id"), found.alias("found")).select("doc_id", "found.*")
 

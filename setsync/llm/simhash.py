@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from setsync.llm.shared import connected_components, cut, table
+from setsync.llm.shared import bounded_batches, connected_components, cut, table
 
 WORDS = 4
 RADIUS = 4
@@ -270,6 +270,7 @@ def near_links(prints: DataFrame, radius: int = RADIUS, bucket_limit: int = BUCK
 
 def simhash_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
     """``doc_id, fp, component_id``: every row with its fingerprint and the smallest id its group reaches."""
+    bounded_batches(docs.sparkSession)
     prints = cut(docs.select(F.col(id_col).alias("doc_id"), fingerprint_column(F.col(text_col)).alias("fp")))
     classes = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("rep")))
     roots = connected_components(near_links(classes.select("fp"), radius))

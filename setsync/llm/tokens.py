@@ -24,13 +24,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from tokenizers import Tokenizer
 
-from setsync.llm.shared import table
+from setsync.llm.shared import bounded_batches, table
 
 #: Rows of the sample and entries of the broadcast table, at most.
 SAMPLE_ROWS = 500
 FREQUENT = 32_768
 #: Entries of a worker's own cache.
-CACHE = 400_000
+CACHE = 200_000
 LIMIT = 512
 
 PRE_TOKEN = regex.compile(
@@ -100,6 +100,7 @@ def frequent_lengths(texts: list[str | None], path: str, entries: int = FREQUENT
 
 def token_counts(docs: DataFrame, path: str, text_col: str = "text", sample_rows: int = SAMPLE_ROWS):
     """A column with each text's number of tokens. Looks at ``sample_rows`` rows of ``docs`` on the driver."""
+    bounded_batches(docs.sparkSession)
     sample = [r[0] for r in docs.select(text_col).limit(sample_rows).collect()]
     shared = docs.sparkSession.sparkContext.broadcast(frequent_lengths(sample, path))
 
