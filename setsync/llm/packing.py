@@ -20,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from setsync.llm.shared import stored, table
+from setsync.llm.shared import bounded_batches, stored, table
 from setsync.llm.tokens import chunk_ids
 
 ROOM = 4096
@@ -37,6 +37,7 @@ class BestFit:
         self.room, self.limit = room, open_bins
         self.bitset, self.by_free = 0, {}
         self.used = self.opened = 0
+        self.closed: list[int] = []
 
     def place(self, length: int) -> tuple[int, int]:
         fits = self.bitset >> length
@@ -45,7 +46,7 @@ class BestFit:
             number = self.take(free)
         else:
             if self.used >= self.limit:
-                self.take((self.bitset & -self.bitset).bit_length() - 1)
+                self.closed.append(self.take((self.bitset & -self.bitset).bit_length() - 1))
             free, number = self.room, self.opened
             self.opened += 1
         left = free - length
@@ -53,6 +54,8 @@ class BestFit:
             self.by_free.setdefault(left, []).append(number)
             self.bitset |= 1 << left
             self.used += 1
+        else:
+            self.closed.append(number)
         return number, self.room - free
 
     def take(self, free: int) -> int:
@@ -69,26 +72,33 @@ class BestFit:
         return {n: free for free, bins in self.by_free.items() for n in bins}
 
 
-PIECES = "doc_id long, piece int, start long, length long, ids binary, bin long, offset long"
+PIECES = "doc_id long, piece int, start long, length long, ids binary, bin long, offset long, open boolean"
 
 
 def pack_task(path: str, room: int, open_bins: int):
+    def made(rows: list[tuple], left_open: bool) -> pa.RecordBatch:
+        cols = [*(list(zip(*rows)) or [()] * 7), (left_open,) * len(rows)]
+        kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary(), pa.int64(), pa.int64(), pa.bool_()]
+        return pa.record_batch([pa.array(c, k) for c, k in zip(cols, kinds)], names=["doc_id", "piece", "start", "length", "ids", "bin", "offset", "open"])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, fit = chunk_ids(path), BestFit(room, open_bins)
         base = TaskContext.get().partitionId() << 36
         end = np.array([END_ID], "<u4").tobytes()
+        held: dict[int, list[tuple]] = {}  # pieces of open bins: at most ``open_bins * room`` tokens
         for batch in batches:
-            rows: list[tuple] = []
+            done: list[tuple] = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 ids = encoder.encode(text) + end
                 n = len(ids) // 4
                 for k, start in enumerate(range(0, n, room)):
                     part = ids[4 * start : 4 * (start + room)]
                     number, offset = fit.place(len(part) // 4)
-                    rows.append((doc, k, start, len(part) // 4, part, base + number, offset))
-            cols = list(zip(*rows)) or [()] * 7
-            kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary(), pa.int64(), pa.int64()]
-            yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, kinds)], names=["doc_id", "piece", "start", "length", "ids", "bin", "offset"])
+                    held.setdefault(number, []).append((doc, k, start, len(part) // 4, part, base + number, offset))
+                    while fit.closed:
+                        done += held.pop(fit.closed.pop())
+            yield made(done, False)
+        yield made([row for rows in held.values() for row in rows], True)
 
     return run
 
@@ -112,22 +122,22 @@ def repack_task(room: int, open_bins: int):
 def pack(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", room: int = ROOM, open_bins: int = OPEN_BINS) -> DataFrame:
     """``doc_id, piece, start, length, ids, sequence_id, offset``: every piece with its ids and its place.
 
-    The first pass is stored (its bins are named by task); the second moves only the fills of bins
-    under full. Their pieces join on the bin, the rest keep their place.
+    The first pass is stored (its bins are named by task) and says of each piece whether its bin was still
+    open at the task's end. Only those bins are packed again, as wholes, and only their pieces move.
     """
+    bounded_batches(docs.sparkSession)
     placed = stored(docs.select(F.col(id_col).cast("long").alias("doc_id"), text_col).mapInArrow(pack_task(path, room, open_bins), PIECES))
-    fills = placed.groupBy("bin").agg(F.sum("length").alias("fill")).where(F.col("fill") < room)
-    tasks = placed.select(F.countDistinct(F.shiftright("bin", 36))).first()[0]
-    groups = max(1, -(-tasks // FAN_IN))
+    left = placed.where("open")
+    fills = left.groupBy("bin").agg(F.sum("length").alias("fill"))
+    tasks = left.select(F.countDistinct(F.shiftright("bin", 36))).first()[0]
     # Larger fills first: best-fit wastes least in falling order.
-    dealt = fills.repartition(groups, F.xxhash64("bin")).sortWithinPartitions(F.desc("fill"), "bin")
+    dealt = fills.repartition(max(1, -(-tasks // FAN_IN)), F.xxhash64("bin")).sortWithinPartitions(F.desc("fill"), "bin")
     moved = dealt.mapInArrow(repack_task(room, open_bins * FAN_IN), "bin long, into long, shift long")
-    out = placed.join(moved.withColumnRenamed("bin", "from_bin"), F.col("bin") == F.col("from_bin"), "left")
-    return out.select(
-        "doc_id", "piece", "start", "length", "ids",
-        F.coalesce("into", "bin").alias("sequence_id"),
-        (F.col("offset") + F.coalesce("shift", F.lit(0))).cast("long").alias("offset"),
-    )
+    again = left.join(moved.withColumnRenamed("bin", "from_bin"), F.col("bin") == F.col("from_bin"))
+    columns = ["doc_id", "piece", "start", "length", "ids"]
+    return placed.where("not open").select(*columns, F.col("bin").alias("sequence_id"), "offset").unionByName(
+        again.select(*columns, F.col("into").alias("sequence_id"), (F.col("offset") + F.col("shift")).alias("offset"))
+    )
 
 
 def op5_bestfit_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
