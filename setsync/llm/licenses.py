@@ -1,18 +1,21 @@
 """Licence scans: sentences to known identifiers, sequences of identifiers to licences.
 
-A text's sentences are normalised (lower case, plain quotes, no decoration, single spaces) and each is
-matched as a whole against the known licence sentences; some hold slots (a year, a holder, a version).
+The lines of a paragraph are joined without their comment marks and normalised (lower case, plain quotes,
+single spaces). A known sentence may begin and end wherever a sentence, a clause or a line does, and runs
+over such places inside it; some hold slots (a year, a holder, a version). An open tail runs on to the end
+of its sentence, that of a copyright or a tag to the end of its line, and never into the next known sentence.
 The identifiers in reading order, without the sentences between that are not known, then meet the
 ordered licence rules: the first rule that matches at a place wins and uses up its identifiers.
 Identifiers no rule uses are reported as such.
 
 Defined cases: null and empty texts have no sentences; a repeated sentence is reported each time;
-repeated rows are scanned alike; an empty table gives no rows.
+repeated rows are scanned alike; an empty table gives no rows. Spans are those of the text as it came.
 """
 
 from __future__ import annotations
 
 import re
+from bisect import bisect_right
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -33,15 +36,17 @@ SENTENCES = {
     "mit-notice": "the above copyright notice and this permission notice shall be included in all copies or substantial portions of the software",
     "as-is": "the software is provided as is, without warranty of any kind{x}",
     "no-liability": "in no event shall the authors or copyright holders be liable for any claim, damages or other liability{x}",
-    "apache-under": "{w}licensed under the apache license, version {v}",
+    "apache-under": "{a} under the apache license, version {v}{l}",
     "apache-may-not": "you may not use this file except in compliance with the license",
-    "apache-copy": "you may obtain a copy of the license at {x}",
+    "apache-copy": "you may obtain a copy of the license at{x}",
     "apache-as-is": "unless required by applicable law or agreed to in writing, software distributed under the license is distributed on an as is basis, without warranties or conditions of any kind{x}",
-    "gpl-under": "this work is licensed under the gnu general public license, version {v}",
-    "gpl-free": "this program is free software{x} you can redistribute it and/or modify it under the terms of the gnu general public license as published by the free software foundation{x}",
-    "gpl-hope": "this program is distributed in the hope that it will be useful, but without any warranty{x}",
-    "gpl-copy": "you should have received a copy of the gnu general public license along with this program{x}",
-    "lgpl-under": "{w}licensed under the gnu lesser general public license, version {v}",
+    "gpl-under": "this work is licensed under the gnu general public license, version {v}{o}",
+    "gpl-free": "{s} is free software{c} you can redistribute it and/or modify it under the terms of the gnu general public license{n} as published by the free software foundation{x}",
+    "gpl-hope": "{s} is distributed in the hope that it will be useful, but without any warranty{x}",
+    "gpl-copy": "you should have received a copy of the gnu general public license{n} along with{x}",
+    "lgpl-under": "{w}licensed under the gnu lesser general public license, version {v}{o}",
+    "lgpl-free": "{s} is free software{c} you can redistribute it and/or modify it under the terms of the gnu lesser general public license{n} as published by the free software foundation{x}",
+    "lgpl-copy": "you should have received a copy of the gnu lesser general public license{n} along with{x}",
     "mpl-terms": "this source code form is subject to the terms of the mozilla public license, v. {v}",
     "bsd-grant": "redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met{x}",
     "bsd-source": "redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer",
@@ -64,6 +69,7 @@ RULES = (
     ("Apache", ("copyright?", "apache-under", "apache-may-not?", "apache-copy?", "apache-as-is?")),
     ("GPL", ("copyright?", "gpl-free", "gpl-hope?", "gpl-copy?")),
     ("GPL", ("copyright?", "gpl-under")),
+    ("LGPL", ("copyright?", "lgpl-free", "gpl-hope?", "lgpl-copy?")),
     ("LGPL", ("copyright?", "lgpl-under")),
     ("MPL", ("copyright?", "mpl-terms")),
     ("MIT", ("copyright?", "released-mit")),
@@ -78,44 +84,150 @@ RULES = (
     ("proprietary", ("copyright", "all-rights")),
 )
 
-SLOTS = {"v": r"(?P<v>\d+(?:\.\d+)*)", "x": r"(?P<x>.*)", "w": r"(?:this (?:work|file|document|software) is )?", "p": r"(?: \(mit\))?"}
-#: Every known sentence holds one of these words, so lines without them need no sentence work.
-HINTS = ("licens", "copyright", "permission", "warrant", "redistribut", "rights reserved", "liab", "mozilla", "cc0", "free software")
-SENTENCE = re.compile(r"[^\n]+?(?:[.!?;](?=\s)|(?=\n)|\Z)|[^\n]+")
-DECORATION = re.compile(r"^[\s#*/\-;%>|]+|[\s*/.;!|]+$")
-SPACE = re.compile(r"\s+")
+SLOTS = {
+    "v": r"(?P<v>\d+(?:\.\d+)*)", "x": r"(?P<x>.*?)", "w": r"(?:this (?:work|file|document|software) is )?", "p": r"(?: \(mit\))?",
+    "a": r"(?:(?:this (?:work|file|document|software) is )?licensed|the asf licenses this file(?: to you)?)", "l": r"(?: \(the license\))?",
+    "s": r"(?:this \w+|[\w+.-]+)", "c": r"[;:,.]?", "n": r"(?:,? version (?P<v>\d+(?:\.\d+)*),?)?", "o": r"(?:,? or (?:\(at your option\) )?(?:any )?later(?: version)?)?",
+}
+#: Every known sentence holds one of these words, so texts without them need no sentence work.
+HINTS = ("licens", "copyright", "permission", "warrant", "redistribut", "reserved", "liab", "mozilla", "cc0")
+#: Known sentences whose open tail ends with the line or clause.
+OF_A_LINE = ("copyright", "spdx", "cc0")
+MARKS = r"#*/\-;%>|•"
+LINE_MARK = re.compile(rf"^(?:[{MARKS}]+|<!-*|\(\*+|dnl(?=\s)|rem(?=\s))+|(?<=\s)(?:[*/|#%;-]+>?|\*+\))\s*$", re.I)
+MARK = re.compile(rf"^[{MARKS}]+")
+ITEM = re.compile(r"\(?(?:\d{1,2}|[a-z]|[ivx]+)[.)]")
+TAIL = "*/.;!|:?"
+VERSION = re.compile(r"version (\d+(?:\.\d+)*)")
+#: What follows "copyright" where a line merely wraps inside a sentence.
+WRAPPED = re.compile(r"copyright (?:holders?|owners?|notices?|licen[cs]es?|statements?|laws?)\b")
+#: How a word ends: inside a clause, a line, a clause, a sentence.
+INSIDE, LINE, CLAUSE, COLON, SENTENCE = range(5)
 
 
-def pattern(text: str) -> re.Pattern:
+def pattern(text: str) -> tuple[re.Pattern, bool]:
+    """The pattern of a known sentence without its open tail, and whether it has one."""
+    head = text.removesuffix("{x}")
     parts, used = [], set()
-    for piece in re.split(r"(\{\w\})", text):
+    for piece in re.split(r"(\{\w\})", head):
         if piece[:1] == "{":
             slot = SLOTS[piece[1]]
             parts.append(slot if piece not in used else re.sub(r"\?P<\w>", "?:", slot))
             used.add(piece)
         else:
             parts.append(piece if piece.startswith("(?:") else re.escape(piece))
-    return re.compile("".join(parts), re.S)
+    return re.compile("".join(parts), re.S), head != text
 
 
-KNOWN = [(name, pattern(text)) for name, text in SENTENCES.items()]
+KNOWN = [(name, *pattern(text)) for name, text in SENTENCES.items()]
 
 
-def normalised(sentence: str) -> str:
-    plain = SPACE.sub(" ", sentence.lower().replace("“", '"').replace("”", '"').replace("’", "'"))
-    return DECORATION.sub("", plain.replace('"', "").replace("(c)", "©").replace("copyright ©", "copyright"))
+def plain(word: str) -> str:
+    word = word.lower().replace("’", "'").replace("``", "").replace("''", "")
+    return word.replace("“", "").replace("”", "").replace('"', "").replace("(c)", "©")
 
 
-def sentence_id(sentence: str) -> tuple[str, str] | None:
-    """The first known sentence that a whole sentence is, and its version or words."""
-    plain = normalised(sentence)
-    if not any(hint in plain for hint in HINTS):
-        return None
-    for name, known in KNOWN:
-        if m := known.fullmatch(plain):
-            groups = m.groupdict()
-            return name, groups.get("v") or (groups.get("x") or "").strip() if name != "copyright" else ""
-    return None
+class Paragraph:
+    """Normalised words of consecutive lines; for each where it may begin and end in the text, and how it ends."""
+
+    def __init__(self):
+        self.words, self.leads, self.ends, self.stops = [], [], [], []
+
+    def add(self, text: str, start: int, end: int) -> bool:
+        """Takes the line [start, end) over; False if it holds nothing but marks."""
+        line, first = text[start:end], len(self.words)
+        open_ = re.match(r"\s*", line).end()
+        if m := LINE_MARK.match(line[open_:]):
+            open_ += m.end()
+        close = len(line)
+        if m := LINE_MARK.search(line, open_):
+            close = m.start() if m.start() > open_ else close
+        lead = start
+        for m in re.finditer(r"\S+", line[open_:close]):
+            word, at = plain(m[0]), start + open_ + m.end()
+            fresh = len(self.words) == first or self.stops[-1] != INSIDE
+            if fresh:
+                if ITEM.fullmatch(word):
+                    if len(self.words) == first or self.stops[-1] == SENTENCE:
+                        lead = at
+                        continue
+                word = MARK.sub("", word)
+            if self.words and self.words[-1] == "copyright" and word[:1] == "©":
+                word = word[1:]
+            if not word:
+                if self.words and len(self.words) > first and self.stops[-1] == INSIDE:
+                    self.ends[-1] = at
+                continue
+            last = word.rstrip("')")[-1:]
+            stop = INSIDE if word == "v." else SENTENCE if last in (".", "!", "?") else CLAUSE if last == ";" else COLON if last == ":" else INSIDE
+            self.words.append(word)
+            self.leads.append(lead)
+            self.ends.append(at)
+            self.stops.append(stop)
+            lead = at
+        if len(self.words) == first:
+            return False
+        if self.stops[-1] == INSIDE and self.words[-1] != "v.":
+            self.stops[-1] = LINE
+        if self.words[-1][-1] not in ".!?;":
+            self.ends[-1] = end
+        return True
+
+    def found(self) -> list[tuple[str, str, int, int]]:
+        """(identifier, version or words, start, end) of the known sentences, in order."""
+        line = " ".join(self.words)
+        if not any(hint in line for hint in HINTS):
+            return []
+        spots, at = [], 0
+        for word in self.words:
+            spots.append(at)
+            at += len(word) + 1
+        heads: dict[int, tuple | None] = {}
+
+        def head(k: int) -> tuple | None:
+            """The known sentence that begins at word k: its name, match, last word and whether its tail is open."""
+            if k not in heads:
+                heads[k] = None
+                for name, known, tail in KNOWN:
+                    m = known.match(line, spots[k])
+                    if m is None or (tail and m.end() >= len(line) and line[m.end() - 1] == " "):
+                        continue
+                    if name == "copyright" and k and self.stops[k - 1] == LINE and WRAPPED.match(line, spots[k]):
+                        continue
+                    last = bisect_right(spots, m.end() if line[m.end() - 1] == " " else m.end() - 1) - 1
+                    left = line[m.end() : spots[last] + len(self.words[last])]
+                    if tail or (not left.strip(TAIL) and (self.stops[last] != INSIDE or last == len(self.words) - 1)):
+                        heads[k] = name, m, last, tail
+                        break
+            return heads[k]
+
+        out, k = [], 0
+        while k < len(self.words):
+            if (k and self.stops[k - 1] == INSIDE) or not (got := head(k)):
+                k += 1
+                continue
+            name, m, last, tail = got
+            if tail:
+                ending = (LINE, CLAUSE, SENTENCE) if name in OF_A_LINE else (COLON, SENTENCE)
+                while last + 1 < len(self.words) and self.stops[last] not in ending and (self.stops[last] == INSIDE or not head(last + 1)):
+                    last += 1
+            rest = line[m.end() : spots[last] + len(self.words[last])].strip(TAIL + " ")
+            detail = m.groupdict().get("v") or ""
+            if not detail and name in ("gpl-free", "lgpl-free"):
+                detail = v[1] if (v := VERSION.search(rest)) else ""
+            out.append((name, detail or (rest if tail and name != "copyright" else ""), self.leads[k], self.ends[last]))
+            k = last + 1
+        return out
+
+
+def known_sentences(text: str) -> list[tuple[str, str, int, int]]:
+    out, at, paragraph = [], 0, Paragraph()
+    for line in text.split("\n"):
+        if not paragraph.add(text, at, at + len(line)):
+            out += paragraph.found()
+            paragraph = Paragraph()
+        at += len(line) + 1
+    return out + paragraph.found()
 
 
 def rule_end(ids: list[str], at: int, rule: tuple[str, ...]) -> int | None:
@@ -152,10 +264,9 @@ def scan(text: str | None) -> tuple[int, str, str, str, str]:
     text = text or ""
     lowered = text.lower()
     if any(hint in lowered for hint in HINTS):
-        for m in SENTENCE.finditer(text):
-            if got := sentence_id(m[0]):
-                found.append(got)
-                spans.append(f"{got[0]}:{m.start()}:{m.end()}")
+        for name, detail, start, end in known_sentences(text):
+            found.append((name, detail))
+            spans.append(f"{name}:{start}:{end}")
     names, left = licences(found)
     return len(found), ",".join(f[0] for f in found), ",".join(names), ",".join(left), ",".join(spans)
 

@@ -162,6 +162,116 @@ def test_licences_against_plain_search(spark, smoke):
         want = sorted(n for n, line in lines.items() for _ in range(t.split("\n").count(line)))
         assert sorted(x for x in licenses.scan(t)[2].split(",") if x) == want
 
+LICENCE_TEXTS = {
+    "MIT": """The MIT License (MIT)
+
+Copyright (c) 2020 Some One
+
+Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE
+AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER
+LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM,
+OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE
+SOFTWARE.""",
+    "BSD-3-Clause": """Copyright (c) 2020, Some One, Inc.
+All rights reserved.
+
+Redistribution and use in source and binary forms, with or without
+modification, are permitted provided that the following conditions are met:
+
+1. Redistributions of source code must retain the above copyright notice, this
+   list of conditions and the following disclaimer.
+
+2. Redistributions in binary form must reproduce the above copyright notice,
+   this list of conditions and the following disclaimer in the documentation
+   and/or other materials provided with the distribution.
+
+3. Neither the name of the copyright holder nor the names of its
+   contributors may be used to endorse or promote products derived from
+   this software without specific prior written permission.
+
+THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS"
+AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE
+IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE
+DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE
+FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL
+DAMAGES.""",
+    "Apache-2.0": """Copyright 2020 Some One
+
+Licensed under the Apache License, Version 2.0 (the "License");
+you may not use this file except in compliance with the License.
+You may obtain a copy of the License at
+
+    http://www.apache.org/licenses/LICENSE-2.0
+
+Unless required by applicable law or agreed to in writing, software
+distributed under the License is distributed on an "AS IS" BASIS,
+WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.
+See the License for the specific language governing permissions and
+limitations under the License.""",
+    "GPL-2": """Copyright (C) 2020  Some One
+
+This program is free software; you can redistribute it and/or modify
+it under the terms of the GNU General Public License as published by
+the Free Software Foundation; either version 2 of the License, or
+(at your option) any later version.
+
+This program is distributed in the hope that it will be useful,
+but WITHOUT ANY WARRANTY; without even the implied warranty of
+MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the
+GNU General Public License for more details.
+
+You should have received a copy of the GNU General Public License along
+with this program; if not, write to the Free Software Foundation, Inc.,
+51 Franklin Street, Fifth Floor, Boston, MA 02110-1301 USA.""",
+    "LGPL-2.1": """This library is free software; you can redistribute it and/or
+modify it under the terms of the GNU Lesser General Public
+License as published by the Free Software Foundation; either
+version 2.1 of the License, or (at your option) any later version.
+
+This library is distributed in the hope that it will be useful,
+but WITHOUT ANY WARRANTY; without even the implied warranty of
+MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.
+
+You should have received a copy of the GNU Lesser General Public
+License along with this library.""",
+    "MPL-2.0": """This Source Code Form is subject to the terms of the Mozilla Public
+License, v. 2.0. If a copy of the MPL was not distributed with this
+file, You can obtain one at http://mozilla.org/MPL/2.0/.""",
+}
+LICENCE_TEXTS["GPL-3"] = LICENCE_TEXTS["GPL-2"].replace("software; you", "software: you").replace("version 2", "version 3")
+LICENCE_TEXTS["BSD-2-Clause"] = re.sub(r"3\. Neither.*?\n\n", "", LICENCE_TEXTS["BSD-3-Clause"], flags=re.S)
+
+
+def test_licences_wrapped_over_lines():
+    for want, text in LICENCE_TEXTS.items():
+        plain_ids = licenses.scan(text)[1]
+        for mark, close in (("", ""), ("# ", ""), ("// ", ""), (" * ", ""), ("; ", ""), ("| ", " |")):
+            lines = "\n".join((mark + line + close).rstrip() for line in text.split("\n"))
+            wrapped = f"/*\n{lines}\n */\ncode()"
+            n, ids, names, left, spans = licenses.scan(wrapped)
+            assert (names, left, ids) == (want, "", plain_ids), (want, mark)
+            for span in spans.split(","):
+                name, s, e = span.split(":")
+                assert 0 <= int(s) < int(e) <= len(wrapped)
+        unwrapped = "\n".join(" ".join(part.split()) for part in text.split("\n\n"))
+        assert licenses.scan(unwrapped)[2] == want, want
+    s, e = map(int, licenses.scan(LICENCE_TEXTS["MPL-2.0"])[4].split(":")[1:])
+    assert LICENCE_TEXTS["MPL-2.0"][s:e].endswith("v. 2.0.") and s == 0
+    assert licenses.scan("the rights of the\ncopyright holders are kept")[0] == 0
+    assert licenses.scan("Copyright 2020 A\nCopyright 2021 B\n\nAll rights\nreserved.")[1] == "copyright,copyright,all-rights"
+
 
 def test_toxicity_learns_words_and_stems():
     rng = random.Random(5)
