@@ -1,4 +1,4 @@
-"""A corpus pipeline in five stages: toxicity, SimHash near-duplicates, secrets, mixing, packing.
+"""A corpus pipeline in five stages: toxicity, near-duplicates, secrets, mixing, packing.
 
 Each stage works on all rows that the one before kept, and its result is written as Parquet and read
 again. All but the last return the columns of ``documents`` as they came (extra ones included).
@@ -10,7 +10,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from setsync.llm import mixing, packing, secrets, shared, simhash, toxicity
+from setsync.llm import mixing, nearcopies, packing, secrets, shared, toxicity
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -23,8 +23,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One row of each SimHash group: the one of the smallest id; rows without an id stay."""
-    return simhash.keep_one(docs)
+    """One row of each group of near copies (SimHash radius, or similarity 0.8 of five-word shingles): that of the smallest id; rows without an id stay."""
+    return nearcopies.keep_one(docs)
 
 
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

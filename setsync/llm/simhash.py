@@ -37,18 +37,25 @@ BUCKET = 20_000
 PAIR_COST = 0.05
 
 
-def fingerprint(text: str | None, width: int = WORDS, seed: int = SEED) -> int:
-    """Unsigned 64-bit SimHash of ASCII-lower-cased word shingles, each occurrence counted."""
+def shingle_hashes(text: str | None, width: int = WORDS, seed: int = SEED) -> np.ndarray:
+    """Hashes of ASCII-lower-cased word shingles in order; a text with fewer words has one, the whole sequence."""
     words = text.encode("utf-8", "surrogatepass").lower().split() if text else []
     if not words:
-        return 0
+        return np.zeros(0, np.uint64)
     line = b" ".join(words)
+    hashing = xxhash.xxh64_intdigest
     if len(words) <= width:
-        return xxhash.xxh64_intdigest(line, seed)
+        return np.array([hashing(line, seed)], np.uint64)
     ends = np.cumsum([len(w) + 1 for w in words])
     starts = [0, *ends[:-width].tolist()]
-    hashing = xxhash.xxh64_intdigest
-    values = np.array([hashing(line[i : j - 1], seed) for i, j in zip(starts, ends[width - 1 :].tolist())], np.uint64)
+    return np.array([hashing(line[i : j - 1], seed) for i, j in zip(starts, ends[width - 1 :].tolist())], np.uint64)
+
+
+def fingerprint(text: str | None, width: int = WORDS, seed: int = SEED) -> int:
+    """Unsigned 64-bit SimHash of ASCII-lower-cased word shingles, each occurrence counted."""
+    values = shingle_hashes(text, width, seed)
+    if len(values) <= 1:
+        return int(values.sum())
     counts = np.zeros(64, np.int64)
     for at in range(0, len(values), 1 << 16):
         block = values[at : at + (1 << 16)]
@@ -282,7 +289,12 @@ def simhash_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
     """The rows of ``docs``, all columns kept, that name their group; of rows that repeat an id, one."""
-    groups = cut(simhash_groups(docs, id_col, text_col, radius).where("doc_id is not null"))
+    return kept_rows(docs, simhash_groups(docs, id_col, text_col, radius).where("doc_id is not null"), id_col)
+
+
+def kept_rows(docs: DataFrame, groups: DataFrame, id_col: str) -> DataFrame:
+    """The rows whose id is the ``component_id`` of their group, one of each, and those without an id."""
+    groups = cut(groups)
     names = groups.where("doc_id = component_id").groupBy(F.col("doc_id").alias("_name")).agg(F.count("*").alias("_copies"))
     kept = docs.join(names.select("_name"), (F.col(id_col) == F.col("_name")), "left_semi")
     if names.where("_copies > 1").limit(1).count():

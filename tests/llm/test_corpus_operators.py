@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from setsync.llm import covertree, mixing, registry, shared, simhash
+from setsync.llm import covertree, mixing, nearcopies, registry, shared, simhash
 from tests.llm.test_text_operators import ODD_ROWS, brute_print, odd
 
 
@@ -94,6 +94,38 @@ def test_simhash_odd_rows(spark):
     assert sorted((r.doc_id is None, r.doc_id or 0) for r in kept) == [(False, 1), (False, 4), (False, 6), (True, 0)]
 
 
+def jaccard(a, b):
+    sets = []
+    for text in (a, b):
+        words = text.lower().split()
+        sets.append({" ".join(words[i : i + 5]) for i in range(max(1, len(words) - 4))})
+    return len(sets[0] & sets[1]) / len(sets[0] | sets[1])
+
+
+def test_pipeline_drops_near_copies_at_their_true_similarity(spark, smoke):
+    rng = random.Random(9)
+    texts = []
+    for _ in range(12):
+        words = [f"w{rng.randrange(10**6)}" for _ in range(rng.randrange(60, 400))]
+        texts.append(" ".join(words))
+        for cuts in (1, 2, 3, 4, 6, 9):
+            other = list(words)
+            for k in rng.sample(range(len(words)), cuts):
+                other[k] = "changed"
+            texts.append(" ".join(other))
+    prints = [brute_print(t) for t in texts]
+    pairs = [(i, j) for i in range(len(texts)) for j in range(i)]
+    near = [(i, j) for i, j in pairs if jaccard(texts[i], texts[j]) >= 0.8]
+    assert any((prints[i] ^ prints[j]).bit_count() > 4 for i, j in near)
+    want = roots(len(texts), near + [(i, j) for i, j in pairs if (prints[i] ^ prints[j]).bit_count() <= 4])
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    for held in (nearcopies.HELD, 1000):
+        got = {r.doc_id: r.component_id for r in nearcopies.similar_groups(docs, held=held).collect()}
+        assert [got[k] for k in range(len(texts))] == want
+    kept = corpus_pipeline.drop_near_copies(spark, docs, smoke)
+    assert sorted(r.doc_id for r in kept.collect()) == sorted(set(want))
+
+
 def vectors(spark, rng, n=260):
     base = rng.normal(size=(12, 8))
     rows = []
