@@ -1,18 +1,19 @@
 """Secrets in whole texts, found through nested encodings.
 
 A worklist starts with the text; every layer is scanned, then its URL escapes, Unicode escapes,
-base64 runs and compressed payloads are unwrapped into new layers until none is new (a layer whose
-text was seen is not taken again, so cycles end). Each layer keeps, for every character, the span of
-the original text it came from; findings are reported there.
-
-Defined cases: null is the empty text, which has no findings; repeated rows are scanned alike; a
-payload that inflates beyond ``INFLATE`` bytes is counted in ``n_unopened`` and not scanned.
+base64 runs (also those wrapped over lines, at all four alignments) and compressed payloads (all their
+members, wherever they begin) are unwrapped into new layers until none is new (a layer whose text was
+seen is not taken again, so cycles end). Bytes that are no UTF-8 give way to marks. Each layer keeps,
+for every character, the span of the original text it came from; findings are reported there.
+
+Defined cases: null is the empty text, which has no findings; repeated rows are scanned alike; what
+inflates beyond ``INFLATE`` bytes is scanned in chunks of that size, each with the last ``OVERLAP`` bytes
+of the one before; ``n_unopened`` counts payloads whose decoder would need more than ``DECODER`` bytes.
 """
 
 from __future__ import annotations
 
 import base64
-import binascii
 import bz2
 import hashlib
 import html
@@ -37,12 +38,16 @@ ASSIGN_LENGTH, ACCESS_LENGTH, HEX_LENGTH = 6, 20, 24
 ASSIGN_HINTS = ("password", "passwd", "secret", "token", "apikey", "api_key")
 
 BASE64_LENGTH = 16
-INFLATE = 32 << 20
+INFLATE, OVERLAP, DECODER = 32 << 20, 1 << 20, 64 << 20
 MASK = "[SECRET]"
 
 URL_ESCAPE = re.compile(r"%[0-9A-Fa-f]{2}")
 UNICODE_ESCAPE = re.compile(r"\\u[0-9A-Fa-f]{4}|\\U[0-9A-Fa-f]{8}|\\u\{[0-9A-Fa-f]{1,6}\}|\\x[0-9A-Fa-f]{2}|&#[0-9]{1,7};|&#[xX][0-9A-Fa-f]{1,6};")
 URL_RUN = re.compile(r"(?:%[0-9A-Fa-f]{2})+")
+WRAPPED_RUN = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]++(?:[ \t]*+\r?\n[ \t]*+[A-Za-z0-9+/_-]++)+")
+PACKED = re.compile(rb"\x1f\x8b\x08|\x78[\x01\x5e\x9c\xda]|BZh[1-9]|\xfd7zXZ\x00")
+#: Every layer that holds a finding or a further layer has one of these.
+TELLING = re.compile(rb"(?i:passw|secret|token|api_?key)|AKIA|[0-9a-f]{24}|%[0-9A-Fa-f]{2}|\\[uUx]|&#|[A-Za-z0-9+/_-]{16}|[A-Za-z0-9+/_-][ \t]*\r?\n[ \t]*[A-Za-z0-9+/_-]")
 
 
 def byte_set(letters: str) -> np.ndarray:
@@ -86,18 +91,22 @@ def scan(text: str, hex_runs: list[tuple[int, int]]) -> list[tuple[int, int, int
 
 
 class Layer:
-    """A decoded text; ``starts``/``ends`` give each character's span in the original (None: itself)."""
+    """A decoded text; ``starts``/``ends`` give each character's span in the original (None: itself), ``whole`` one span for all."""
 
-    def __init__(self, text: str, starts=None, ends=None):
-        self.text, self.starts, self.ends = text, starts, ends
+    def __init__(self, text: str, starts=None, ends=None, whole: tuple[int, int] | None = None):
+        self.text, self.starts, self.ends, self.whole = text, starts, ends, whole
 
     def origin(self, s: int, e: int) -> tuple[int, int]:
+        if self.whole:
+            return self.whole
         if self.starts is None:
             return s, e
         return int(self.starts[s:e].min()), int(self.ends[s:e].max())
 
-    def inner(self, text: str, starts: list[int], ends: list[int]) -> "Layer":
+    def inner(self, text: str, starts, ends) -> "Layer":
         """A layer over this one; the spans given are in this layer's characters."""
+        if self.whole:
+            return Layer(text, whole=self.whole)
         if self.starts is None:
             return Layer(text, np.array(starts), np.array(ends))
         where = [self.origin(s, e) for s, e in zip(starts, ends)]
@@ -132,67 +141,120 @@ def by_escapes(layer: Layer, pattern: re.Pattern, decode) -> Layer | None:
     return layer.inner("".join(out), starts, ends)
 
 
-def url_decoded(m: re.Match) -> str | None:
-    try:
-        return bytes.fromhex(m[0].replace("%", "")).decode()
-    except UnicodeDecodeError:
-        return None
+def url_decoded(m: re.Match) -> str:
+    return bytes.fromhex(m[0].replace("%", "")).decode(errors="replace")
+
+
+def members(raw: bytes, at: int) -> Iterator[bytes]:
+    """Pieces of what the members that begin at ``at`` hold, up to damage; at the end the place behind them is returned."""
+    magic = PACKED.match(raw, at)[0][:3]
+    while raw[at : at + 3] == magic if magic[:1] != b"\x78" else raw[at : at + 1] == b"\x78":
+        opener = bz2.BZ2Decompressor() if magic == b"BZh" else lzma.LZMADecompressor(memlimit=DECODER) if magic == b"\xfd7z" else zlib.decompressobj(47)
+        given = at
+        try:
+            while not opener.eof and given < len(raw):
+                piece, given = raw[given : given + 1024], given + 1024
+                while True:
+                    out = opener.decompress(piece, 1 << 20)
+                    if out:
+                        yield out
+                    piece = opener.unconsumed_tail if hasattr(opener, "unconsumed_tail") else b""
+                    if opener.eof or not (piece or len(out) == 1 << 20 or not getattr(opener, "needs_input", True)):
+                        break
+        except (zlib.error, OSError, EOFError, ValueError):
+            break
+        except lzma.LZMAError as e:
+            if "emory" in str(e):
+                raise OverflowError from e
+            break
+        if not opener.eof:
+            break
+        at = min(given, len(raw)) - len(opener.unused_data)
+    return at
+
+
+def inflated(raw: bytes) -> Iterator[bytes | None]:
+    """What each compressed payload in ``raw`` holds, in overlapping chunks; None for one too large for its decoder."""
+    at = 0
+    while m := PACKED.search(raw, at):
+        at, parts, size = m.end(), [], 0
+        pieces = members(raw, m.start())
+        while True:
+            try:
+                piece = next(pieces)
+            except StopIteration as done:
+                at = max(at, done.value)
+                break
+            except OverflowError:
+                yield None
+                break
+            parts.append(piece)
+            size += len(piece)
+            if size >= INFLATE:
+                yield (chunk := b"".join(parts))
+                parts, size = [chunk[-OVERLAP:]], OVERLAP
+        if parts:
+            yield b"".join(parts)
 
 
-def inflated(raw: bytes) -> bytes | None:
-    """The content of gzip, zlib, bzip2 or xz data; None if it is none of them; OverflowError beyond ``INFLATE``."""
-    try:
-        if raw[:2] == b"\x1f\x8b" or raw[:1] == b"\x78":
-            opener = zlib.decompressobj(47)
-            out = opener.decompress(raw, INFLATE)
-            if opener.unconsumed_tail:
-                raise OverflowError
-            return out
-        if raw[:3] == b"BZh":
-            opener = bz2.BZ2Decompressor()
-        elif raw[:6] == b"\xfd7zXZ\x00":
-            opener = lzma.LZMADecompressor(memlimit=64 << 20)
-        else:
-            return None
-        out = opener.decompress(raw, INFLATE)
-        if not opener.eof and not opener.needs_input:
-            raise OverflowError
-        return out
-    except (zlib.error, OSError, EOFError, lzma.LZMAError, ValueError):
-        return None
+def readable(text: str) -> bool:
+    return len(text) >= ASSIGN_LENGTH and all(c.isprintable() or c in "\t\n\r" for c in text)
 
 
-def readable(raw: bytes) -> str | None:
-    try:
-        text = raw.decode()
-    except UnicodeDecodeError:
+def decoded(raw: bytes) -> tuple[str, np.ndarray] | None:
+    """Text of the bytes (a mark for each that is no UTF-8) and where its characters end; None if nothing can be found in it."""
+    text = raw.decode(errors="surrogateescape")
+    if not TELLING.search(raw) and not readable(text):
         return None
-    return text if len(text) >= ASSIGN_LENGTH and all(c.isprintable() or c in "\t\n\r" for c in text) else None
+    codes = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), "<u4")
+    bad = (codes >= 0xDC80) & (codes <= 0xDCFF)
+    sizes = np.where(bad, 1, 1 + (codes >= 0x80) + (codes >= 0x800) + (codes >= 0x10000).astype(np.int64))
+    if bad.any():
+        text = np.where(bad, 0xFFFD, codes).astype("<u4").tobytes().decode("utf-32-le")
+    return text, np.cumsum(sizes)
 
 
-def opened(layer: Layer, s: int, e: int) -> Iterator[Layer]:
-    """Layers inside the base64 run [s, e): its text, or what its compressed payload holds."""
+def opened(layer: Layer, s: int, e: int, seen: set[bytes]) -> Iterator[Layer | None]:
+    """Layers inside the base64 run [s, e), which may hold line breaks: its text at each alignment, and what
+    compressed payloads in it hold; None for one that cannot be opened."""
     body = layer.text[s:e]
-    try:
-        raw = base64.b64decode(body.replace("-", "+").replace("_", "/") + "=" * (-len(body) % 4))
-    except (binascii.Error, ValueError):
-        return
-    content, packed = raw, False
-    while (more := inflated(content)) is not None and more != content:
-        content, packed = more, True
-    text = readable(content)
-    if text is None:
-        return
-    if packed:
-        starts, ends = [s] * len(text), [e] * len(text)
-    else:  # byte k comes from the letters of its sextets
-        at, starts, ends = 0, [], []
-        for c in text:
-            upto = at + len(c.encode())
-            starts.append(s + at * 4 // 3)
-            ends.append(min(e, s + -(-upto * 4 // 3)))
-            at = upto
-    yield layer.inner(text, starts, ends)
+    spots = np.arange(s, e)
+    if not body.isascii() or "\n" in body:
+        letters = np.array([not c.isspace() for c in body])
+        body, spots = "".join(body.split()), spots[letters]
+    body = body.replace("-", "+").replace("_", "/")
+    for shift in range(4):
+        n = len(body) - shift
+        n -= n % 4 == 1
+        if n < ASSIGN_LENGTH:
+            continue
+        raw = base64.b64decode(body[shift : shift + n] + "=" * (-n % 4))
+        if got := decoded(raw):
+            text, upto = got
+            at = np.concatenate([[0], upto[:-1]])
+            yield layer.inner(text, spots[shift + at * 4 // 3], spots[np.minimum(shift - (-upto * 4 // 3), len(body)) - 1] + 1)
+        work = [raw]
+        while work:
+            for content in inflated(work.pop()):
+                if content is None:
+                    yield None
+                    continue
+                mark = hashlib.blake2b(content, digest_size=16).digest()
+                if mark in seen:
+                    continue
+                seen.add(mark)
+                work.append(content)
+                if got := decoded(content):
+                    yield Layer(got[0], whole=layer.origin(s, e))
+
+
+def base64_spans(text: str, lone: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Runs wrapped over lines as one, and the ``lone`` ones outside them."""
+    if "\n" not in text:
+        return lone
+    joined = [m.span() for m in WRAPPED_RUN.finditer(text) if m.end() - m.start() > BASE64_LENGTH]
+    edges = np.array([x for span in joined for x in span])
+    return joined + [r for r in lone if not np.searchsorted(edges, r[0], "right") % 2]
 
 
 def find_secrets(text: str | None) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, int]], int, int]:
@@ -200,7 +262,7 @@ def find_secrets(text: str | None) -> tuple[list[tuple[int, int, int]], list[tup
     text = text or ""
     base: list[tuple[int, int, int]] = []
     every: set[tuple[int, int, int]] = set()
-    work, seen, layers, unopened = [Layer(text)], set(), 0, 0
+    work, seen, contents, layers, unopened = [Layer(text)], set(), set(), 0, 0
     while work:
         layer = work.pop()
         mark = hashlib.blake2b(layer.text.encode("utf-8", "surrogatepass"), digest_size=16).digest()
@@ -219,11 +281,12 @@ def find_secrets(text: str | None) -> tuple[list[tuple[int, int, int]], list[tup
             work.append(new)
         if ("\\" in layer.text or "&#" in layer.text) and (new := by_escapes(layer, UNICODE_ESCAPE, unescaped)):
             work.append(new)
-        for s, e in base64_runs:
-            try:
-                work += opened(layer, s, e)
-            except OverflowError:
-                unopened += 1
+        for s, e in base64_spans(layer.text, base64_runs):
+            for new in opened(layer, s, e, contents):
+                if new is None:
+                    unopened += 1
+                else:
+                    work.append(new)
     return base, sorted(every), layers, unopened
 
 

@@ -1,10 +1,13 @@
 """Per-row operators against brute force, round trips and odd rows."""
 
 import base64
+import bz2
 import gzip
 import hashlib
+import lzma
 import random
 import re
+import zlib
 
 import numpy as np
 import pandas as pd
@@ -64,6 +67,35 @@ def test_secret_layers_that_repeat_end():
     assert secrets.find_secrets("%2525252525 " * 50)[2] < 10
 
 
+def test_secrets_in_layers_that_are_odd_misaligned_wrapped_or_long(monkeypatch):
+    plain = "password=hunter2secret"
+    b64 = lambda b: base64.b64encode(b).decode()
+    noise = random.Random(1).randbytes(300)
+    mime = base64.encodebytes(gzip.compress(noise + plain.encode())).decode().strip()
+    cases = {
+        "nbsp": b64(f"mot\u00a0de passe {plain}".encode()), "nul": b64(b"a\0b " + plain.encode()), "bom": b64(("\ufeff" + plain).encode()),
+        "not utf-8": b64(b"\xe9t\xe9 " + plain.encode()), "gzip with nbsp": b64(gzip.compress(f"\u3000{plain}".encode())),
+        "url not utf-8": "%E9" + "".join(f"%{b:02X}" for b in plain.encode()),
+        "path": "/files/" + b64(plain.encode()), "dash": "id-" + b64(plain.encode()), "letters": "abcd1" + b64(plain.encode()).rstrip("="),
+        "path gzip": "/f/" + b64(gzip.compress(plain.encode())), "mod 1": b64(plain.encode() + b"xx").rstrip("=") + "A",
+        "mime": mime, "mime crlf": mime.replace("\n", "\r\n"), "wrapped": "cGFz\n" + b64(plain.encode())[4:],
+        "members": b64(gzip.compress(b"first ") + gzip.compress(plain.encode())), "straddling": b64(gzip.compress(plain[:12].encode()) + gzip.compress(plain[12:].encode())),
+        "bz2 members": b64(bz2.compress(b"first ") + bz2.compress(plain.encode())), "xz members": b64(lzma.compress(b"first ") + lzma.compress(plain.encode())),
+        "within": b64(b"\x00\x01head" + zlib.compress(plain.encode())),
+    }
+    for kind, body in cases.items():
+        text = f"before é {body} after"
+        every = secrets.find_secrets(text)[1]
+        inner = [(s, e) for s, k, e in every if k == 0]
+        assert inner and all(9 <= s < e <= 9 + len(body) for s, e in inner), kind
+        assert secrets.find_secrets(secrets.masked(text, every))[1] == [], kind
+    monkeypatch.setattr(secrets, "INFLATE", 1 << 20)
+    monkeypatch.setattr(secrets, "OVERLAP", 1 << 12)
+    for pack in (gzip.compress, bz2.compress, lzma.compress):
+        for where in ((1 << 20) - 9, (1 << 21) - 4096 - 5, 5 << 20):
+            assert any(k == 0 for _, k, _ in secrets.find_secrets("x " + b64(pack(b"." * where + b" " + plain.encode() + b" " * (1 << 20))))[1])
+
+
 def test_chat_round_trip_and_loss(spark):
     words = ["<|im_end|>", "\\", "<|", "<\\|", "\n", "ok", "é", "", "\\n", "<"]
     rng = random.Random(3)
