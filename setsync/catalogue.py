@@ -16,7 +16,8 @@ from setsync.operators import cells, estimators, filters, parity, peel, semijoin
 from setsync.plans import advisor, hybrid, ledger, static_hybrid, sweep
 from setsync.plans.costs import leak_cost_bits
 from setsync.sources import workloads
-from setsync.sources.elements import LEFT, RIGHT, digests, table
+from setsync.sources.elements import LEFT, RIGHT, digests, table, tagged
+from setsync.sources.messages import settled
 from setsync.streaming import cell_stream, slice_stream
 
 POINTS = [0.0, 20.0, 50.0, 85.0, 95.0, 100.0]
@@ -24,9 +25,13 @@ FEW = [50.0, 95.0]
 CLOSE = [95.0, 99.0]
 PREFIX_1, PREFIX_2 = 13, 24
 RATES = [0.01, 0.25]
-COARSE = [0.01, 0.05, 0.1, 0.2, 0.35, 0.5]
+TRIALS, TRIAL_POINTS = 30, [50.0, 90.0]
+CHARGED = ["sliced_hybrid", "cell_stream", "syndrome_sketch", "digest_exchange", "full_transfer"]
+COSTS = [("cells, all fields", leak_cost_bits()), ("cells, no count", leak_cost_bits(count_bits=0)), ("sketch", leak_cost_bits("sketch"))]
 CELLS = 32
 MOMENT_CELLS = 64
+SKETCH_POINTS, SKETCH_SIZE = [85.0, 90.0, 95.0, 99.0], 2000
+ROUTINE = [99.5, 99.9, 100.0]
 CUTS = ["2024-01-10", "2024-01-20", "2024-01-29"]
 NATURAL = {"orders": None, "part": None, "documents": None, "pages": None, "conversations": None, "embeddings": None}
 
@@ -38,6 +43,11 @@ def swept(points: list[float]):
     return pair
 
 
+def stored(points: list[float], n: int | None = None):
+    """The same, written to the shared folder: for queries that read it several times."""
+    return lambda spark, folder: settled(swept(points)(spark, folder, n), "sweep")
+
+
 def replica_pair_sizes(spark, folder):
     return transfer.set_sizes(swept(POINTS)(spark, folder))
 
@@ -64,9 +74,9 @@ def slice_fill(spark, folder):
 
 
 def first_phase(spark, folder, points=POINTS):
-    pair = swept(points)(spark, folder)
+    pair = stored(points)(spark, folder)
     left, right = pair.where(F.col("side") == LEFT), pair.where(F.col("side") == RIGHT)
-    return left, hybrid.run_phase(left, right, 1, dialect="portable", prefix=PREFIX_1)
+    return left, hybrid.run_phase(left, right, 1, dialect="portable", prefix=PREFIX_1, in_shards=False)
 
 
 def second_phase(spark, folder, points=POINTS):
@@ -79,6 +89,12 @@ def phase1_histogram(spark, folder):
     return first_phase(spark, folder)[1].histogram
 
 
+def leak_cost_stops(spark, folder):
+    histogram = settled(first_phase(spark, folder)[1].histogram, "histogram", 1)
+    each = [slices.stop_slice(histogram, cost).withColumn("cost", F.lit(name)) for name, cost in COSTS]
+    return each[0].unionByName(each[1]).unionByName(each[2])
+
+
 def phase1_stop(spark, folder):
     return first_phase(spark, folder)[1].stops
 
@@ -92,12 +108,7 @@ def phase2_stop(spark, folder):
 
 
 def hybrid_metadata(spark, folder):
-    first, second = second_phase(spark, folder)
-    kept = [p.status.where("suspect").groupBy("run_id", "digest").agg(F.lit(s).alias("s")) for p, s in ((first, 1), (second, -1))]
-    leaks = kept[0].unionByName(kept[1]).groupBy("run_id", "digest").agg(F.sum("s").alias("s")).where("s <> 0").groupBy("run_id").agg(F.count("*").alias("leaks"))
-    sent = lambda p, k: p.stops.select("run_id", (F.col("stop") + 1).alias(f"slices_{k}"), ((F.col("stop") + 1) * F.ceil(F.col("m") / 8)).cast("long").alias(f"bytes_{k}"))
-    per = sent(first, 1).join(sent(second, 2), "run_id", "left").join(leaks, "run_id", "left").na.fill(0)
-    return per.withColumn("metadata_bytes", F.round(F.col("bytes_1") + F.col("bytes_2") + F.col("leaks") * leak_cost_bits() / 8, 3))
+    return sweep.charged_hybrid(*second_phase(spark, folder))
 
 
 def differences(found: DataFrame) -> DataFrame:
@@ -105,11 +116,11 @@ def differences(found: DataFrame) -> DataFrame:
 
 
 def hybrid_result(spark, folder):
-    return differences(hybrid.difference_found(hybrid.synchronise(swept(POINTS)(spark, folder).persist())))
+    return differences(hybrid.difference_found(hybrid.synchronise(stored(POINTS)(spark, folder))))
 
 
 def converged_union(spark, folder):
-    pair = swept(POINTS)(spark, folder).persist()
+    pair = stored(POINTS)(spark, folder)
     found = hybrid.difference_found(hybrid.synchronise(pair)).select("run_id", "digest", "side")
     both = pair.select("run_id", "digest", F.col("side").cast("int").alias("side")).unionByName(found.withColumn("side", -F.col("side")))
     per = both.distinct().groupBy("run_id", "side").agg(F.count("*").alias("n"), F.sum(F.pmod("digest", F.lit(1_000_003))).alias("digest_sum"))
@@ -117,7 +128,7 @@ def converged_union(spark, folder):
 
 
 def hybrid_sharded(spark, folder):
-    pair = swept(FEW)(spark, folder).withColumn("shard", F.pmod("digest", F.lit(8)).cast("int")).persist()
+    pair = stored(FEW)(spark, folder).withColumn("shard", F.pmod("digest", F.lit(8)).cast("int"))
     return differences(hybrid.difference_found(hybrid.synchronise(pair, stop="shard", in_shards=True)))
 
 
@@ -129,19 +140,25 @@ def hybrid_natural(spark, folder):
     pair = parts[0]
     for p in parts[1:]:
         pair = pair.unionByName(p)
-    return sweep.converged(pair.persist(), hybrid.synchronise(pair))
+    pair = settled(pair, "natural")
+    return sweep.converged(pair, hybrid.synchronise(pair))
 
 
 def hybrid_bytes(spark, folder):
-    pair = swept(POINTS)(spark, folder).persist()
+    pair = stored(POINTS)(spark, folder)
     return ledger.summarise(hybrid.hybrid_ledger(pair, hybrid.synchronise(pair)))
 
 
 def hybrid_turn_based(spark, folder):
-    pair = swept(FEW)(spark, folder).persist()
-    trace = hybrid.synchronise(pair)
-    both = [hybrid.hybrid_ledger(pair, trace, mode="turn_based").withColumn("mode", F.lit("turn_based")), hybrid.hybrid_ledger(pair, trace, latency_slices=1).withColumn("mode", F.lit("continuous"))]
-    return both[0].unionByName(both[1]).where("is_metadata").groupBy("run_id", "mode").agg(F.sum("bytes").alias("metadata_bytes"), F.sum("messages").alias("messages"))
+    """Both ways of sending slices: a byte asks for each, or they flow on and one more is under way when the stop arrives."""
+    phases = hybrid.filter_phases(stored(FEW)(spark, folder), dialect="portable")
+    parts = []
+    for number, phase in enumerate(phases, 1):
+        k, one = F.col("stop") + 1, F.ceil(F.col("m") / 8)
+        asked = F.struct(F.lit("turn_based").alias("mode"), (2 * k).cast("long").alias("messages"), (k * one + k).cast("long").alias("bytes"))
+        flowing = F.struct(F.lit("continuous").alias("mode"), (k + 2).cast("long").alias("messages"), ((k + 1) * one + 1).cast("long").alias("bytes"))
+        parts.append(phase.stops.select("run_id", F.lit(number).alias("phase"), F.explode(F.array(asked, flowing)).alias("x")).select("run_id", "phase", "x.*"))
+    return parts[0].unionByName(parts[1])
 
 
 def effective_rates(spark, folder):
@@ -162,11 +179,15 @@ def static_hybrid_bytes(spark, folder):
 
 
 def best_static_eps(spark, folder):
-    return static_hybrid.best_static(swept(FEW)(spark, folder), COARSE, "portable")
+    return static_hybrid.best_static(swept(FEW)(spark, folder), static_hybrid.GRID, "portable")
+
+
+def best_static_sweep(spark, folder):
+    return static_hybrid.best_static(swept(workloads.FULL_RANGE)(spark, folder))
 
 
 def static_hybrid_result(spark, folder):
-    return differences(static_hybrid.static_hybrid(swept(FEW)(spark, folder).persist(), 0.05))
+    return differences(static_hybrid.static_hybrid(stored(FEW)(spark, folder), 0.05))
 
 
 def partitioned_equals_slices(spark, folder):
@@ -190,18 +211,18 @@ def cell_prefix(spark, folder):
 
 
 def cell_stream_result(spark, folder):
-    pair = swept(CLOSE)(spark, folder).persist()
+    pair = stored(CLOSE)(spark, folder)
     return differences(hybrid.reconcile_cells(pair, 2000, exact_prefix=False).where("digest is not null"))
 
 
 def relational_peel_result(spark, folder):
-    pair = swept([99.0])(spark, folder).persist()
+    pair = stored([99.0])(spark, folder)
     size = 4096
     return differences(peel.peel_relational(cells.difference_cells(pair, size), size).where("decoded"))
 
 
 def cells_per_diff(spark, folder):
-    pair = swept([90.0, 95.0, 98.0, 99.0, 99.9])(spark, folder).persist()
+    pair = stored([90.0, 95.0, 98.0, 99.0, 99.9])(spark, folder)
     got = hybrid.reconcile_cells(pair, 4000)
     per = got.groupBy("run_id").agg(F.max("cells_used").alias("cells"), F.count("digest").alias("d"))
     return per.withColumn("cells_per_diff", F.col("cells") / F.col("d"))
@@ -222,8 +243,11 @@ def syndrome_bytes(spark, folder):
 
 
 def syndrome_result(spark, folder):
-    pair = swept([98.0])(spark, folder, n=2000).withColumn("shard", F.pmod("digest", F.lit(16)).cast("int"))
-    return differences(syndrome.syndrome_sketch(pair, 14).where("decoded and digest is not null"))
+    """Whole sets at 98 %: shards of about 8 differences, those above the capacity once more with twice as much."""
+    pair = stored([98.0])(spark, folder)
+    d = transfer.set_sizes(pair).agg(F.max("d")).first()[0] or 1
+    pair = pair.withColumn("shard", F.pmod("digest", F.lit(-(-d // 8))).cast("int"))
+    return differences(syndrome.syndrome_complete(pair, 14).where("digest is not null"))
 
 
 def parity_round1_bins(spark, folder):
@@ -231,7 +255,7 @@ def parity_round1_bins(spark, folder):
 
 
 def estimated(spark, folder, points):
-    pair = swept(points)(spark, folder).persist()
+    pair = stored(points)(spark, folder)
     return pair, estimators.sign_sum_estimate(pair).select("run_id", F.col("d_safe").alias("d_hat"))
 
 
@@ -255,7 +279,7 @@ def cell_moment_estimate(spark, folder):
 
 
 def sketch_estimates(spark, folder):
-    pair = swept(POINTS)(spark, folder).persist()
+    pair = stored(POINTS)(spark, folder)
     both = estimators.hll_difference_estimate(pair).withColumn("estimator", F.lit("hll"))
     return both.unionByName(estimators.theta_difference_estimate(pair).withColumn("estimator", F.lit("theta")))
 
@@ -279,7 +303,7 @@ def digest_exchange_bytes(spark, folder):
 
 def plain_measures(spark, folder):
     pair, runs = workloads.lineitem_sweep(spark, folder, workloads.FULL_RANGE, dialect="portable")
-    sizes = transfer.set_sizes(pair).persist()
+    sizes = settled(transfer.set_sizes(pair), "sizes", 1)
     rows = transfer.full_transfer_ledger(sizes).unionByName(transfer.digest_exchange_ledger(sizes)).unionByName(syndrome.sketch_ledger(sizes))
     return sweep.measures(ledger.summarise(rows), pair, runs)
 
@@ -289,33 +313,100 @@ def overhead_by_similarity(spark, folder):
 
 
 def crossover(spark, folder):
-    rows = plain_measures(spark, folder).persist()
+    rows = settled(plain_measures(spark, folder), "measures", 1)
     return sweep.crossover(rows, "full_transfer", "syndrome_sketch").unionByName(sweep.crossover(rows, "full_transfer", "digest_exchange"))
 
 
 def bytes_by_kind(spark, folder):
-    sizes = transfer.set_sizes(swept(POINTS)(spark, folder)).persist()
+    sizes = settled(transfer.set_sizes(swept(POINTS)(spark, folder)), "sizes", 1)
     return ledger.by_kind(transfer.full_transfer_ledger(sizes).unionByName(syndrome.sketch_ledger(sizes)))
 
 
+def charged(spark, folder, points, methods, rates=[], trials=1):
+    pair, runs = workloads.lineitem_sweep(spark, folder, points, trials, dialect="portable")
+    return sweep.charged_rows(settled(pair, "sweep"), runs, methods, rates)
+
+
 def experiment_static(spark, folder):
-    pair, runs = workloads.lineitem_sweep(spark, folder, [0.0, 50.0, 85.0, 100.0])
-    pair = pair.persist()
-    rows = hybrid.hybrid_ledger(pair, hybrid.synchronise(pair)).unionByName(static_hybrid.static_ledger(pair, sweep.STATIC_RATES))
-    return sweep.measures(ledger.summarise(rows), pair, runs)
+    return charged(spark, folder, workloads.FULL_RANGE, ["sliced_hybrid"], sweep.STATIC_RATES)
+
+
+def experiment_charged(spark, folder):
+    return charged(spark, folder, workloads.FULL_RANGE, CHARGED)
+
+
+def experiment_charged_high(spark, folder):
+    return charged(spark, folder, workloads.HIGH_RANGE, CHARGED)
+
+
+def savings(spark, folder):
+    rows = settled(experiment_charged(spark, folder), "measures", 1)
+    parts = [sweep.savings(rows, measure=m).select("other", "similarity_pct", F.lit(m).alias("measure"), F.round("saving_pct", 6).alias("saving_pct")) for m in ("metadata_bytes", "total_bytes")]
+    return parts[0].unionByName(parts[1])
+
+
+def crossover_hybrid(spark, folder):
+    rows = settled(experiment_charged(spark, folder).unionByName(experiment_charged_high(spark, folder).where("similarity_pct % 5 <> 0")), "measures", 1)
+    parts = [sweep.crossover(rows, "sliced_hybrid", other) for other in CHARGED[1:]]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2]).unionByName(parts[3])
+
+
+def trials_summary(spark, folder):
+    rows = charged(spark, folder, TRIAL_POINTS, ["sliced_hybrid", "full_transfer"], trials=TRIALS)
+    return sweep.over_trials(rows, ["metadata_bytes", "total_bytes", "overhead_ratio"], 4)
+
+
+def trials_full(spark, folder):
+    """All similarities and trials, every step of the hybrid really run."""
+    pair, runs = workloads.lineitem_sweep(spark, folder, workloads.FULL_RANGE, trials=TRIALS)
+    pair = settled(pair, "sweep")
+    return sweep.over_trials(sweep.measures(ledger.summarise(hybrid.hybrid_ledger(pair, hybrid.synchronise(pair))), pair, runs))
 
 
 def experiment_all(spark, folder):
-    return sweep.experiment(spark, folder, [0.0, 30.0, 60.0, 85.0, 95.0, 99.0])
+    return sweep.experiment(spark, folder, workloads.FULL_RANGE)
 
 
 def experiment_high(spark, folder):
-    return sweep.experiment(spark, folder, [85.0, 90.0, 95.0, 97.5, 99.5, 100.0])
+    return sweep.experiment(spark, folder, workloads.HIGH_RANGE)
 
 
 def operation_counts(spark, folder):
-    pair = swept(POINTS)(spark, folder).persist()
-    return sweep.operation_counts(pair, hybrid.synchronise(pair))
+    return sweep.operation_counts(stored(POINTS)(spark, folder))
+
+
+def method_times(spark, folder):
+    """Wall times, which differ from run to run: ``run_id, method, encode_ms, decode_ms, compute_ms``."""
+    return sweep.method_times(swept(POINTS)(spark, folder))
+
+
+def sketch_decode_result(spark, folder):
+    """The sketch workload: sets of 2,000, small enough for a sketch to decode, 128 shards of capacity 30."""
+    pair = swept(SKETCH_POINTS)(spark, folder, n=SKETCH_SIZE).withColumn("shard", F.pmod("digest", F.lit(128)).cast("int"))
+    return differences(syndrome.syndrome_complete(pair, 14).where("digest is not null"))
+
+
+def routine_sync(spark, folder):
+    """Frequent small updates, and none: identical sets included."""
+    base = digests(table(spark, folder, "events"), ["event_id"], "portable")
+    n = base.count() * 9 // 10
+    pair = settled(workloads.replica_pairs(base, workloads.runs_table(spark, n, ROUTINE), "portable"), "routine")
+    return differences(hybrid.difference_found(hybrid.synchronise(pair)))
+
+
+def uneven_sets(spark, folder):
+    """Copies on one side, one side a tenth of the other, nothing in common: elements found on each side."""
+    texts, items = table(spark, folder, "documents").select("doc_id", "text"), table(spark, folder, "benchmark").select("text")
+    orders = table(spark, folder, "orders").select("o_orderkey")
+    pairs = {
+        "copies": (texts.select("text"), texts.where("doc_id % 3 <> 0").select("text")),
+        "unequal": (orders.where("o_orderkey % 10 = 0"), orders), "disjoint": (texts.select("text"), items),
+    }
+    out = None
+    for name, (left, right) in pairs.items():
+        one = tagged(digests(left, None), digests(right, None), name)
+        out = one if out is None else out.unionByName(one)
+    return hybrid.difference_found(hybrid.synchronise(settled(out, "uneven"))).groupBy("run_id", "side").agg(F.count("*").alias("n"))
 
 
 def joins(spark, folder):
@@ -329,6 +420,20 @@ def key_semijoin(spark, folder):
     return semijoin.ship_all(lines, urgent, "k").traffic.unionByName(semijoin.key_semijoin(lines, urgent, "k").traffic)
 
 
+def semijoin_traffic(spark, folder):
+    """The other two joins: orders of one customer segment, lines of one brand of parts."""
+    customers = table(spark, folder, "customer").where("c_mktsegment = 'BUILDING'").select(F.col("c_custkey").alias("k"))
+    orders = table(spark, folder, "orders").select(F.col("o_custkey").alias("k"), "o_orderkey")
+    parts = table(spark, folder, "part").where("p_size <= 10").select(F.col("p_partkey").alias("k"))
+    lines = table(spark, folder, "lineitem").select(F.col("l_partkey").alias("k"), "l_orderkey", "l_linenumber", "l_suppkey")
+    out = None
+    for name, left, right in (("orders of customers", orders, customers), ("lines of parts", lines, parts)):
+        for shipped in (semijoin.ship_all(left, right, "k"), semijoin.key_semijoin(left, right, "k")):
+            row = shipped.traffic.withColumn("joined", F.lit(name))
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
 def filter_semijoin(spark, folder):
     lines, urgent = joins(spark, folder)
     return semijoin.filter_semijoin(lines, urgent, "k", 0.01, "portable").traffic.unionByName(semijoin.filter_semijoin(lines, urgent, "k", 0.25, "portable").traffic)
@@ -336,7 +441,8 @@ def filter_semijoin(spark, folder):
 
 def sliced_semijoin_trace(spark, folder):
     lines, urgent = joins(spark, folder)
-    return semijoin.sliced_trace(lines, urgent, "k", "portable")[1].where("slice < 5").drop("run_id")
+    _, histogram, stops = semijoin.sliced_trace(lines, urgent, "k", "portable")
+    return histogram.join(F.broadcast(stops.select("stop"))).where("slice <= stop").drop("run_id")
 
 
 def sliced_semijoin_join(spark, folder):
@@ -354,11 +460,22 @@ def lagging_replica_events(spark, folder):
 
 
 def outage_events(spark, folder):
-    pair = workloads.outage_pair(table(spark, folder, "events"), ("2024-01-05", "2024-01-08"), ("2024-01-20", "2024-01-22")).persist()
+    pair = workloads.outage_pair(table(spark, folder, "events"), ("2024-01-05", "2024-01-08"), ("2024-01-20", "2024-01-22"))
+    pair = settled(pair, "outage")
     found = hybrid.difference_found(hybrid.synchronise(pair))
     return found.groupBy("side").agg(F.count("*").alias("n"))
 
 
+def worked_ranges_six(spark, folder):
+    """The same with six cells for four differences, as in the worked example: the first draw of positions that decodes."""
+    pair = settled(workloads.integer_ranges(spark, (1, 100_001), (3, 100_003)), "ranges")
+    for salt in range(900, 932):
+        got = settled(xortable.table_reconcile(pair, 6, 3, salt).where("decoded and digest is not null"), "six", 1)
+        if got.limit(1).count():
+            return differences(got)
+    raise RuntimeError("no draw of positions decodes")
+
+
 def worked_ranges(spark, folder):
     pair = workloads.integer_ranges(spark, (1, 100_001), (3, 100_003))
     return differences(xortable.table_reconcile(pair, 60, 3).where("decoded and digest is not null"))
@@ -367,8 +484,10 @@ def worked_ranges(spark, folder):
 def windowed_cells(spark, folder):
     events = table(spark, folder, "events").select("ts", "event_id")
     both = events.withColumn("side", F.lit(LEFT)).where("event_id % 50 <> 0").unionByName(events.withColumn("side", F.lit(RIGHT)))
-    cell0 = cell_stream.windowed_cells(both.withColumn("ts", F.col("ts").cast("timestamp")), 64).where("cell = 0")
-    return cell0.select("run_id", F.col("cnt").alias("missing"))
+    # Cell 0 counts what a window lacks; a window's 64 cells are all empty where it lacks nothing.
+    per = cell_stream.windowed_cells(both.withColumn("ts", F.col("ts").cast("timestamp")), 64)
+    differs = (F.col("id_xor") != 0) | (F.col("check_xor") != 0) | (F.col("cnt") != 0)
+    return per.groupBy("run_id").agg(F.max(F.when(F.col("cell") == 0, F.col("cnt"))).alias("missing"), F.max(differs).alias("differs"))
 
 
 def session_sizes(spark, folder):
@@ -385,15 +504,15 @@ def stream_slices(spark, folder):
     from setsync.sources.messages import ensure_checkpoints, shared_table
 
     ensure_checkpoints(spark)
-    pair = swept([50.0])(spark, folder).persist()
+    pair = stored([50.0])(spark, folder)
     path = shared_table(spark, "sent-slices")
-    slice_stream.write_slices(pair.where(F.col("side") == LEFT), path, 0, 9)
-    state = slice_stream.stream_slices(spark, path, pair.where(F.col("side") == RIGHT), leak_cost_bits())
+    slice_stream.write_slices(pair.where(F.col("side") == LEFT), path, 0, 9, dialect="portable")
+    state = slice_stream.stream_slices(spark, path, pair.where(F.col("side") == RIGHT), leak_cost_bits(), dialect="portable")
     return spark.createDataFrame([(*r, state.stop, state.overshoot) for r in state.trace], "slice int, new_rejects long, m long, stop int, overshoot int")
 
 
 def probe_then_sync(spark, folder):
-    return differences(advisor.probe_then_sync(swept(POINTS)(spark, folder).persist())[0])
+    return differences(advisor.probe_then_sync(stored(POINTS)(spark, folder))[0])
 
 
 def advise(spark, folder):
@@ -419,24 +538,18 @@ def sql_functions(spark, folder):
         select k as slice, m, count(distinct slice_pos_portable(digest, 1, k, m)) set_bits from e cross join m lateral view explode(sequence(0L, 2L)) t as k group by k, m""")
 
 
-def trials_summary(spark, folder):
-    pair, runs = workloads.lineitem_sweep(spark, folder, [50.0, 90.0], trials=3, n=600)
-    pair = pair.persist()
-    rows = ledger.summarise(hybrid.hybrid_ledger(pair, hybrid.synchronise(pair)))
-    return sweep.over_trials(sweep.measures(rows, pair, runs))
-
-
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
     for f in (
-        replica_pair_sizes, jaccard_sweep, exact_difference, slice_bits, slice_fill, phase1_histogram, phase1_stop, phase2_histogram, phase2_stop,
+        replica_pair_sizes, jaccard_sweep, exact_difference, slice_bits, slice_fill, phase1_histogram, phase1_stop, phase2_histogram, phase2_stop, leak_cost_stops,
         hybrid_metadata, hybrid_result, converged_union, hybrid_sharded, hybrid_natural, hybrid_bytes, hybrid_turn_based, effective_rates,
-        static_filter_fpr, static_hybrid_bytes, best_static_eps, static_hybrid_result, partitioned_equals_slices, xortable_cells, xortable_result,
+        static_filter_fpr, static_hybrid_bytes, best_static_eps, best_static_sweep, static_hybrid_result, partitioned_equals_slices, xortable_cells, xortable_result,
         cell_prefix, cell_stream_result, relational_peel_result, cells_per_diff, maintained_cells, syndrome_bytes, syndrome_result,
         parity_round1_bins, parity_result, parity_bytes, sign_sum_estimate, cell_moment_estimate, sketch_estimates, subset_difference,
-        full_transfer_bytes, digest_exchange_bytes, overhead_by_similarity, crossover, bytes_by_kind, experiment_static, experiment_all, experiment_high,
+        full_transfer_bytes, digest_exchange_bytes, overhead_by_similarity, crossover, bytes_by_kind, experiment_static, experiment_charged, experiment_charged_high, savings, crossover_hybrid,
+        trials_summary, trials_full, experiment_all, experiment_high, method_times, sketch_decode_result, routine_sync, uneven_sets, semijoin_traffic, worked_ranges_six,
         operation_counts, key_semijoin, filter_semijoin, sliced_semijoin_trace, sliced_semijoin_join, lagging_replica_events, outage_events,
-        worked_ranges, windowed_cells, session_sizes, latest_user_events, stream_slices, probe_then_sync, advise, wide_digest_difference, sql_functions, trials_summary,
+        worked_ranges, windowed_cells, session_sizes, latest_user_events, stream_slices, probe_then_sync, advise, wide_digest_difference, sql_functions,
     )
 }
 

@@ -6,6 +6,8 @@ bits of md5 over text, which other engines compute alike; it exists for comparis
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -118,6 +120,18 @@ def check_np(digest: np.ndarray) -> np.ndarray:
     return mix_np(digest, 1_000_003)
 
 
+def portable_np(digest: np.ndarray, *salt: int) -> np.ndarray:
+    """Twin of ``Portable.mix``: md5 knows no vectors, so this is for oracles and small sets."""
+    end = "".join(f":{s}" for s in salt).encode()
+    md5 = hashlib.md5
+    return np.array([int(md5(b"%d%b" % (x, end)).hexdigest()[:15], 16) for x in np.asarray(digest, np.int64).tolist()], np.int64)
+
+
+def mixed_np(dialect: str, digest: np.ndarray, *salt: int) -> np.ndarray:
+    """Signed twin of ``mix`` in either dialect; ``% m`` gives the position."""
+    return portable_np(digest, *salt) if dialect == "portable" else mix_np(digest, *salt).view(np.int64)
+
+
 def canonical(df: DataFrame, columns: list[str] | None = None) -> Column:
     """One text per row that tells all rows apart: each field with its length, nulls with a mark of their own."""
 

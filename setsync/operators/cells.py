@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from setsync.functions.hashing import DIALECTS, draw_np
+from setsync.functions.hashing import DIALECTS, check_np, draw_np
 
 def enough_steps(cells: int) -> int:
     """Draws after which a sequence has left the prefix: about 2 ln M on average; to need this many has a chance under 1e-12."""
@@ -92,20 +92,28 @@ def subtract_cells(left: DataFrame, right: DataFrame) -> DataFrame:
     return both.select(*keys, xor("ia", "ib").alias("id_xor"), xor("ca", "cb").alias("check_xor"), (F.coalesce("nb", zero) - F.coalesce("na", zero)).alias("cnt"))
 
 
+def summed(digests: np.ndarray, signs: np.ndarray, high: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(cell, XOR of digests, XOR of checks, sum of signs) of the cells below ``high`` that anything falls in."""
+    who, where = positions_np(digests, high)
+    order = np.argsort(where, kind="stable")
+    who, where = who[order], where[order]
+    starts = np.flatnonzero(np.diff(where, prepend=-1))
+    if not len(starts):
+        return (np.zeros(0, np.int64),) * 4
+    fold = lambda x, how: how.reduceat(x[who], starts)
+    return where[starts], fold(digests, np.bitwise_xor), fold(check_np(digests).view(np.int64), np.bitwise_xor), fold(signs, np.add)
+
+
 def cell_kernel(high: int):
     """Partial difference cells of each batch and scope: what would be a row per contribution is added up before it moves."""
 
     def run(batches):
-        from setsync.operators.peel import Cells
-
         for batch in batches:
             pdf = batch.to_pandas()
             for (run_id, shard), own in pdf.groupby(["run_id", "shard"], sort=False):
-                box = Cells(high)
-                box.add(own.digest.to_numpy(np.int64), own.side.to_numpy(np.int64))
-                at = np.flatnonzero((box.ids != 0) | (box.checks != 0) | (box.counts != 0))
+                at, ids, checks, counts = summed(own.digest.to_numpy(np.int64), own.side.to_numpy(np.int64), high)
                 yield pa.record_batch(
-                    [pa.array([run_id] * len(at), pa.string()), pa.array(np.full(len(at), shard, np.int32)), pa.array(at, pa.int64()), pa.array(box.ids[at].view(np.int64)), pa.array(box.checks[at].view(np.int64)), pa.array(box.counts[at])],
+                    [pa.array([run_id] * len(at), pa.string()), pa.array(np.full(len(at), shard, np.int32)), pa.array(at, pa.int64()), pa.array(ids), pa.array(checks), pa.array(counts)],
                     names=["run_id", "shard", "cell", "id_xor", "check_xor", "cnt"],
                 )
 

@@ -56,11 +56,10 @@ def hll_difference_estimate(elements: DataFrame, lg_k: int = 14) -> DataFrame:
 
 def theta_difference_estimate(elements: DataFrame, lg_k: int = 14) -> DataFrame:
     """d from theta sketches of both sides: A minus B plus B minus A."""
-    elements.createOrReplaceTempView("_theta_elements")
-    return elements.sparkSession.sql(f"""
-        with s as (select run_id, theta_sketch_agg(case when side < 0 then digest end, {lg_k}) a, theta_sketch_agg(case when side > 0 then digest end, {lg_k}) b
-                   from _theta_elements group by run_id)
-        select run_id, cast(theta_sketch_estimate(theta_difference(a, b)) + theta_sketch_estimate(theta_difference(b, a)) as double) d_hat from s""")
+    side = lambda test: F.expr(f"theta_sketch_agg(case when {test} then digest end, {lg_k})")
+    per = elements.groupBy("run_id").agg(side("side < 0").alias("a"), side("side > 0").alias("b"))
+    both = F.expr("theta_sketch_estimate(theta_difference(a, b)) + theta_sketch_estimate(theta_difference(b, a))")
+    return per.select("run_id", both.cast("double").alias("d_hat"))
 
 
 def subset_difference_size(elements: DataFrame) -> DataFrame:

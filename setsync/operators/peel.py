@@ -43,30 +43,59 @@ def peel(cells: Cells, positions=positions_np) -> tuple[np.ndarray, np.ndarray,
     Each round takes every pure cell at once: count one either way and a check that fits the sum.
     Cells of count 0 with something in their sums are neither pure nor empty.
     """
-    found: dict[int, int] = {}
+    found, owners = np.zeros(0, np.int64), np.zeros(0, np.int64)  # ``found`` stays sorted
     while True:
         at = np.flatnonzero(np.abs(cells.counts) == 1)
         if len(at):
             at = at[check_np(cells.ids[at].view(np.int64)) == cells.checks[at]]
         ids, first = np.unique(cells.ids[at].view(np.int64), return_index=True)
         signs = cells.counts[at][first]
-        new = np.array([x not in found for x in ids.tolist()], bool)
+        new = ~np.isin(ids, found, assume_unique=True)
         ids, signs = ids[new], signs[new]
         if not len(ids):
             break
-        found |= dict(zip(ids.tolist(), signs.tolist()))
         cells.add(ids, -signs, positions)
-    return np.array(list(found), np.int64), np.array(list(found.values()), np.int64), cells.empty()
-
-
-def least_prefix(digests: np.ndarray, signs: np.ndarray, enough: int) -> int:
+        found, owners = np.concatenate([found, ids]), np.concatenate([owners, signs])
+        order = np.argsort(found)
+        found, owners = found[order], owners[order]
+    return found, owners, cells.empty()
+
+
+def empties(who: np.ndarray, where: np.ndarray, n: int, size: int) -> bool:
+    """Whether peeling takes all ``n`` elements out of cells [0, size): cells of one element are pure, whoever owns it."""
+    inside = where < size
+    who, where = who[inside], where[inside]
+    load = np.bincount(where, minlength=size)
+    names = np.zeros(size, np.int64)  # XOR of the elements in a cell: of a lone one, itself
+    np.bitwise_xor.at(names, where, who)
+    first = np.searchsorted(who, np.arange(n + 1))
+    gone = np.zeros(n, bool)
+    lone = names[load == 1]
+    while len(lone):
+        lone = np.unique(lone[~gone[lone]])
+        gone[lone] = True
+        counts = first[lone + 1] - first[lone]
+        own = np.repeat(first[lone] - np.cumsum(counts) + counts, counts) + np.arange(counts.sum())
+        spots, elements = where[own], who[own]
+        np.subtract.at(load, spots, 1)
+        np.bitwise_xor.at(names, spots, elements)
+        spots = np.unique(spots)
+        lone = names[spots[load[spots] == 1]]
+    return bool(gone.all())
+
+
+def least_prefix(digests: np.ndarray, enough: int) -> int:
     """The smallest prefix that decodes; more cells never hurt, so it is bisected below one that does."""
-    full = Cells(enough)
-    full.add(digests, signs)
+    who, where = positions_np(digests, enough)
+    order = np.argsort(who, kind="stable")
+    who, where = who[order], where[order]
     low, high = 0, enough
+    likely = [k for k in (int(1.25 * len(digests)), int(1.5 * len(digests)) + 8) if k < enough]
     while low < high:
-        mid = (low + high) // 2
-        if peel(full.prefix(mid))[2]:
+        mid = likely.pop() if likely else (low + high) // 2
+        if not low <= mid < high:
+            continue
+        if empties(who, where, len(digests), mid):
             high = mid
         else:
             low = mid + 1
@@ -86,7 +115,7 @@ def peel_local(cells: DataFrame, size: int | None = None, exact_prefix: bool = F
         at = pdf.cell.to_numpy(np.int64)
         box.ids[at], box.checks[at], box.counts[at] = pdf.id_xor.to_numpy(np.int64).view(np.uint64), pdf.check_xor.to_numpy(np.int64).view(np.uint64), pdf.cnt
         ids, signs, decoded = peel(box)
-        used = least_prefix(ids, signs, m) if exact_prefix and decoded else m
+        used = least_prefix(ids, m) if exact_prefix and decoded else m
         n = max(1, len(ids)) if decoded else 1
         none = not decoded or not len(ids)
         return pd.DataFrame(
@@ -102,13 +131,17 @@ def peel_local(cells: DataFrame, size: int | None = None, exact_prefix: bool = F
 
 def peel_relational(cells: DataFrame, size: int, dialect: str = "fast", max_rounds: int = 60) -> DataFrame:
     """The same as rounds of joins, for scopes no task can hold: pure cells, their elements once each,
-    minus their contributions. Each round is cut by a checkpoint; the driver reads one number."""
+    minus their contributions. Each round is cut by a checkpoint; the driver reads one number. Each round
+    finds something, so there are as many rounds as the longest chain of peels: about log d if it decodes,
+    and an error beyond ``max_rounds``."""
     spark = cells.sparkSession
     ensure_checkpoints(spark)
     hashing = DIALECTS[dialect]
     left = cells.select("run_id", "shard", "cell", "id_xor", "check_xor", "cnt")
     found = None
-    for _ in range(max_rounds):
+    for turn in range(max_rounds + 1):
+        if turn == max_rounds:
+            raise RuntimeError(f"peeling goes on after {max_rounds} rounds")
         pure = left.where((F.abs("cnt") == 1) & (hashing.check(F.col("id_xor")) == F.col("check_xor")))
         pure = pure.groupBy("run_id", "shard", F.col("id_xor").alias("digest")).agg(F.first("cnt").cast("int").alias("side"))
         pure = pure.join(found, ["run_id", "shard", "digest"], "left_anti") if found is not None else pure

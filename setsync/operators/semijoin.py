@@ -14,6 +14,7 @@ from setsync.functions.hashing import DIALECTS, canonical
 from setsync.operators.filters import build_filter, probe_filter, sizes_for
 from setsync.operators.slices import build_slices, rejects_by_slice, sized, stop_slice, test_slices
 from setsync.plans.costs import prefix_length
+from setsync.sources.messages import settled
 
 
 @dataclass
@@ -67,9 +68,9 @@ def sliced_trace(left: DataFrame, right: DataFrame, on: str, dialect: str = "fas
     stats = rows.agg(F.count("*").alias("n"), F.avg(F.octet_length(canonical(rows))).alias("w")).first()
     cost = row_bits or max(1.0, 8.0 * (stats.w or 1.0))
     last = prefix_length(max(1, source.count()), stats.n, cost) - 1
-    tested = test_slices(keys, build_slices(source, 0, last, 1, sizes, dialect), sizes, 0, last, 1, dialect).persist()
-    each = tested.withColumn("_c", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))))
-    histogram = rejects_by_slice(each, sizes, last)
+    tested = test_slices(keys, build_slices(source, 0, last, 1, sizes, dialect), sizes, 0, last, 1, dialect)
+    tested = settled(tested, "tested-keys")
+    histogram = rejects_by_slice(tested, sizes, last, weight="copies")
     return tested, histogram, stop_slice(histogram, cost)
 
 

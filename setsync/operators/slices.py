@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from setsync.functions.hashing import DIALECTS, below_np
+from setsync.functions.hashing import DIALECTS, mixed_np
 from setsync.plans.costs import slice_bits
 
 SCOPE = ["run_id", "shard"]
@@ -54,8 +54,8 @@ def test_slices(suspects: DataFrame, slices: DataFrame, sizes: DataFrame, first:
     return tested.unionByName(known.where("m is null or m = 0").select(*suspects.columns, F.lit(-1).alias("first_miss")))
 
 
-def shard_kernel(first: int, last: int, phase: int):
-    """Both steps for one scope in memory, slice by slice over what still passes. Fast dialect; equal to the joins."""
+def shard_kernel(first: int, last: int, phase: int, dialect: str = "fast"):
+    """Both steps for one scope in memory, slice by slice over what still passes; equal to the joins."""
 
     def run(source: pd.DataFrame, receiver: pd.DataFrame) -> pd.DataFrame:
         left, right = source.digest.to_numpy(np.int64), receiver.digest.to_numpy(np.int64)
@@ -66,22 +66,22 @@ def shard_kernel(first: int, last: int, phase: int):
             if not len(waiting):
                 break
             bits = np.zeros(m, bool)
-            bits[below_np(m, left, phase, k)] = True
-            hit = bits[below_np(m, right[waiting], phase, k)]
+            bits[mixed_np(dialect, left, phase, k) % m] = True
+            hit = bits[mixed_np(dialect, right[waiting], phase, k) % m]
             miss[waiting[~hit]] = k
             waiting = waiting[hit]
-        return receiver.assign(first_miss=pd.array([None if x > last else x for x in miss], "Int64"))
+        return receiver.assign(first_miss=pd.Series(miss, receiver.index, "Int32").mask(miss > last))
 
     return run
 
 
-def test_in_shards(source: DataFrame, suspects: DataFrame, first: int, last: int, phase: int = 1) -> DataFrame:
+def test_in_shards(source: DataFrame, suspects: DataFrame, first: int, last: int, phase: int = 1, dialect: str = "fast") -> DataFrame:
     """``test_slices`` over the slices of ``source`` without exploding: scopes meet in one task each, bits stay in memory.
 
     For sharded sets: a shard's slice is n / ln 2 bits and its elements are 8 bytes each.
     """
     schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in suspects.schema.fields) + ", first_miss int"
-    kernel = shard_kernel(first, last, phase)
+    kernel = shard_kernel(first, last, phase, dialect)
 
     def grouped(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         return kernel(a, b)
@@ -91,14 +91,16 @@ def test_in_shards(source: DataFrame, suspects: DataFrame, first: int, last: int
     return apart.cogroup(suspects.groupBy(*SCOPE)).applyInPandas(grouped, schema)
 
 
-def rejects_by_slice(tested: DataFrame, sizes: DataFrame, last: int, per: list[str] = ["run_id"]) -> DataFrame:
+def rejects_by_slice(tested: DataFrame, sizes: DataFrame, last: int, per: list[str] = ["run_id"], weight: str | None = None) -> DataFrame:
     """``per, slice, m, new_rejects, cum_rejects, cum_bits``: a row for each slice, those without rejects too.
 
+    ``weight``: a column with the number of elements that a row stands for.
+
     With ``per = [run_id]`` shards decide together (their bits and rejects add up); with the scope each decides alone.
     """
     bits = sizes.groupBy(*per).agg(F.sum("m").alias("m"))
     calendar = bits.where("m > 0").withColumn("slice", F.explode(F.sequence(F.lit(0), F.lit(last))))
-    counts = tested.where("first_miss >= 0").groupBy(*per, F.col("first_miss").alias("slice")).agg(F.count("*").alias("new_rejects"))
+    counts = tested.where("first_miss >= 0").groupBy(*per, F.col("first_miss").alias("slice")).agg((F.sum(weight) if weight else F.count("*")).cast("long").alias("new_rejects"))
     full = calendar.join(counts, [*per, "slice"], "left").withColumn("new_rejects", F.coalesce("new_rejects", F.lit(0)))
     upto = W.partitionBy(*per).orderBy("slice").rowsBetween(W.unboundedPreceding, 0)
     return full.select(*per, "slice", "m", "new_rejects", F.sum("new_rejects").over(upto).alias("cum_rejects"), (F.col("m") * (F.col("slice") + 1)).alias("cum_bits"))

@@ -8,6 +8,7 @@ locator without as many roots as its degree, never as a wrong answer.
 from __future__ import annotations
 
 import random
+from functools import lru_cache
 
 import numpy as np
 import pandas as pd
@@ -17,6 +18,7 @@ from pyspark.sql import functions as F
 from setsync.operators.transfer import payload_lines
 from setsync.plans import ledger
 from setsync.plans.costs import DIGEST_BYTES
+from setsync.sources.messages import settled
 
 #: Low terms of the field polynomials by width.
 FIELD = {16: 0x2B, 32: 0x8D, 64: 0x1B}
@@ -155,39 +157,96 @@ def sketch(digests: np.ndarray, capacity: int, width: int = 64) -> list[int]:
     return out
 
 
-def decode(sums: list[int], width: int = 64) -> list[int] | None:
-    """The elements whose odd power sums these are; None if there are more than the sketch holds."""
-    field, t = Field(width), len(sums)
+def locator(sums: list[int], field) -> list[int] | None:
+    """The polynomial whose roots are the inverses of the elements with these odd power sums, lowest term first;
+    None if no such polynomial is short enough. Any field with ``mul`` and ``inverse`` will do."""
+    t = len(sums)
     s = [0] * (2 * t + 1)
     for k, v in enumerate(sums):
         s[2 * k + 1] = v
     for k in range(1, t + 1):
         s[2 * k] = field.mul(s[k], s[k])
     s = s[1:]
-    locator, last, size, gap, last_gap = [1], [1], 0, 1, 1
+    found, last, size, gap, last_gap = [1], [1], 0, 1, 1
     for n in range(2 * t):
         off = s[n]
-        for k in range(1, size + 1):
-            if k < len(locator):
-                off ^= field.mul(locator[k], s[n - k])
+        for k in range(1, min(size + 1, len(found))):
+            off ^= field.mul(found[k], s[n - k])
         if not off:
             gap += 1
             continue
         scale = field.mul(off, field.inverse(last_gap))
-        new = locator + [0] * max(0, gap + len(last) - len(locator))
+        new = found + [0] * max(0, gap + len(last) - len(found))
         for k, c in enumerate(last):
             new[gap + k] ^= field.mul(scale, c)
         if 2 * size <= n:
-            size, last, last_gap, gap = n + 1 - size, locator, off, 1
+            size, last, last_gap, gap = n + 1 - size, found, off, 1
         else:
             gap += 1
-        locator = new
-    locator = field.trim(locator)
-    if len(locator) - 1 != size or size > t:
+        found = new
+    while found and not found[-1]:
+        found.pop()
+    return found if len(found) - 1 == size <= t else None
+
+
+def decode(sums: list[int], width: int = 64) -> list[int] | None:
+    """The elements whose odd power sums these are; None if there are more than the sketch holds."""
+    field = Field(width)
+    found = locator(sums, field)
+    if found is None:
         return None
-    monic = locator[::-1]
-    found = field.roots(monic, random.Random(size))
-    return found if found is not None and len(found) == size else None
+    roots = field.roots(found[::-1], random.Random(len(found) - 1))
+    return roots if roots is not None and len(roots) == len(found) - 1 else None
+
+
+class SmallField:
+    """GF(2^q) of a bitmap's bins by tables of powers; ``decode`` tries every element."""
+
+    #: Primitive polynomials by width.
+    POLYNOMIALS = {6: 0x43, 7: 0x89, 8: 0x11D, 9: 0x211, 10: 0x409, 11: 0x805}
+
+    def __init__(self, q: int):
+        self.order = (1 << q) - 1
+        powers, x = [], 1
+        for _ in range(self.order):
+            powers.append(x)
+            x <<= 1
+            if x >> q:
+                x ^= self.POLYNOMIALS[q]
+        self.power = powers * 2
+        self.log = [0] * (self.order + 1)
+        for k, x in enumerate(powers):
+            self.log[x] = k
+        self.power_np, self.log_np = np.array(self.power), np.array(self.log)
+
+    def mul(self, a: int, b: int) -> int:
+        return self.power[self.log[a] + self.log[b]] if a and b else 0
+
+    def inverse(self, a: int) -> int:
+        return self.power[self.order - self.log[a]]
+
+    def sums(self, bins: np.ndarray, t: int) -> list[int]:
+        """Odd power sums of the elements alpha^bin."""
+        odd = 2 * np.arange(t)[:, None] + 1
+        return np.bitwise_xor.reduce(self.power_np[bins[None, :].astype(np.int64) * odd % self.order], axis=1).tolist() if len(bins) else [0] * t
+
+    def decode(self, sums: list[int]) -> np.ndarray | None:
+        """The bins of a sketch; None where it holds more than it can tell."""
+        found = locator(sums, self)
+        if found is None:
+            return None
+        at = np.arange(self.order)
+        value = np.full(self.order, found[0])
+        for k, c in enumerate(found[1:], 1):
+            if c:
+                value ^= self.power_np[(self.log[c] - k * at) % self.order]
+        bins = np.flatnonzero(value == 0)
+        return bins if len(bins) == len(found) - 1 else None
+
+
+@lru_cache(maxsize=None)
+def small_field(q: int) -> SmallField:
+    return SmallField(q)
 
 
 def sketch_ledger(sizes: DataFrame) -> DataFrame:
@@ -198,6 +257,19 @@ def sketch_ledger(sizes: DataFrame) -> DataFrame:
     ])
 
 
+def syndrome_complete(elements: DataFrame, capacity: int, width: int = 64) -> DataFrame:
+    """``syndrome_sketch``, repeated with twice the capacity for the scopes that fail until none does."""
+    out, left = None, elements
+    while True:
+        got = settled(syndrome_sketch(left, capacity, width), "sketched")
+        fine = got.where("decoded")
+        out = fine if out is None else out.unionByName(fine)
+        failed = got.where("not decoded").select("run_id", "shard")
+        if not failed.limit(1).count():
+            return out
+        left, capacity = left.join(failed, ["run_id", "shard"], "left_semi"), 2 * capacity
+
+
 def syndrome_sketch(elements: DataFrame, capacity: int, width: int = 64) -> DataFrame:
     """Really decodes, scope by scope: ``run_id, shard, digest, side, decoded``. Split a set into shards whose
     differences stay within ``capacity``: decoding takes the square of it. A scope that fails has one row."""

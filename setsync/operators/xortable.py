@@ -11,9 +11,9 @@ from setsync.functions.hashing import DIALECTS, below_np
 from setsync.operators.peel import SCHEMA, Cells, peel
 
 
-def table_spots(elements: DataFrame, cells: int, k: int, dialect: str = "fast") -> DataFrame:
+def table_spots(elements: DataFrame, cells: int, k: int, dialect: str = "fast", salt: int = 900) -> DataFrame:
     block = cells // k
-    spot = F.col("_h") * block + DIALECTS[dialect].below(block, F.col("digest"), 900, F.col("_h"))
+    spot = F.col("_h") * block + DIALECTS[dialect].below(block, F.col("digest"), salt, F.col("_h"))
     return elements.withColumn("_h", F.explode(F.sequence(F.lit(0), F.lit(k - 1)))).withColumn("cell", spot.cast("long")).drop("_h")
 
 
@@ -36,16 +36,16 @@ def is_pure(dialect: str = "fast"):
     return (F.abs("cnt") == 1) & (DIALECTS[dialect].check(F.col("id_xor")) == F.col("check_xor"))
 
 
-def block_positions(k: int):
+def block_positions(k: int, salt: int = 900):
     def positions(digests: np.ndarray, cells: int) -> tuple[np.ndarray, np.ndarray]:
         block = cells // k
         who = np.tile(np.arange(len(digests)), k)
-        return who, np.concatenate([h * block + below_np(block, digests, 900, h) for h in range(k)]) if len(digests) else np.zeros(0, np.int64)
+        return who, np.concatenate([h * block + below_np(block, digests, salt, h) for h in range(k)]) if len(digests) else np.zeros(0, np.int64)
 
     return positions
 
 
-def list_table(table: DataFrame, cells: int, k: int = 3) -> DataFrame:
+def list_table(table: DataFrame, cells: int, k: int = 3, salt: int = 900) -> DataFrame:
     """Peels a table (of one set, or a difference): digests with signs, ``decoded`` false where cells remain."""
     size = cells // k * k
 
@@ -53,7 +53,7 @@ def list_table(table: DataFrame, cells: int, k: int = 3) -> DataFrame:
         box = Cells(size)
         at = pdf.cell.to_numpy(np.int64)
         box.ids[at], box.checks[at], box.counts[at] = pdf.id_xor.to_numpy(np.int64).view(np.uint64), pdf.check_xor.to_numpy(np.int64).view(np.uint64), pdf.cnt
-        ids, signs, decoded = peel(box, block_positions(k))
+        ids, signs, decoded = peel(box, block_positions(k, salt))
         n = max(1, len(ids))
         return pd.DataFrame(
             {
@@ -65,8 +65,8 @@ def list_table(table: DataFrame, cells: int, k: int = 3) -> DataFrame:
     return table.groupBy("run_id", "shard").applyInPandas(run, SCHEMA)
 
 
-def table_reconcile(elements: DataFrame, cells: int, k: int = 3) -> DataFrame:
-    """The difference of both sides through one static table a scope; common elements cancel."""
-    spots = table_spots(elements, cells, k).withColumn("chk", DIALECTS["fast"].check(F.col("digest")))
+def table_reconcile(elements: DataFrame, cells: int, k: int = 3, salt: int = 900) -> DataFrame:
+    """The difference of both sides through one static table a scope; common elements cancel. ``salt`` draws other positions."""
+    spots = table_spots(elements, cells, k, salt=salt).withColumn("chk", DIALECTS["fast"].check(F.col("digest")))
     diff = spots.groupBy("run_id", "shard", "cell").agg(F.bit_xor("digest").alias("id_xor"), F.bit_xor("chk").alias("check_xor"), F.sum(F.col("side").cast("long")).alias("cnt"))
-    return list_table(diff, cells, k)
+    return list_table(diff, cells, k, salt)

@@ -10,6 +10,7 @@ from setsync.operators import cells as cell_ops
 from setsync.operators.estimators import cell_moment_estimate
 from setsync.plans.costs import predict_cells, predict_hybrid, predict_parity, predict_sketch, predict_static
 from setsync.plans.hybrid import difference_found, reconcile_cells, synchronise
+from setsync.sources.messages import settled
 
 #: Rough work per method in element operations, for weighing CPU against bytes.
 WORK = {"sliced_hybrid": lambda n, d: 12 * n, "parity_groups": lambda n, d: 2 * n + 6 * d, "cell_stream": lambda n, d: 2 * n * max(1, d).bit_length(), "syndrome_sketch": lambda n, d: n * d + d * d, "static_1": lambda n, d: 14 * n, "full_transfer": lambda n, d: n}
@@ -45,15 +46,15 @@ def probe_then_sync(elements: DataFrame, prefix: int = 256, switch_at: float = 0
     """Cells first: (difference ``run_id, digest, side``, choice ``run_id, n, d_hat, intersection, method``).
 
     A prefix of cells gives an estimate of d; runs under ``switch_at`` of their size go on with cells,
-    the rest turn to slices. A prefix that decodes already is final for its run.
+    the rest turn to slices. A prefix that decodes already is final for its run. Pass a stored frame.
     """
-    diff = cell_ops.difference_cells(elements, prefix).persist()
+    diff = settled(cell_ops.difference_cells(elements, prefix), "prefix")
     sizes = elements.groupBy("run_id").agg(F.count("*").alias("n"))
     d_hat = cell_moment_estimate(diff, prefix)
     choice = sizes.join(d_hat, "run_id").select(
         "run_id", "n", "d_hat", ((F.col("n") - F.col("d_hat")) / 2).alias("intersection"), F.when(F.col("d_hat") <= F.col("n") / 2 * switch_at, "cell_stream").otherwise("sliced_hybrid").alias("method")
     )
-    choice = choice.persist()
+    choice = settled(choice, "choice", 1)
     small = elements.join(choice.where("method = 'cell_stream'").select("run_id"), "run_id", "left_semi")
     large = elements.join(choice.where("method <> 'cell_stream'").select("run_id"), "run_id", "left_semi")
     out = None

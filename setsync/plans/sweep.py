@@ -4,17 +4,21 @@ from __future__ import annotations
 
 import time
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from setsync.operators import cells as cell_ops
 from setsync.operators.estimators import sign_sum_estimate
 from setsync.operators.parity import parity_groups, parity_ledger
 from setsync.operators.syndrome import sketch_ledger
 from setsync.operators.transfer import digest_exchange_ledger, exact_difference, full_transfer_ledger, payload_lines, set_sizes
 from setsync.plans import ledger
-from setsync.plans.hybrid import difference_found, hybrid_ledger, reconcile_cells, synchronise
-from setsync.plans.static_hybrid import static_ledger
+from setsync.plans.hybrid import Phase, difference_found, filter_phases, hybrid_ledger, reconcile_cells, synchronise
+from setsync.plans.costs import CELLS_PER_DIFFERENCE, DIGEST_BYTES, leak_cost_bits
+from setsync.plans.static_hybrid import static_counts, static_ledger
+from setsync.sources.elements import LEFT, RIGHT
+from setsync.sources.messages import settled
 
 STATIC_RATES = [0.01, 0.05, 0.10, 0.25]
 
@@ -33,8 +37,8 @@ def cell_stream_ledger(elements: DataFrame, start: int | None = None, cell_bytes
 
 
 def all_ledgers(elements: DataFrame, rates: list[float] = STATIC_RATES) -> DataFrame:
-    """Ledger rows of every method over all runs in ``elements`` (fast dialect)."""
-    sizes = set_sizes(elements).persist()
+    """Ledger rows of every method over all runs in ``elements`` (fast dialect; a stored frame)."""
+    sizes = settled(set_sizes(elements), "sizes", 1)
     trace = synchronise(elements)
     _, parity_costs = parity_groups(elements, sign_sum_estimate(elements).select("run_id", F.col("d_safe").alias("d_hat")))
     parts = [
@@ -54,10 +58,10 @@ def measures(summary: DataFrame, elements: DataFrame, runs: DataFrame) -> DataFr
     return rows.withColumn("overhead_ratio", F.when(F.col("minimum_bytes") > 0, F.col("total_bytes") / F.col("minimum_bytes")))
 
 
-def over_trials(rows: DataFrame) -> DataFrame:
+def over_trials(rows: DataFrame, names: list[str] = ["metadata_bytes", "metadata_core_bytes", "total_bytes", "overhead_ratio"], places: int = 9) -> DataFrame:
     """Mean and standard deviation of every measure by method and similarity."""
-    names = ["metadata_bytes", "metadata_core_bytes", "total_bytes", "overhead_ratio"]
-    return rows.groupBy("method", "similarity_pct").agg(F.avg("d").alias("d"), *[f(n).alias(f"{n}_{k}") for n in names for k, f in (("mean", F.avg), ("sd", F.stddev_samp))], F.count("*").alias("trials"))
+    each = [F.round(f(n), places).alias(f"{n}_{k}") for n in names for k, f in (("mean", F.avg), ("sd", F.stddev_samp))]
+    return rows.groupBy("method", "similarity_pct").agg(F.avg("d").alias("d"), *each, F.count("*").alias("trials"))
 
 
 def beside(rows: DataFrame, measure: str = "metadata_bytes") -> DataFrame:
@@ -79,17 +83,63 @@ def savings(rows: DataFrame, method: str = "sliced_hybrid", measure: str = "meta
     """What ``method`` saves against each other one, in per cent of theirs."""
     own = rows.where(F.col("method") == method).groupBy("similarity_pct").agg(F.avg(measure).alias("own"))
     rest = rows.where(F.col("method") != method).groupBy("method", "similarity_pct").agg(F.avg(measure).alias("theirs"))
-    return rest.join(own, "similarity_pct").select(F.col("method").alias("other"), "similarity_pct", ((F.col("theirs") - F.col("own")) / F.col("theirs") * 100).alias("saving_pct"))
-
-
-def operation_counts(elements: DataFrame, trace) -> DataFrame:
-    """Deterministic effort of the hybrid by run: bits set and tested, cell updates, elements peeled."""
+    return rest.join(own, "similarity_pct").select(F.col("method").alias("other"), "similarity_pct", F.when(F.col("theirs") != 0, (F.col("theirs") - F.col("own")) / F.col("theirs") * 100).alias("saving_pct"))
+
+
+def leaks_of(first: Phase, second: Phase) -> DataFrame:
+    """``run_id, leaks, wanted``: what both filter phases let through, and the left side's part of it."""
+    kept = [p.status.where("suspect").select("run_id", "digest", F.lit(s).alias("s")) for p, s in ((first, 1), (second, -1))]
+    one_sided = kept[0].unionByName(kept[1]).groupBy("run_id", "digest").agg(F.sum("s").alias("s")).where("s <> 0")
+    return one_sided.groupBy("run_id").agg(F.count("*").alias("leaks"), F.sum(F.when(F.col("s") < 0, 1).otherwise(0)).alias("wanted"))
+
+
+def charged_hybrid(first: Phase, second: Phase, cost_bits: float | None = None) -> DataFrame:
+    """``run_id, slices_1, bytes_1, slices_2, bytes_2, leaks, metadata_bytes``: slices as sent, leaks at their cost in cells."""
+    sent = lambda p, k: p.stops.select("run_id", (F.col("stop") + 1).alias(f"slices_{k}"), ((F.col("stop") + 1) * F.ceil(F.col("m") / 8)).cast("long").alias(f"bytes_{k}"))
+    per = sent(first, 1).join(sent(second, 2), "run_id", "left").join(leaks_of(first, second).drop("wanted"), "run_id", "left").na.fill(0)
+    return per.withColumn("metadata_bytes", F.round(F.col("bytes_1") + F.col("bytes_2") + F.col("leaks") * (cost_bits or leak_cost_bits()) / 8, 3))
+
+
+def charged_rows(elements: DataFrame, runs: DataFrame, methods: list[str], rates: list[float] = [], dialect: str = "portable") -> DataFrame:
+    """``method, run_id, similarity_pct, trial, d, metadata_bytes, total_bytes, minimum_bytes, overhead_ratio`` with the exact step charged.
+
+    Filters are built and tested; what they leave costs its share of cells, and the methods without
+    filters what their formulas say for the true d. ``elements``: a stored frame.
+    """
+    sizes = settled(set_sizes(elements), "sizes", 1)
+    formulas = {
+        "cell_stream": F.ceil(F.col("d") * CELLS_PER_DIFFERENCE) * 24, "syndrome_sketch": DIGEST_BYTES * F.col("d"),
+        "digest_exchange": DIGEST_BYTES * F.col("n_a"), "full_transfer": F.col("common_bytes"),
+    }
+    parts = [sizes.select("run_id", F.lit(k).alias("method"), v.cast("double").alias("metadata_bytes")) for k, v in formulas.items() if k in methods]
+    if "sliced_hybrid" in methods:
+        parts.append(charged_hybrid(*filter_phases(elements, dialect=dialect)).select("run_id", F.lit("sliced_hybrid").alias("method"), "metadata_bytes"))
+    if rates:
+        cost = F.ceil(F.col("bits_1") / 8) + F.ceil(F.col("bits_2") / 8) + F.ceil(F.col("leaks") * CELLS_PER_DIFFERENCE) * 24
+        parts.append(static_counts(elements, rates, dialect).select("run_id", F.concat(F.lit("static_"), (F.col("eps") * 100).cast("int").cast("string")).alias("method"), cost.cast("double").alias("metadata_bytes")))
+    rows = parts[0]
+    for more in parts[1:]:
+        rows = rows.unionByName(more)
+    minimum = (F.col("a_only_bytes") + F.col("b_only_bytes")).alias("minimum_bytes")
+    known = rows.join(sizes.select("run_id", "d", minimum), "run_id").join(F.broadcast(runs.select("run_id", "similarity_pct", "trial")), "run_id")
+    total = F.round(F.col("metadata_bytes") + F.col("minimum_bytes"), 3)
+    ratio = F.when(F.col("minimum_bytes") > 0, F.round(total / F.col("minimum_bytes"), 6))
+    return known.select("method", "run_id", "similarity_pct", "trial", "d", "metadata_bytes", total.alias("total_bytes"), "minimum_bytes", ratio.alias("overhead_ratio"))
+
+
+def operation_counts(elements: DataFrame, dialect: str = "portable") -> DataFrame:
+    """Deterministic effort of the hybrid by run: bits set and tested, cell updates, elements peeled.
+
+    An element updates about 1 + 2 ln(c / 2 + 1) of c cells, and c is what the leaks are charged.
+    """
+    first, second = filter_phases(elements, dialect=dialect)
     tests = lambda p: p.status.join(p.stops.select("run_id", "stop"), "run_id", "left").groupBy("run_id").agg(F.sum(F.coalesce(F.least(F.col("first_miss"), F.col("stop")), F.col("stop"), F.lit(-1)) + 1).alias("t"))
-    builds = lambda p: p.sizes.groupBy("run_id").agg(F.sum("n").alias("n")).join(p.stops.groupBy("run_id").agg(F.max("stop").alias("stop")), "run_id").select("run_id", (F.col("n") * (F.col("stop") + 1)).alias("t"))
-    used = trace.leaks.groupBy("run_id", "shard").agg(F.max("cells_used").alias("c"))
-    updates = trace.suspects.join(used, ["run_id", "shard"]).groupBy("run_id").agg(F.sum(2 * F.log(F.col("c") / 2 + 1) + 1).alias("t"))
-    peeled = trace.leaks.groupBy("run_id").agg(F.count("digest").alias("t"))
-    parts = [(tests(trace.first), "test_1"), (tests(trace.second), "test_2"), (builds(trace.first), "set_1"), (builds(trace.second), "set_2"), (updates, "cell_update"), (peeled, "peel")]
+    builds = lambda p: p.sizes.groupBy("run_id").agg(F.sum("n").alias("n")).join(p.stops, "run_id").select("run_id", (F.col("n") * (F.col("stop") + 1)).alias("t"))
+    left = leaks_of(first, second).select("run_id", "leaks")
+    suspects = first.status.where("suspect").select("run_id").unionByName(second.status.where("suspect").select("run_id")).groupBy("run_id").agg(F.count("*").alias("n"))
+    cells = F.ceil(F.coalesce("leaks", F.lit(0)) * CELLS_PER_DIFFERENCE)
+    updates = suspects.join(left, "run_id", "left").select("run_id", F.round(F.col("n") * (1 + 2 * F.log(cells / 2 + 1)), 3).alias("t"))
+    parts = [(tests(first), "test_1"), (tests(second), "test_2"), (builds(first), "set_1"), (builds(second), "set_2"), (updates, "cell_update"), (left.select("run_id", F.col("leaks").alias("t")), "peel")]
     out = None
     for df, name in parts:
         row = df.select("run_id", F.lit(name).alias("operation"), F.col("t").cast("double").alias("times"))
@@ -97,31 +147,86 @@ def operation_counts(elements: DataFrame, trace) -> DataFrame:
     return out
 
 
-def timed(df: DataFrame) -> float:
-    """Milliseconds to compute all of a frame, nothing kept."""
-    began = time.perf_counter()
-    df.write.format("noop").mode("overwrite").save()
-    return (time.perf_counter() - began) * 1000
-
-
-def clock(elements: DataFrame) -> dict[str, dict[str, float]]:
-    """Wall-clock encode and decode milliseconds by method: building what is sent; testing and peeling it."""
-    from setsync.operators.slices import build_slices, sized, test_slices
-    from setsync.sources.elements import LEFT, RIGHT
-
-    elements = elements.persist()
-    elements.count()
-    left, right = elements.where(F.col("side") == LEFT), elements.where(F.col("side") == RIGHT)
-    sizes = sized(left).persist()
-    slices = build_slices(left, 0, 7, 1, sizes).persist()
-    d = set_sizes(elements).agg(F.max("d")).first()[0] or 1
-    cells = cell_ops.difference_cells(elements, int(1.6 * d) + 32).persist()
-    from setsync.operators.peel import peel_local
-
-    out = {"slices": {"encode_ms": timed(slices), "decode_ms": timed(test_slices(right, slices, sizes, 0, 7))}, "cells": {"encode_ms": timed(cells), "decode_ms": timed(peel_local(cells, int(1.6 * d) + 32))}}
-    for v in out.values():
-        v["compute_ms"] = v["encode_ms"] + v["decode_ms"]
-    return out
+def method_times(elements: DataFrame, cost_bits: float | None = None, rate: float = 0.01, sketch_limit: int = 64) -> DataFrame:
+    """``run_id, method, encode_ms, decode_ms, compute_ms``: each protocol run by one task for each run, as two peers on one machine would.
+
+    Encoding builds what is sent; decoding tests and peels it. The sketch decodes in the square of d, so
+    it is run up to ``sketch_limit`` differences and left out beyond.
+    """
+    from setsync.functions.hashing import mixed_np
+    from setsync.operators.cells import summed
+    from setsync.operators.filters import size_filter
+    from setsync.operators.peel import Cells, peel
+    from setsync.operators.syndrome import decode, sketch
+
+    cost = cost_bits or leak_cost_bits()
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        side, ids = pdf.side.to_numpy(), pdf.digest.to_numpy(np.int64)
+        left, right = ids[side == LEFT], ids[side == RIGHT]
+        clock, spent = time.perf_counter, {}
+
+        def charge(method: str, step: int, began: float) -> None:
+            spent.setdefault(method, [0.0, 0.0])[step] += (clock() - began) * 1000
+
+        def cells(method: str, a: np.ndarray, b: np.ndarray, start: int) -> int:
+            size = max(8, start)
+            while True:
+                began = clock()
+                both = [summed(x, np.full(len(x), s), size) for x, s in ((a, -1), (b, 1))]
+                charge(method, 0, began)
+                began, box = clock(), Cells(size)
+                for at, sums, checks, counts in both:
+                    box.ids[at] ^= sums.view(np.uint64)
+                    box.checks[at] ^= checks.view(np.uint64)
+                    box.counts[at] += counts
+                found, _, done = peel(box)
+                charge(method, 1, began)
+                if done:
+                    return len(found)
+                size *= 2
+
+        def slices(source: np.ndarray, receiver: np.ndarray, phase: int) -> np.ndarray:
+            waiting, m, k = receiver, int(np.ceil(len(source) / np.log(2))), 0
+            while m:
+                began, bits = clock(), np.zeros(m, bool)
+                bits[mixed_np("fast", source, phase, k) % m] = True
+                charge("sliced_hybrid", 0, began)
+                began = clock()
+                ok = bits[mixed_np("fast", waiting, phase, k) % m]
+                gained, waiting, k = int((~ok).sum()), waiting[ok], k + 1
+                charge("sliced_hybrid", 1, began)
+                if gained * cost < m:
+                    return waiting
+            return waiting[:0]
+
+        def filtered(source: np.ndarray, receiver: np.ndarray, phase: int) -> np.ndarray:
+            (m, k), began = size_filter(len(source), rate), clock()
+            bits, ok = np.zeros(max(1, m), bool), np.full(len(receiver), m > 0)
+            for h in range(k if m else 0):
+                bits[mixed_np("fast", source, 500 + phase, h) % m] = True
+            charge("static", 0, began)
+            began = clock()
+            for h in range(k if m else 0):
+                ok &= bits[mixed_np("fast", receiver, 500 + phase, h) % m]
+            charge("static", 1, began)
+            return receiver[ok]
+
+        d = cells("cell_stream", left, right, 1 + int(1.5 * (len(left) + len(right) - 2 * len(np.intersect1d(left, right)))))
+        for method, kept in (("sliced_hybrid", slices), ("static", filtered)):
+            right_kept = kept(left, right, 1)
+            left_kept = kept(right_kept, left, 2)
+            cells(method, left_kept, right_kept, 64)
+        if d <= sketch_limit:
+            began = clock()
+            sums = [sketch(x, max(1, d)) for x in (left, right)]
+            charge("syndrome_sketch", 0, began)
+            began = clock()
+            decode([x ^ y for x, y in zip(*sums)])
+            charge("syndrome_sketch", 1, began)
+        return pd.DataFrame([(pdf.run_id.iloc[0], k, a, b, a + b) for k, (a, b) in spent.items()], columns=["run_id", "method", "encode_ms", "decode_ms", "compute_ms"])
+
+    return elements.select("run_id", "side", "digest").groupBy("run_id").applyInPandas(run, "run_id string, method string, encode_ms double, decode_ms double, compute_ms double")
 
 
 def converged(elements: DataFrame, trace) -> DataFrame:
@@ -139,7 +244,7 @@ def experiment(spark: SparkSession, folder: str, similarities: list[float], tria
     from setsync.sources.workloads import lineitem_sweep
 
     elements, runs = lineitem_sweep(spark, folder, similarities, trials, n=n)
-    elements = elements.persist()
+    elements = settled(elements, "sweep")
     return measures(ledger.summarise(all_ledgers(elements)), elements, runs)
 
 

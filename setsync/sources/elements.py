@@ -36,7 +36,11 @@ def wide_digests(df: DataFrame, key: list[str] | None = None) -> DataFrame:
     return df.select(F.struct(half(1).alias("hi"), half(17).alias("lo")).alias("digest"), F.octet_length(text).alias("payload_bytes")).distinct()
 
 
+def shard_of(shards: int):
+    return F.pmod(F.xxhash64("digest", F.lit(5)), F.lit(shards)).cast("int")
+
+
 def tagged(left: DataFrame, right: DataFrame, run_id: str = "run", shards: int = 1) -> DataFrame:
     """Both sides' digests as one frame: ``run_id, side, shard, digest, payload_bytes``."""
     both = left.withColumn("side", F.lit(LEFT)).unionByName(right.withColumn("side", F.lit(RIGHT)))
-    return both.select(F.lit(run_id).alias("run_id"), "side", F.pmod(F.xxhash64("digest", F.lit(5)), F.lit(shards)).cast("int").alias("shard"), "digest", "payload_bytes")
+    return both.select(F.lit(run_id).alias("run_id"), "side", shard_of(shards).alias("shard"), "digest", "payload_bytes")

@@ -25,6 +25,17 @@ def shared_table(spark: SparkSession, name: str) -> str:
     return f"{folder}/{name}-{uuid.uuid4().hex}"
 
 
+def settled(df: DataFrame, name: str = "part", files: int | None = None) -> DataFrame:
+    """``df`` written to the shared folder and read back: later steps plan on a scan, not on all that led here.
+
+    Meant for narrow tables (digests, statuses, counts); ``files`` joins small ones up. What is stored
+    outlives lost executors.
+    """
+    path = shared_table(df.sparkSession, name)
+    (df.coalesce(files) if files else df).write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def ensure_checkpoints(spark: SparkSession) -> None:
     """``checkpoint()`` needs a folder; only local sessions without one get their own."""
     shared_table(spark, "unused")

@@ -29,14 +29,16 @@ def runs_table(spark: SparkSession, n: int, similarities: list[float], trials: i
 
 
 def ranked(elements: DataFrame, order: Column, buckets: int = 256) -> DataFrame:
-    """Adds ``rank`` from 0 by ``order`` (a non-negative 60-bit hash), counted bucket by bucket: no single task sorts all."""
+    """Adds ``rank`` from 0 within a ``trial`` by ``order`` (a non-negative 60-bit hash), counted bucket by bucket: no single task sorts all."""
     width = (1 << 60) // buckets
     keyed = elements.withColumn("_order", order).withColumn("_bucket", F.floor(F.col("_order") / width).cast("int"))
-    sizes = keyed.groupBy("_bucket").agg(F.count("*").alias("_n"))
-    starts = sizes.withColumn("_start", F.coalesce(F.sum("_n").over(W.orderBy("_bucket").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
-    local = F.row_number().over(W.partitionBy("_bucket").orderBy("_order", "digest"))
-    # One row a bucket: at most ``buckets`` rows to broadcast.
-    return keyed.join(F.broadcast(starts.select("_bucket", "_start")), "_bucket").withColumn("rank", F.col("_start") + local - 1).drop("_bucket", "_start", "_order")
+    sizes = keyed.groupBy("trial", "_bucket").agg(F.count("*").alias("_n"))
+    before = W.partitionBy("trial").orderBy("_bucket").rowsBetween(W.unboundedPreceding, -1)
+    starts = sizes.withColumn("_start", F.coalesce(F.sum("_n").over(before), F.lit(0)))
+    local = F.row_number().over(W.partitionBy("trial", "_bucket").orderBy("_order", "digest"))
+    # One row a trial and bucket: at most ``trials * buckets`` rows to broadcast.
+    known = keyed.join(F.broadcast(starts.select("trial", "_bucket", "_start")), ["trial", "_bucket"])
+    return known.withColumn("rank", F.col("_start") + local - 1).drop("_bucket", "_start", "_order")
 
 
 def order_of(digest: Column, trial: Column | int, dialect: str) -> Column:
@@ -50,13 +52,9 @@ def replica_pairs(elements: DataFrame, runs: DataFrame, dialect: str = "fast", t
 
     Ranks below n - u are common, the next u are the left side's own, the next u the right side's.
     """
-    parts = []
-    for t in range(trials):
-        own = runs.where(F.col("trial") == t)
-        parts.append(ranked(elements, order_of(F.col("digest"), t, dialect)).join(F.broadcast(own), F.col("rank") < F.col("n") + F.col("u")))
-    rows = parts[0]
-    for more in parts[1:]:
-        rows = rows.unionByName(more)
+    turns = elements.withColumn("trial", F.explode(F.sequence(F.lit(0), F.lit(trials - 1))))
+    inside = (F.col("rank") < F.col("n") + F.col("u")) & (F.col("trial") == F.col("_trial"))
+    rows = ranked(turns, order_of(F.col("digest"), F.col("trial"), dialect)).join(F.broadcast(runs.withColumnRenamed("trial", "_trial")), inside)
     common, r = F.col("n") - F.col("u"), F.col("rank")
     sides = (
         F.when(r < common, F.array(F.lit(LEFT), F.lit(RIGHT)))
@@ -76,7 +74,7 @@ def threshold_pair(elements: DataFrame, similarity_pct: float, trial: int = 0, r
 
 
 def lineitem_sweep(spark: SparkSession, folder: str, similarities: list[float], trials: int = 1, dialect: str = "fast", n: int | None = None, element_bytes: tuple[int, int] | None = (8, 80)) -> tuple[DataFrame, DataFrame]:
-    """(elements, runs) of a similarity sweep over lineitem: n is a third of its rows, 100,000 at most.
+    """(elements, runs) of a similarity sweep over lineitem: n is a third of its rows, 100,000 (the published size) at most; pass ``n`` for more.
 
     ``element_bytes``: sizes drawn uniformly from the digest; None keeps those of the rows.
     """

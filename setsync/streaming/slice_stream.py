@@ -11,16 +11,16 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from setsync.functions.hashing import Fast
+from setsync.functions.hashing import DIALECTS
 from setsync.operators.slices import SCOPE, build_slices, sized
 from setsync.sources.messages import shared_table
 
 SLICE_SCHEMA = "run_id string, shard int, slice int, m long, word_no long, bits long"
 
 
-def write_slices(elements: DataFrame, path: str, first: int, last: int, phase: int = 1) -> None:
+def write_slices(elements: DataFrame, path: str, first: int, last: int, phase: int = 1, dialect: str = "fast") -> None:
     """Slices as files partitioned by number; any reader of Parquet can follow them."""
-    build_slices(elements, first, last, phase, sized(elements)).withColumn("part", F.col("slice")).write.mode("append").partitionBy("part").parquet(path)
+    build_slices(elements, first, last, phase, sized(elements), dialect).withColumn("part", F.col("slice")).write.mode("append").partitionBy("part").parquet(path)
 
 
 @dataclass
@@ -34,9 +34,9 @@ class StreamState:
     trace: list[tuple[int, int, int]] = field(default_factory=list)
 
 
-def fold_slice(state: StreamState, words: DataFrame, number: int, cost_bits: float, phase: int) -> None:
+def fold_slice(state: StreamState, words: DataFrame, number: int, cost_bits: float, phase: int, dialect: str = "fast") -> None:
     m = words.agg(F.max("m")).first()[0]
-    probes = state.suspects.withColumn("pos", Fast.below(m, F.col("digest"), phase, number)).withColumn("word_no", F.floor(F.col("pos") / 64))
+    probes = state.suspects.withColumn("pos", DIALECTS[dialect].below(m, F.col("digest"), phase, number)).withColumn("word_no", F.floor(F.col("pos") / 64))
     met = probes.join(words.select(*SCOPE, "word_no", "bits"), [*SCOPE, "word_no"], "left")
     passes = F.expr("bits is not null and getbit(bits, cast(pmod(pos, 64) as int)) = 1")
     before = state.suspects.count()
@@ -49,7 +49,7 @@ def fold_slice(state: StreamState, words: DataFrame, number: int, cost_bits: flo
         state.stop = number
 
 
-def stream_slices(spark: SparkSession, path: str, suspects: DataFrame, cost_bits: float, phase: int = 1, checkpoint: str | None = None) -> StreamState:
+def stream_slices(spark: SparkSession, path: str, suspects: DataFrame, cost_bits: float, phase: int = 1, checkpoint: str | None = None, dialect: str = "fast") -> StreamState:
     """Follows the slice files of one run at ``path`` until the stop rule holds or no file is left.
 
     Every micro-batch goes to the waiting table; slices that are next in order are folded in. State
@@ -70,7 +70,7 @@ def stream_slices(spark: SparkSession, path: str, suspects: DataFrame, cost_bits
             batch.where(F.col("slice").isin(sorted(fresh))).dropDuplicates([*SCOPE, "slice", "word_no"]).write.mode("append").parquet(waiting)
         while state.stop is None and state.next_slice in seen:
             words = spark.read.schema(SLICE_SCHEMA).parquet(waiting).where(F.col("slice") == state.next_slice)
-            fold_slice(state, words, state.next_slice, cost_bits, phase)
+            fold_slice(state, words, state.next_slice, cost_bits, phase, dialect)
         if state.stop is not None:
             state.overshoot += len([k for k in seen if k > state.stop])
 

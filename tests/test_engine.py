@@ -15,7 +15,7 @@ from setsync.sources import messages, workloads
 from setsync.sources.elements import LEFT, RIGHT, digests, table, tagged
 from setsync.streaming import cell_stream, slice_stream
 
-CHECKED = ["replica_pair_sizes", "slice_fill", "phase1_histogram", "phase1_stop", "phase2_stop", "hybrid_metadata", "hybrid_result", "static_hybrid_bytes", "cell_prefix", "xortable_cells", "sign_sum_estimate", "crossover", "filter_semijoin", "sliced_semijoin_trace"]
+CHECKED = ["replica_pair_sizes", "slice_fill", "phase1_histogram", "phase1_stop", "phase2_stop", "hybrid_metadata", "hybrid_result", "static_hybrid_bytes", "cell_prefix", "xortable_cells", "sign_sum_estimate", "crossover", "filter_semijoin", "sliced_semijoin_trace", "leak_cost_stops", "effective_rates", "hybrid_turn_based", "operation_counts", "stream_slices", "experiment_static", "savings", "crossover_hybrid", "static_hybrid_result", "probe_then_sync", "parity_result", "syndrome_result", "routine_sync", "uneven_sets", "semijoin_traffic", "worked_ranges_six", "hybrid_natural", "windowed_cells"]
 
 
 def cells_of(frame: pd.DataFrame) -> list[tuple]:
@@ -27,7 +27,7 @@ def cells_of(frame: pd.DataFrame) -> list[tuple]:
 @pytest.fixture(scope="module")
 def duck(smoke):
     con = duckdb.connect()
-    for name in ("lineitem", "orders", "events"):
+    for name in ("lineitem", "orders", "events", "customer", "part", "documents", "benchmark"):
         con.sql(f"create view {name} as select * from '{smoke}/{name}.parquet'")
     return con
 
@@ -89,6 +89,39 @@ def test_in_shards_and_joins_agree(spark):
     assert read(joined) == read(kernel)
 
 
+def test_kernels_agree_in_both_dialects(spark):
+    pair = frame(spark, range(0, 300), range(90, 400), shards=2)
+    left, right = pair.where("side < 0"), pair.where("side > 0")
+    sizes = slices.sized(left)
+    joined = slices.test_slices(right, slices.build_slices(left, 0, 6, 1, sizes, "portable"), sizes, 0, 6, 1, "portable")
+    read = lambda df: sorted((r.digest, -9 if r.first_miss is None else r.first_miss) for r in df.collect())
+    assert read(joined) == read(slices.test_in_shards(left, right, 0, 6, 1, "portable"))
+
+
+def test_plans_stay_small(spark, smoke):
+    for name in ("hybrid_result", "static_hybrid_result", "hybrid_bytes", "probe_then_sync"):
+        assert len(catalogue.queries()[name](spark, smoke)._jdf.queryExecution().toString()) < 300_000
+
+
+def test_least_prefix_is_what_peeling_finds():
+    rng = np.random.default_rng(3)
+    for n in (1, 2, 7, 60, 400):
+        ids = rng.integers(-(2**62), 2**62, n)
+        signs = rng.choice([-1, 1], n)
+        full = peel.Cells(4 * n + 16)
+        full.add(ids, signs)
+        fine = [peel.peel(full.prefix(m))[2] for m in range(4 * n + 17)]
+        found, owners, done = peel.peel(full.prefix(4 * n + 16))
+        assert done and sorted(zip(found.tolist(), owners.tolist())) == sorted(zip(ids.tolist(), signs.tolist()))
+        least = peel.least_prefix(ids, 4 * n + 16)
+        assert fine[least] and not any(fine[:least])
+
+
+def test_method_times_cover_every_method(spark):
+    rows = sweep.method_times(frame(spark, range(500), range(20, 520))).collect()
+    assert {r.method for r in rows} == {"sliced_hybrid", "static", "cell_stream", "syndrome_sketch"} and all(r.compute_ms > 0 for r in rows)
+
+
 def test_no_member_is_rejected(spark):
     pair = frame(spark, range(1000), range(1000))
     left, right = pair.where("side < 0"), pair.where("side > 0")
