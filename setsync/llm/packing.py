@@ -11,6 +11,7 @@ rows of their own; an empty table gives no rows; texts of any length are cut int
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -72,14 +73,18 @@ class BestFit:
         return {n: free for free, bins in self.by_free.items() for n in bins}
 
 
-PIECES = "doc_id long, piece int, start long, length long, ids binary, bin long, offset long, open boolean"
+PIECES = "doc_id long, piece int, start long, length long, {ids}, bin long, offset long, open boolean"
+#: What stands for a piece's ids: themselves, or their checksum alone, so that they need not be stored.
+IDS = {"ids": ("ids binary", pa.binary(), bytes), "crc": ("ids_crc32 long", pa.int64(), zlib.crc32)}
 
 
-def pack_task(path: str, room: int, open_bins: int):
+def pack_task(path: str, room: int, open_bins: int, spell: str = "ids"):
+    column, kind, spelled = IDS[spell]
+
     def made(rows: list[tuple], left_open: bool) -> pa.RecordBatch:
         cols = [*(list(zip(*rows)) or [()] * 7), (left_open,) * len(rows)]
-        kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary(), pa.int64(), pa.int64(), pa.bool_()]
-        return pa.record_batch([pa.array(c, k) for c, k in zip(cols, kinds)], names=["doc_id", "piece", "start", "length", "ids", "bin", "offset", "open"])
+        kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), kind, pa.int64(), pa.int64(), pa.bool_()]
+        return pa.record_batch([pa.array(c, k) for c, k in zip(cols, kinds)], names=["doc_id", "piece", "start", "length", column.split()[0], "bin", "offset", "open"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, fit = chunk_ids(path), BestFit(room, open_bins)
@@ -88,13 +93,13 @@ def pack_task(path: str, room: int, open_bins: int):
         held: dict[int, list[tuple]] = {}  # pieces of open bins: at most ``open_bins * room`` tokens
         for batch in batches:
             done: list[tuple] = []
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                ids = encoder.encode(text) + end
+            for doc, ids in zip(batch.column(0).to_pylist(), encoder.encode_column(batch.column(1))):
+                ids += end
                 n = len(ids) // 4
                 for k, start in enumerate(range(0, n, room)):
                     part = ids[4 * start : 4 * (start + room)]
                     number, offset = fit.place(len(part) // 4)
-                    held.setdefault(number, []).append((doc, k, start, len(part) // 4, part, base + number, offset))
+                    held.setdefault(number, []).append((doc, k, start, len(part) // 4, spelled(part), base + number, offset))
                     while fit.closed:
                         done += held.pop(fit.closed.pop())
             yield made(done, False)
@@ -119,14 +124,16 @@ def repack_task(room: int, open_bins: int):
     return run
 
 
-def pack(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", room: int = ROOM, open_bins: int = OPEN_BINS) -> DataFrame:
+def pack(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", room: int = ROOM, open_bins: int = OPEN_BINS, spell: str = "ids") -> DataFrame:
     """``doc_id, piece, start, length, ids, sequence_id, offset``: every piece with its ids and its place.
 
+    ``spell="crc"`` gives ``ids_crc32`` for ``ids``, taken where the ids are made.
+
     The first pass is stored (its bins are named by task) and says of each piece whether its bin was still
     open at the task's end. Only those bins are packed again, as wholes, and only their pieces move.
     """
     bounded_batches(docs.sparkSession)
-    placed = stored(docs.select(F.col(id_col).cast("long").alias("doc_id"), text_col).mapInArrow(pack_task(path, room, open_bins), PIECES))
+    placed = stored(docs.select(F.col(id_col).cast("long").alias("doc_id"), text_col).mapInArrow(pack_task(path, room, open_bins, spell), PIECES.format(ids=IDS[spell][0])))
     left = placed.where("open")
     fills = left.groupBy("bin").agg(F.sum("length").alias("fill"))
     tasks = left.select(F.countDistinct(F.shiftright("bin", 36))).first()[0]
@@ -134,12 +141,11 @@ def pack(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "te
     dealt = fills.repartition(max(1, -(-tasks // FAN_IN)), F.xxhash64("bin")).sortWithinPartitions(F.desc("fill"), "bin")
     moved = dealt.mapInArrow(repack_task(room, open_bins * FAN_IN), "bin long, into long, shift long")
     again = left.join(moved.withColumnRenamed("bin", "from_bin"), F.col("bin") == F.col("from_bin"))
-    columns = ["doc_id", "piece", "start", "length", "ids"]
+    columns = ["doc_id", "piece", "start", "length", IDS[spell][0].split()[0]]
     return placed.where("not open").select(*columns, F.col("bin").alias("sequence_id"), "offset").unionByName(
         again.select(*columns, F.col("into").alias("sequence_id"), (F.col("offset") + F.col("shift")).alias("offset"))
     )
 
 
 def op5_bestfit_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
-    pieces = pack(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
-    return pieces.select("doc_id", "piece", "start", "length", F.crc32("ids").alias("ids_crc32"), "sequence_id", "offset")
+    return pack(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"), spell="crc")
