@@ -2,8 +2,8 @@
 
 A worklist starts with the text; every layer is scanned, then its URL escapes, Unicode escapes,
 base64 runs (also those wrapped over lines, at all four alignments) and compressed payloads (all their
-members, wherever they begin) are unwrapped into new layers until none is new (a layer whose text was
-seen is not taken again, so cycles end). Bytes that are no UTF-8 give way to marks. Each layer keeps,
+members, wherever they begin) are unwrapped into new layers until none is new (a text that was seen at
+the same place is not taken again, so cycles end; each further copy is reported where it stands). Bytes that are no UTF-8 give way to marks. Each layer keeps,
 for every character, the span of the original text it came from; findings are reported there.
 
 Defined cases: null is the empty text, which has no findings; repeated rows are scanned alike; what
@@ -38,7 +38,7 @@ ASSIGN_LENGTH, ACCESS_LENGTH, HEX_LENGTH = 6, 20, 24
 ASSIGN_HINTS = ("password", "passwd", "secret", "token", "apikey", "api_key")
 
 BASE64_LENGTH = 16
-INFLATE, OVERLAP, DECODER = 32 << 20, 1 << 20, 64 << 20
+INFLATE, OVERLAP, DECODER = 32 << 20, 1 << 20, 96 << 20
 MASK = "[SECRET]"
 
 URL_ESCAPE = re.compile(r"%[0-9A-Fa-f]{2}")
@@ -101,16 +101,23 @@ class Layer:
             return self.whole
         if self.starts is None:
             return s, e
-        return int(self.starts[s:e].min()), int(self.ends[s:e].max())
+        return int(self.starts[s]), int(self.ends[e - 1])
 
-    def inner(self, text: str, starts, ends) -> "Layer":
-        """A layer over this one; the spans given are in this layer's characters."""
+    def key(self) -> tuple[bytes, int, int]:
+        """Its text and place: what tells a layer that was read already from another copy of it."""
+        return digest(self.text.encode("utf-8", "surrogatepass")), *self.origin(0, len(self.text))
+
+    def inner(self, text: str, starts: np.ndarray, ends: np.ndarray) -> "Layer":
+        """A layer over this one; the spans given, which rise, are in this layer's characters."""
         if self.whole:
             return Layer(text, whole=self.whole)
         if self.starts is None:
-            return Layer(text, np.array(starts), np.array(ends))
-        where = [self.origin(s, e) for s, e in zip(starts, ends)]
-        return Layer(text, np.array([w[0] for w in where]), np.array([w[1] for w in where]))
+            return Layer(text, starts, ends)
+        return Layer(text, self.starts[starts], self.ends[ends - 1])
+
+
+def digest(raw: bytes) -> bytes:
+    return hashlib.blake2b(raw, digest_size=16).digest()
 
 
 def unescaped(m: re.Match) -> str | None:
@@ -123,22 +130,23 @@ def unescaped(m: re.Match) -> str | None:
 
 def by_escapes(layer: Layer, pattern: re.Pattern, decode) -> Layer | None:
     """The whole layer with its escapes replaced, each by the characters ``decode`` gives."""
-    out, starts, ends, at, changed = [], [], [], 0, False
+    out, segments, at = [], [], 0  # segments: first and end character here, characters made, whether copied
     for m in pattern.finditer(layer.text):
         got = decode(m)
         if got is None:
             continue
-        changed = True
         out += [layer.text[at : m.start()], got]
-        starts += [*range(at, m.start()), *[m.start()] * len(got)]
-        ends += [*range(at + 1, m.start() + 1), *[m.end()] * len(got)]
+        segments += [(at, m.start(), m.start() - at, True), (m.start(), m.end(), len(got), False)]
         at = m.end()
-    if not changed:
+    if not segments:
         return None
     out.append(layer.text[at:])
-    starts += range(at, len(layer.text))
-    ends += range(at + 1, len(layer.text) + 1)
-    return layer.inner("".join(out), starts, ends)
+    segments.append((at, len(layer.text), len(layer.text) - at, True))
+    first, end, made, copied = (np.array(x) for x in zip(*segments))
+    own = np.repeat(np.arange(len(made)), made)
+    turn = np.arange(len(own)) - np.repeat(np.cumsum(made) - made, made)
+    starts = first[own] + turn * copied[own]
+    return layer.inner("".join(out), starts, np.where(copied[own], starts + 1, end[own]))
 
 
 def url_decoded(m: re.Match) -> str:
@@ -214,7 +222,7 @@ def decoded(raw: bytes) -> tuple[str, np.ndarray] | None:
     return text, np.cumsum(sizes)
 
 
-def opened(layer: Layer, s: int, e: int, seen: set[bytes]) -> Iterator[Layer | None]:
+def opened(layer: Layer, s: int, e: int, seen: set[tuple[bytes, int, int]]) -> Iterator[Layer | None]:
     """Layers inside the base64 run [s, e), which may hold line breaks: its text at each alignment, and what
     compressed payloads in it hold; None for one that cannot be opened."""
     body = layer.text[s:e]
@@ -233,19 +241,19 @@ def opened(layer: Layer, s: int, e: int, seen: set[bytes]) -> Iterator[Layer | N
             text, upto = got
             at = np.concatenate([[0], upto[:-1]])
             yield layer.inner(text, spots[shift + at * 4 // 3], spots[np.minimum(shift - (-upto * 4 // 3), len(body)) - 1] + 1)
-        work = [raw]
+        place = layer.origin(s, e)
+        work = [inflated(raw)]  # depth first, so of each level one chunk is held
         while work:
-            for content in inflated(work.pop()):
-                if content is None:
-                    yield None
-                    continue
-                mark = hashlib.blake2b(content, digest_size=16).digest()
-                if mark in seen:
-                    continue
+            content = next(work[-1], b"")
+            if content is None:
+                yield None
+            elif not content:
+                work.pop()
+            elif (mark := (digest(content), *place)) not in seen:
                 seen.add(mark)
-                work.append(content)
+                work.append(inflated(content))
                 if got := decoded(content):
-                    yield Layer(got[0], whole=layer.origin(s, e))
+                    yield Layer(got[0], whole=place)
 
 
 def base64_spans(text: str, lone: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -257,16 +265,31 @@ def base64_spans(text: str, lone: list[tuple[int, int]]) -> list[tuple[int, int]
     return joined + [r for r in lone if not np.searchsorted(edges, r[0], "right") % 2]
 
 
+def inside(layer: Layer, base64_runs: list[tuple[int, int]], seen: set[tuple[bytes, int, int]]) -> Iterator[Layer | None]:
+    """The layers that a layer holds, each made when it is asked for; None for what cannot be opened."""
+    if "%" in layer.text and URL_ESCAPE.search(layer.text) and (new := by_escapes(layer, URL_RUN, url_decoded)):
+        yield new
+    if ("\\" in layer.text or "&#" in layer.text) and (new := by_escapes(layer, UNICODE_ESCAPE, unescaped)):
+        yield new
+    for s, e in base64_spans(layer.text, base64_runs):
+        yield from opened(layer, s, e, seen)
+
+
 def find_secrets(text: str | None) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, int]], int, int]:
     """Base findings, all findings (start, kind, end) in the original, layers read, payloads left unopened."""
-    text = text or ""
     base: list[tuple[int, int, int]] = []
     every: set[tuple[int, int, int]] = set()
-    work, seen, contents, layers, unopened = [Layer(text)], set(), set(), 0, 0
+    work, seen, contents, layers, unopened = [iter([Layer(text or "")])], set(), set(), 0, 0
     while work:
-        layer = work.pop()
-        mark = hashlib.blake2b(layer.text.encode("utf-8", "surrogatepass"), digest_size=16).digest()
-        if not layer.text or mark in seen:
+        try:
+            layer = next(work[-1])
+        except StopIteration:
+            work.pop()
+            continue
+        if layer is None:
+            unopened += 1
+            continue
+        if not layer.text or (mark := layer.key()) in seen:
             continue
         seen.add(mark)
         layers += 1
@@ -277,16 +300,7 @@ def find_secrets(text: str | None) -> tuple[list[tuple[int, int, int]], list[tup
         for s, kind, e in found:
             a, b = layer.origin(s, e)
             every.add((a, kind, b))
-        if "%" in layer.text and URL_ESCAPE.search(layer.text) and (new := by_escapes(layer, URL_RUN, url_decoded)):
-            work.append(new)
-        if ("\\" in layer.text or "&#" in layer.text) and (new := by_escapes(layer, UNICODE_ESCAPE, unescaped)):
-            work.append(new)
-        for s, e in base64_spans(layer.text, base64_runs):
-            for new in opened(layer, s, e, contents):
-                if new is None:
-                    unopened += 1
-                else:
-                    work.append(new)
+        work.append(inside(layer, base64_runs, contents))
     return base, sorted(every), layers, unopened
 
 
