@@ -8,7 +8,7 @@ it takes whole passes first and then blocks in seeded order. The words between a
 target move to shards with room, so a source meets its target to the word.
 
 Defined cases: null texts and texts of white space have size 0 and take 0; the null source comes
-last; ties in the seeded order fall to the id, the size, the text's hash, then any order of equal rows; repeated rows
+last; ids that repeat or are null are dealt by their texts too; ties in the seeded order fall to the id, the size, the text's hash, then any order of equal rows; repeated rows
 are documents of their own; empty tables give no rows.
 """
 
@@ -26,12 +26,25 @@ CAP = 2
 BLOCK = 1024
 SHARD_ROWS = 4096
 SEED = "mix-1"
-#: A prime above any number of blocks in a shard: its multiples run through all of them.
-STRIDE = 2_654_435_761
+STRIDES = 16
 WORD = r"[^\x20\x09-\x0D]+"
 SPACE = r"[\x20\x09-\x0D]"
 
 
+def primes_from(start: int, count: int) -> list[int]:
+    """The first ``count`` odd primes above ``start``."""
+    found, x = [], start | 1
+    while len(found) < count:
+        x += 2
+        if all(x % d for d in range(3, int(x**0.5) + 1, 2)):
+            found.append(x)
+    return found
+
+
+#: Primes above any number of blocks in a shard: the multiples of each run through all of them.
+STRIDE = primes_from(1 << 31, STRIDES)
+
+
 def seeded(*parts: Column) -> Column:
     """A number below 2^60 from the seed and ``parts``."""
     text = F.concat_ws(":", F.lit(SEED), *[F.coalesce(p.cast("string"), F.lit("-")) for p in parts])
@@ -121,14 +134,14 @@ def mix(
     wide = docs.select(
         F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"),
         F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("long").alias("size"),
-        F.xxhash64(text_col).alias("_tie"), *([F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")] if carry else []),
+        F.md5(F.coalesce(F.col(text_col), F.lit(""))).alias("_tie"), *([F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")] if carry else []),
     )
     rows = cut(wide.drop("_row"))
     targets = cut(source_targets(rows))
     few = targets.select(F.col("source").alias("_source"), "source_size", "target", F.ceil(F.col("n_docs") / shard_rows).cast("long").alias("_shards"))
 
     def dealt(frame: DataFrame) -> DataFrame:
-        known = frame.join(few, F.col("source").eqNullSafe(F.col("_source"))).drop("_source").withColumn("_key", seeded(F.col("doc_id")))
+        known = frame.join(few, F.col("source").eqNullSafe(F.col("_source"))).drop("_source").withColumn("_key", seeded(F.col("doc_id"), F.col("_tie")))
         return known.withColumn("shard", F.pmod("_key", F.col("_shards")))
 
     quotas = shard_words(dealt(rows), targets, block).select(F.col("source").alias("_source"), F.col("shard").alias("_shard"), "shard_size", "take")
@@ -142,11 +155,12 @@ def mix(
         .withColumn("_passes", passes.cast("long"))
         .withColumn("_rest", (F.col("take") - F.col("_passes") * F.col("shard_size")).cast("long"))
         .withColumn("_turn", F.pmod(seeded(F.col("source"), F.col("shard"), F.lit("turn")), F.greatest(F.col("_n"), F.lit(1))))
+        .withColumn("_stride", F.element_at(F.array(*map(F.lit, STRIDE)), (F.pmod(seeded(F.col("source"), F.col("shard"), F.lit("stride")), F.lit(STRIDES)) + 1).cast("int")))
     )
 
     def place(k: Column) -> Column:
         """The seeded rank of block k; the short last block comes last."""
-        turned = F.pmod(k * F.pmod(F.lit(STRIDE), F.greatest(F.col("_n"), F.lit(1))) + F.col("_turn"), F.greatest(F.col("_n"), F.lit(1)))
+        turned = F.pmod(k * F.pmod(F.col("_stride"), F.greatest(F.col("_n"), F.lit(1))) + F.col("_turn"), F.greatest(F.col("_n"), F.lit(1)))
         return F.when(k < F.col("_n"), turned).otherwise(F.col("_n"))
 
     def words(k: Column) -> Column:
@@ -172,10 +186,11 @@ def mixed_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     taken = mix(docs, id_col, text_col, source_col, carry=True).where("taken > 0")
     text = F.col(f"_row.{text_col}")
     spelled = F.regexp_extract_all(text, F.lit(f"({WORD}{SPACE}*)"), F.lit(1))
-    cutting = F.col("taken") % F.col("size") != 0
+    size = F.greatest(F.col("size"), F.lit(1))  # rows that take words have some, but may be tested in any order
+    cutting = F.col("taken") % size != 0
     words = F.when(cutting, spelled)
     parts = F.transform("parts", lambda p: F.array_join(F.slice(F.col("_spelled"), (p["at"] + 1).cast("int"), p["n"].cast("int")), ""))
-    copies = F.array_repeat(text, F.floor(F.col("taken") / F.col("size")).cast("int"))
+    copies = F.array_repeat(text, F.floor(F.col("taken") / size).cast("int"))
     whole = taken.withColumn("_spelled", words).withColumn("_texts", F.when(cutting, F.concat(copies, parts)).otherwise(copies))
     rows = whole.select("_row", F.explode("_texts").alias("_text"))
     new = {text_col: F.col("_text"), "n_chars": F.length("_text").cast("long")}
@@ -190,7 +205,7 @@ def op6_sql(block: int = BLOCK, shard_rows: int = SHARD_ROWS) -> str:
     """The same mix in DuckDB, for unique ids: quotients are listed seat by seat instead of around a rounding."""
     key = lambda text: f"(('0x' || substr(md5('{SEED}:' || {text}), 1, 15))::BIGINT)"
     weights = f"list_value({', '.join(map(str, WEIGHTS))})"
-    return f"""with rows as (select doc_id, source, len(regexp_extract_all(coalesce(text, ''), '{WORD}'))::BIGINT size, {key("coalesce(doc_id::varchar, '-')")} k from documents),
+    return f"""with rows as (select doc_id, source, len(regexp_extract_all(coalesce(text, ''), '{WORD}'))::BIGINT size, {key("coalesce(doc_id::varchar, '-') || ':' || md5(coalesce(text, ''))")} k from documents),
     per as (select source, sum(size)::BIGINT source_size, count(*) n_docs from rows group by 1),
     w as (select *, {weights}[((row_number() over (order by source nulls last) - 1) % {len(WEIGHTS)} + 1)::INT]::BIGINT weight, source_size * {CAP} most from per),
     o as (select *, (sum(source_size) over ()) * {SHARE_PERCENT / 100}::DOUBLE pool,
@@ -216,7 +231,8 @@ def op6_sql(block: int = BLOCK, shard_rows: int = SHARD_ROWS) -> str:
     takes as (select source, shard, shard_size, (first + sign(more) * greatest(0, least(room, abs(more) - coalesce(sum(room) over (partition by source order by shard rows between unbounded preceding and 1 preceding), 0))))::BIGINT take from g),
     run as (select p.*, sum(size) over (partition by p.source, p.shard order by k, doc_id, size rows unbounded preceding)::BIGINT upto, shard_size, take, shard_size // {block} n,
             case when shard_size > 0 then take // shard_size else 0 end passes from placed p join takes x on p.source is not distinct from x.source and p.shard = x.shard),
-    z as (select *, upto - size since, take - passes * shard_size rest, {key("coalesce(source, '-') || ':' || shard || ':turn'")} % greatest(n, 1) turn from run),
-    parts as (select doc_id, sum(greatest(0, least(upto, b * {block} + greatest(0, least({block}, rest - {block} * (case when b < n then (b * ({STRIDE} % greatest(n, 1)) + turn) % greatest(n, 1) else n end)))) - greatest(since, b * {block}))) words
+    z as (select *, upto - size since, take - passes * shard_size rest, {key("coalesce(source, '-') || ':' || shard || ':turn'")} % greatest(n, 1) turn,
+          list_value({', '.join(map(str, STRIDE))})[1 + {key("coalesce(source, '-') || ':' || shard || ':stride'")} % {STRIDES}] stride from run),
+    parts as (select doc_id, sum(greatest(0, least(upto, b * {block} + greatest(0, least({block}, rest - {block} * (case when b < n then (b * (stride % greatest(n, 1)) + turn) % greatest(n, 1) else n end)))) - greatest(since, b * {block}))) words
               from z, lateral (select unnest(range(since // {block}, (upto - 1) // {block} + 1)) b) where size > 0 group by 1)
     select z.doc_id, size, source_size, target, (passes * size + coalesce(words, 0))::BIGINT taken from z left join parts on z.doc_id = parts.doc_id"""
