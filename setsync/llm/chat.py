@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from setsync.llm.shared import table
+from setsync.llm.shared import bounded_batches, table
 
 
 @dataclass(frozen=True)
@@ -151,7 +151,8 @@ def read_task(template: Template):
 
 
 def format_chats(turns: DataFrame, template: Template = CHAT) -> DataFrame:
-    """Segments of all conversations, in order within a conversation's partition."""
+    """Segments of all conversations, in order within a conversation's partition. Turns stream by, so one of any length is held a batch at a time."""
+    bounded_batches(turns.sparkSession)
     ordered = turns.select(F.col("conv_id").cast("long").alias("conv_id"), "turn", "role", "text").repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text")
     return ordered.select("conv_id", "role", "text").mapInArrow(format_task(template), SEGMENTS)
 

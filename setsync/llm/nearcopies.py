@@ -8,7 +8,7 @@ no link is wrong; a pair of similarity s is missed with a chance of (1 - s^ROWS)
 
 Defined cases: null and wordless texts have the empty set and are one class, linked like any other by its fingerprint; texts with fewer words
 than a shingle have one shingle, the whole sequence; an empty table gives no rows; rows without an id
-stay; of rows that repeat an id, one is kept.
+stay; of rows that repeat an id, unlike ones are in groups of their own.
 """
 
 from __future__ import annotations
@@ -20,12 +20,11 @@ import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from setsync.llm.shared import bounded_batches, connected_components, cut
-from setsync.llm.simhash import fingerprint, kept_rows, near_links, shingle_hashes, signed
+from setsync.llm.shared import bounded_batches, connected_components, cut, join_heavy
+from setsync.llm.simhash import fingerprint, kept_rows, near_links, shingle_hashes, signed, with_smallest
 
 WORDS = 5
 SIMILARITY = 0.8
@@ -129,30 +128,36 @@ def linking(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", held: int = HELD) -> DataFrame:
-    """``doc_id, component_id``: every row that has an id, with the smallest id its group reaches."""
+    """``doc_id, tie, root, component_id``: every row that has an id, the hash of its text, its group and the smallest id that reaches."""
     bounded_batches(docs.sparkSession)
     docs = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).where("doc_id is not null")
-    prints = cut(docs.select("doc_id", sketch_column("text").alias("s")).select("doc_id", "s.*"))
-    classes = cut(prints.groupBy("class").agg(F.min("doc_id").alias("rep"), F.max("shingles").alias("shingles")))
-    spots = prints.select("class", F.explode("buckets").alias("bucket"))
-    star = spots.withColumn("first", F.min("class").over(W.partitionBy("bucket"))).where("class <> first")
+    prints = cut(docs.select("doc_id", F.xxhash64("text").alias("tie"), sketch_column("text").alias("s")).select("doc_id", "tie", "s.*"))
+    classes = cut(prints.groupBy("class").agg(F.min(F.struct("doc_id", "tie")).alias("rep"), F.max("shingles").alias("shingles"), F.first("buckets").alias("buckets"), F.count("*").alias("copies")))
+    # Equal sets have equal buckets: one row a class is enough. Of a bucket all classes meet its least one.
+    spots = classes.select("class", F.explode("buckets").alias("bucket"))
+    least = spots.groupBy("bucket").agg(F.min("class").alias("first"), F.count("*").alias("n")).where("n > 1")
+    star = join_heavy(spots, least, "bucket", "n", BANDS * classes.count()).where("class <> first")
     clusters = cut(connected_components(star.select("class", "first").distinct(), "class", "first").join(classes, F.col("node") == F.col("class")).select("class", "rep", "shingles", "root"))
-    sizes = clusters.groupBy("root").agg(F.ceil(F.sum("shingles") / F.lit(held / 2)).cast("int").alias("chunks"))
+    sizes = clusters.groupBy("root").agg(F.ceil(F.sum("shingles") / F.lit(held / 2)).cast("int").alias("chunks"), F.count("*").alias("n"))
     sizes = sizes.withColumn("chunks", F.when(F.col("chunks") <= 2, 1).otherwise(F.col("chunks")))
-    dealt = clusters.join(sizes, "root").select("class", "rep", "root", F.pmod(F.xxhash64("class"), F.col("chunks")).cast("int").alias("own_chunk"), F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("other"))
+    placed = join_heavy(clusters, sizes, "root", "n", clusters.count())
+    dealt = placed.select("class", "rep", "root", F.pmod(F.xxhash64("class"), F.col("chunks")).cast("int").alias("own_chunk"), F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("other"))
     dealt = dealt.select("class", "root", F.least("own_chunk", "other").alias("low"), F.greatest("own_chunk", "other").alias("high"))
-    texts = docs.join(clusters.select("rep").distinct(), F.col("doc_id") == F.col("rep"), "left_semi")
-    sets = texts.select(set_column("text").alias("s")).select("s.*")
+    reps = clusters.select(F.col("rep.doc_id").alias("doc_id"), F.col("rep.tie").alias("tie")).distinct()
+    texts = docs.withColumn("tie", F.xxhash64("text")).join(reps, ["doc_id", "tie"], "left_semi")
+    sets = texts.select(set_column("text").alias("s")).select("s.*").dropDuplicates(["class"])
     pairs = sets.join(dealt, "class").select("root", "low", "high", "class", "own")
     pairs = pairs.repartition("root", "low", "high").sortWithinPartitions("root", "low", "high")
-    links = pairs.mapInArrow(linking, "a long, b long").unionByName(near_links(cut(prints.select("fp").distinct())))
-    links = links.unionByName(prints.select(F.col("fp").alias("a"), F.col("class").alias("b")).distinct())
+    # Texts of one set may repeat its shingles unlike often, and so differ in their fingerprints.
+    both = cut(prints.select(F.col("fp").alias("a"), F.col("class").alias("b")).distinct())
+    links = pairs.mapInArrow(linking, "a long, b long").unionByName(near_links(cut(both.select(F.col("a").alias("fp")).distinct()))).unionByName(both)
     roots = connected_components(links)
-    named = prints.select("doc_id", "class").join(roots, F.col("class") == F.col("node"), "left").select("doc_id", F.coalesce("root", "class").alias("root"))
-    named = cut(named)
-    return named.join(named.groupBy("root").agg(F.min("doc_id").alias("component_id")), "root").select("doc_id", "component_id")
+    named = cut(classes.join(roots, F.col("class") == F.col("node"), "left").select("class", "copies", "rep.doc_id", F.coalesce("root", "class").alias("root")))
+    labels = with_smallest(named, "root", "doc_id").select("class", "root", "component_id", "copies")
+    total = classes.agg(F.sum("copies")).first()[0] or 0
+    return join_heavy(prints.select("doc_id", "tie", "class"), labels, "class", "copies", total).select("doc_id", "tie", "root", "component_id")
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs``, all columns kept, that name their group; rows without an id stay."""
-    return kept_rows(docs, similar_groups(docs, id_col, text_col), id_col)
+    """One row of each group, all columns kept: that of the smallest id; rows without an id stay."""
+    return kept_rows(docs, similar_groups(docs, id_col, text_col), id_col, text_col)

@@ -32,12 +32,19 @@ LETTERS = 64
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/"
 #: Signatures from this length on must share a run of ``RUN`` letters.
 LONG, RUN = 12, 4
+#: Powers that a worker keeps; longer texts make their own.
+KEPT_POWERS = 1 << 20
 MULTIPLIER = 0x9E3779B97F4A7C15
 FACTORS = np.array([pow(2_654_435_761, k, 1 << 32) | 1 for k in range(WINDOW)], np.uint32)
 
 
-@lru_cache(maxsize=1)
 def powers(size: int) -> tuple[np.ndarray, np.ndarray]:
+    """``made_powers``, kept for texts of usual length only."""
+    return made_powers(size) if size <= KEPT_POWERS else made_powers.__wrapped__(size)
+
+
+@lru_cache(maxsize=1)
+def made_powers(size: int) -> tuple[np.ndarray, np.ndarray]:
     """The multiplier's powers and those of its inverse, modulo 2^64."""
     out = []
     for factor in (MULTIPLIER, pow(MULTIPLIER, -1, 1 << 64)):

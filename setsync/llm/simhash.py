@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from setsync.llm.shared import bounded_batches, connected_components, cut, table
+from setsync.llm.shared import bounded_batches, connected_components, cut, join_heavy, spare_name, table
 
 WORDS = 4
 RADIUS = 4
@@ -97,7 +97,7 @@ def plan_parts(sample: np.ndarray, rows: int, radius: int = RADIUS) -> list[tupl
     Chosen over all splits into 2 to ``radius + 1`` parts by the least estimated cost: probe rows
     plus candidate pairs, the latter carried from the sample's pair distances to ``rows``.
     """
-    need, best = radius + 1, None
+    need, best, rows = radius + 1, None, max(1, rows)
     i, j = np.triu_indices(len(sample), 1)
     apart = sample[i] ^ sample[j]
     for parts in range(2, need + 1):
@@ -133,14 +133,17 @@ def signed(x: int) -> int:
 
 def probe_rows(prints: DataFrame, plan: list[tuple[int, int]]) -> DataFrame:
     """``part, bucket, fp, probe``: each fingerprint at home in every part, and as a probe around it."""
-    keys = []
+    parts = []
     for part, (mask, share) in enumerate(plan):
         bits = [b for b in range(64) if mask >> b & 1]
-        keys.append((part, signed(mask), 0, False))
-        for k in range(1, share):
-            keys += [(part, signed(mask), signed(sum(1 << b for b in flips)), True) for flips in combinations(bits, k)]
-    spots = F.array(*[F.struct(F.lit(p).alias("part"), F.col("fp").bitwiseAND(F.lit(m)).bitwiseXOR(F.lit(x)).alias("bucket"), F.lit(q).alias("probe")) for p, m, x, q in keys])
-    return prints.select("fp", F.explode(spots).alias("s")).select("s.part", "s.bucket", "fp", "s.probe")
+        flips = [signed(sum(1 << b for b in some)) for k in range(1, share) for some in combinations(bits, k)]
+        home = F.col("fp").bitwiseAND(F.lit(signed(mask)))
+        spot = lambda bucket, probe, part=part: F.struct(F.lit(part).alias("part"), bucket.alias("bucket"), F.lit(probe).alias("probe"))
+        parts.append(F.array(spot(home, False)))
+        if flips:  # one literal, however large the ball
+            ball = F.split(F.lit(",".join(map(str, flips))), ",").cast("array<long>")
+            parts.append(F.transform(ball, lambda x, home=home, spot=spot: spot(home.bitwiseXOR(x), True)))
+    return prints.select("fp", F.explode(F.concat(*parts)).alias("s")).select("s.part", "s.bucket", "fp", "s.probe")
 
 
 def spanning(home: np.ndarray, probe: np.ndarray, radius: int) -> list[tuple[int, int]]:
@@ -275,30 +278,52 @@ def near_links(prints: DataFrame, radius: int = RADIUS, bucket_limit: int = BUCK
     return links
 
 
-def simhash_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
-    """``doc_id, fp, component_id``: every row with its fingerprint and the smallest id its group reaches."""
+def simhash_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS, carry: bool = False) -> DataFrame:
+    """``doc_id, fp, component_id``: every row with its fingerprint and the smallest id its group reaches.
+
+    ``carry`` adds ``root``, which names the group, and ``tie``, a hash of the row's text.
+    """
     bounded_batches(docs.sparkSession)
-    prints = cut(docs.select(F.col(id_col).alias("doc_id"), fingerprint_column(F.col(text_col)).alias("fp")))
-    classes = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("rep")))
+    extra = [F.xxhash64(text_col).alias("tie")] if carry else []
+    prints = cut(docs.select(F.col(id_col).alias("doc_id"), fingerprint_column(F.col(text_col)).alias("fp"), *extra))
+    classes = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")))
     roots = connected_components(near_links(classes.select("fp"), radius))
-    named = classes.join(roots, classes.fp == roots.node, "left").select("fp", "rep", F.coalesce("root", "fp").alias("root"))
-    first = named.groupBy("root").agg(F.min("rep").alias("component_id"))
-    labels = named.join(first, "root").select("fp", "component_id")
-    return prints.join(labels, "fp").select("doc_id", "fp", "component_id")
+    named = cut(classes.join(roots, classes.fp == roots.node, "left").select("fp", "rep", "copies", F.coalesce("root", "fp").alias("root")))
+    labels = with_smallest(named, "root", "rep").select("fp", "component_id", "copies", *(["root"] if carry else []))
+    total = classes.agg(F.sum("copies")).first()[0] or 0
+    return join_heavy(prints, labels, "fp", "copies", total).select("doc_id", "fp", "component_id", *(["root", "tie"] if carry else []))
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
-    """The rows of ``docs``, all columns kept, that name their group; of rows that repeat an id, one."""
-    return kept_rows(docs, simhash_groups(docs, id_col, text_col, radius).where("doc_id is not null"), id_col)
+def with_smallest(named: DataFrame, root: str, name: str) -> DataFrame:
+    """Adds ``component_id``, the smallest ``name`` of the row's ``root``."""
+    first = cut(named.groupBy(root).agg(F.min(name).alias("component_id"), F.count("*").alias("_members")))
+    return join_heavy(named, first, root, "_members", first.agg(F.sum("_members")).first()[0] or 0)
 
 
-def kept_rows(docs: DataFrame, groups: DataFrame, id_col: str) -> DataFrame:
-    """The rows whose id is the ``component_id`` of their group, one of each, and those without an id."""
-    groups = cut(groups)
-    names = groups.where("doc_id = component_id").groupBy(F.col("doc_id").alias("_name")).agg(F.count("*").alias("_copies"))
-    kept = docs.join(names.select("_name"), (F.col(id_col) == F.col("_name")), "left_semi")
-    if names.where("_copies > 1").limit(1).count():
-        kept = kept.dropDuplicates([id_col])
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
+    """One row of each group, all columns kept: that of the smallest id. Rows without an id stay."""
+    return kept_rows(docs, simhash_groups(docs, id_col, text_col, radius, carry=True), id_col, text_col)
+
+
+def kept_rows(docs: DataFrame, groups: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """Of each group ``root`` the row of the smallest id and, where rows repeat that, the smallest ``tie`` (the hash
+    of its text) and row hash. Unlike rows of one id are in groups of their own and both stay."""
+    groups = cut(groups.where("doc_id is not null").groupBy("root", "doc_id", "tie").agg(F.count("*").alias("copies")))
+    first = groups.groupBy("root").agg(F.min(F.struct("doc_id", "tie", "copies")).alias("w"))
+    own_id, tie, copies = (spare_name(docs, n) for n in ("_own_id", "_tie", "_copies"))
+    winners = first.select(F.col("w.doc_id").alias(own_id), F.col("w.tie").alias(tie + "_w"), F.col("w.copies").alias(copies))
+    # One id may win in several groups: what its rows have in common is the text.
+    winners = cut(winners.groupBy(own_id, tie + "_w").agg(F.max(copies).alias(copies)))
+    marked = docs.withColumn(tie, F.xxhash64(text_col))
+    on = lambda w: (F.col(id_col) == F.col(own_id)) & (F.col(tie) == F.col(tie + "_w"))
+    once, repeated = winners.where(F.col(copies) == 1), winners.where(F.col(copies) > 1)
+    kept = marked.join(once, on(once), "left_semi").select(*[F.col(f"`{c}`") for c in docs.columns])
+    if repeated.limit(1).count():
+        again = marked.join(repeated, on(repeated), "left_semi")
+        row = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
+        order = F.xxhash64(*[F.col(f"`{f.name}`") for f in docs.schema.fields if "map" not in f.dataType.simpleString()])
+        chosen = again.groupBy(F.col(id_col).alias(own_id), F.col(tie).alias(tie + "_w")).agg(F.min_by(row, order).alias("_row"))
+        kept = kept.unionByName(chosen.select("_row.*"))
     return kept.unionByName(docs.where(F.col(id_col).isNull()))
 
 

@@ -25,7 +25,9 @@ def roots(n, links):
     return [find(x) for x in range(n)]
 
 
-def test_connected_components(spark):
+@pytest.mark.parametrize("small", [shared.SMALL_EDGES, 0])
+def test_connected_components(spark, monkeypatch, small):
+    monkeypatch.setattr(shared, "SMALL_EDGES", small)
     rng = random.Random(2)
     pairs = [(rng.randrange(300), rng.randrange(300)) for _ in range(180)] + [(k, k + 1) for k in range(400, 460)] + [(500, k) for k in range(501, 540)]
     edges = spark.createDataFrame([*pairs, (None, 3), (7, 7)], "a long, b long")
@@ -94,6 +96,26 @@ def test_simhash_odd_rows(spark):
     assert sorted((r.doc_id is None, r.doc_id or 0) for r in kept) == [(False, 1), (False, 4), (False, 6), (True, 0)]
 
 
+def test_kept_rows_lose_no_unlike_text(spark):
+    rng = random.Random(12)
+    unlike = [" ".join(f"w{rng.randrange(10**6)}" for _ in range(80)) for _ in range(4)]
+    rows = [(1, unlike[0], "a"), (1, unlike[1], "b"), (2, unlike[2], "c"), (3, unlike[0], "d"), (3, unlike[2].upper(), "e"), (1, unlike[0], "f"), (None, unlike[3], "g"), (None, unlike[3], "h")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, _name string").withColumn("_tie", F.lit(1))
+    for keep in (simhash.keep_one, nearcopies.keep_one):
+        kept = keep(docs)
+        assert kept.columns == docs.columns
+        got = sorted((r.doc_id or 0, r.text) for r in kept.collect())
+        assert got == sorted([(1, unlike[0]), (1, unlike[1]), (2, unlike[2]), (0, unlike[3]), (0, unlike[3])])
+        assert {r._name for r in kept.collect()} == {r._name for r in kept.collect()}
+
+
+def test_heavy_keys_join_like_light_ones(spark):
+    rows = spark.createDataFrame([(k, 7 if k % 3 else k) for k in range(300)], "x long, key long")
+    per = rows.groupBy("key").agg(F.count("*").alias("n"), F.min("x").alias("low"))
+    want = sorted(map(tuple, rows.join(per.drop("n"), "key").select("key", "x", "low").collect()))
+    assert sorted(map(tuple, shared.join_heavy(rows, per, "key", "n", 300).select("key", "x", "low").collect())) == want
+
+
 def jaccard(a, b):
     sets = []
     for text in (a, b):

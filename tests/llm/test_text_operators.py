@@ -12,6 +12,8 @@ import zlib
 import numpy as np
 import pandas as pd
 import public_tokenizers
+import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
@@ -96,6 +98,64 @@ def test_secrets_in_layers_that_are_odd_misaligned_wrapped_or_long(monkeypatch):
             assert any(k == 0 for _, k, _ in secrets.find_secrets("x " + b64(pack(b"." * where + b" " + plain.encode() + b" " * (1 << 20))))[1])
 
 
+def test_every_copy_of_a_wrapped_secret_is_found():
+    rng = random.Random(5)
+    b64 = lambda b: base64.b64encode(b).decode()
+    wraps = [
+        lambda t: "".join(f"%{b:02X}" for b in t.encode()), lambda t: "".join(f"\\u{ord(c):04x}" for c in t), lambda t: "".join(f"&#{ord(c)};" for c in t),
+        lambda t: b64(t.encode()), lambda t: b64(gzip.compress(t.encode())), lambda t: b64(bz2.compress(t.encode())), lambda t: b64(lzma.compress(t.encode())),
+    ]
+    for case in range(60):
+        plain = f"token = {rng.getrandbits(60):x}zz{case}"
+        body = plain
+        for _ in range(rng.randrange(1, 4)):
+            body = rng.choice(wraps)(body)
+        other = wraps[3](f"password={rng.getrandbits(60):x}".encode().decode())
+        text, places = "start", []
+        for part in (body, other, body, body, other):
+            text += rng.choice([" ", "\n\n", " é, "])
+            places.append((len(text), len(text) + len(part)))
+            text += part
+        every = secrets.find_secrets(text)[1]
+        for a, b in places:
+            assert any(a <= s < e <= b for s, _, e in every), (case, a, b)
+        left = secrets.masked(text, every)
+        assert body not in left and other not in left and secrets.find_secrets(left)[1] == []
+    strong = base64.b64encode(lzma.compress(b"password=hunter2secret" + rng.randbytes(2000), preset=9)).decode()
+    assert any(k == 0 for _, k, _ in secrets.find_secrets(strong)[1])
+    damaged = base64.b64encode(gzip.compress(b"password=hunter2secret " * 3)[:-9]).decode()
+    assert any(k == 0 for _, k, _ in secrets.find_secrets(damaged)[1])
+
+
+def test_merged_ids_equal_the_library(spark, smoke):
+    rng = random.Random(8)
+    for name in ("word_bpe_49k.json", "byte_bpe_50k.json"):
+        path = public_tokenizers.path(name)
+        pieces = {"".join(rng.choices("abcdefghiklmnorstu", k=rng.randrange(1, 30))) for _ in range(4000)}
+        pieces |= {"".join(rng.choices("aé日ß😀1-'", k=rng.randrange(1, 12))) for _ in range(1000)} | {"a" * 200, "ab" * 31, "x"}
+        pieces, model = sorted(pieces), tokens.load(path)[0].model
+        want = [np.array([t.id for t in model.tokenize(tokens.as_letters(p))], "<u4").tobytes() for p in pieces]
+        assert tokens.Merger(path).ids(pieces) == want
+
+
+def test_caches_that_turn_over_change_no_id(spark, smoke, monkeypatch):
+    path = public_tokenizers.path("word_bpe_49k.json")
+    texts = texts_of(spark, smoke)[:60] + [None, "", " "]
+    column = pa.array(["skipped", *texts], pa.string()).slice(1)
+    want = list(tokens.ChunkIds(path).encode_column(column))
+    assert want == [tokens.ChunkIds(path).encode(t) for t in texts]
+    monkeypatch.setattr(tokens, "BLOCK_BYTES", 500)
+    small = tokens.ChunkIds(path)
+    small.chunks, small.pieces = tokens.Recent(50), tokens.Recent(20)
+    assert list(small.encode_column(column)) == want
+
+
+def test_arrow_splits_where_python_does():
+    every = [f"a{chr(c)}b" for c in range(0x110000) if not 0xD800 <= c < 0xE000 and not 0x1C <= c <= 0x1F]
+    got = pc.utf8_split_whitespace(pa.array(every)).to_pylist()
+    assert [x for x, y in zip(every, got) if x.split() != y] == []
+
+
 def test_chat_round_trip_and_loss(spark):
     words = ["<|im_end|>", "\\", "<|", "<\\|", "\n", "ok", "é", "", "\\n", "<"]
     rng = random.Random(3)
