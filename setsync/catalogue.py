@@ -346,7 +346,7 @@ def savings(spark, folder):
 
 
 def crossover_hybrid(spark, folder):
-    rows = settled(experiment_charged(spark, folder).unionByName(experiment_charged_high(spark, folder).where("similarity_pct % 5 <> 0")), "measures", 1)
+    rows = settled(charged(spark, folder, sorted({*workloads.FULL_RANGE, *workloads.HIGH_RANGE}), CHARGED), "measures", 1)
     parts = [sweep.crossover(rows, "sliced_hybrid", other) for other in CHARGED[1:]]
     return parts[0].unionByName(parts[1]).unionByName(parts[2]).unionByName(parts[3])
 

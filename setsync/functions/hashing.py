@@ -124,7 +124,8 @@ def portable_np(digest: np.ndarray, *salt: int) -> np.ndarray:
     """Twin of ``Portable.mix``: md5 knows no vectors, so this is for oracles and small sets."""
     end = "".join(f":{s}" for s in salt).encode()
     md5 = hashlib.md5
-    return np.array([int(md5(b"%d%b" % (x, end)).hexdigest()[:15], 16) for x in np.asarray(digest, np.int64).tolist()], np.int64)
+    first = b"".join([md5(b"%d%b" % (x, end)).digest()[:8] for x in np.asarray(digest, np.int64).tolist()])
+    return (np.frombuffer(first, ">u8") >> np.uint64(4)).astype(np.int64)
 
 
 def mixed_np(dialect: str, digest: np.ndarray, *salt: int) -> np.ndarray:

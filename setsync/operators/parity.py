@@ -21,7 +21,7 @@ from setsync.functions.hashing import DIALECTS
 from setsync.operators.syndrome import small_field
 from setsync.operators.transfer import payload_lines
 from setsync.plans import ledger
-from setsync.sources.messages import settled
+from setsync.sources.messages import settled, spread
 
 PER_GROUP, ROUNDS, TARGET = 5, 3, 0.99
 WIDTHS = range(6, 12)
@@ -114,7 +114,7 @@ def decoded_bins(differing: DataFrame, keys: list[str]) -> DataFrame:
     # Some groups to a task: a hash of the group deals them out, a thousand or so together.
     dealt = differing.withColumn("_deal", F.pmod(F.xxhash64("grp"), F.ceil((F.col("groups") + 1) / 1024).cast("long")))
     kept = dealt.select("run_id", "_deal", *keys[1:], "q", "t", "bin")
-    return kept.groupBy("run_id", "_deal").applyInPandas(run, "run_id string, grp long, split long, bin long")
+    return spread(kept, "run_id", "_deal").groupBy("run_id", "_deal").applyInPandas(run, "run_id string, grp long, split long, bin long")
 
 
 def parity_groups(elements: DataFrame, d_hat: DataFrame, per_group: int = PER_GROUP, rounds: int = ROUNDS, target: float = TARGET, dialect: str = "fast", most_rounds: int = 12) -> tuple[DataFrame, DataFrame]:

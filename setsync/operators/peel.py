@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from setsync.functions.hashing import DIALECTS, check_np
 from setsync.operators.cells import cell_positions, positions_np
-from setsync.sources.messages import ensure_checkpoints
+from setsync.sources.messages import ensure_checkpoints, spread
 
 SCHEMA = "run_id string, shard int, digest long, side int, decoded boolean, cells_used long"
 
@@ -126,7 +126,7 @@ def peel_local(cells: DataFrame, size: int | None = None, exact_prefix: bool = F
             }
         )
 
-    return cells.groupBy("run_id", "shard").applyInPandas(run, SCHEMA)
+    return spread(cells, "run_id", "shard").groupBy("run_id", "shard").applyInPandas(run, SCHEMA)
 
 
 def peel_relational(cells: DataFrame, size: int, dialect: str = "fast", max_rounds: int = 60) -> DataFrame:

@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 
 from setsync.functions.hashing import DIALECTS, mixed_np
 from setsync.plans.costs import slice_bits
+from setsync.sources.messages import spread
 
 SCOPE = ["run_id", "shard"]
 
@@ -87,8 +88,8 @@ def test_in_shards(source: DataFrame, suspects: DataFrame, first: int, last: int
         return kernel(a, b)
 
     # Fresh names, as both sides may come from one frame.
-    apart = source.select(*SCOPE, "digest").toDF("run_id_", "shard_", "digest").groupBy("run_id_", "shard_")
-    return apart.cogroup(suspects.groupBy(*SCOPE)).applyInPandas(grouped, schema)
+    apart = spread(source.select(*SCOPE, "digest").toDF("run_id_", "shard_", "digest"), "run_id_", "shard_").groupBy("run_id_", "shard_")
+    return apart.cogroup(spread(suspects, *SCOPE).groupBy(*SCOPE)).applyInPandas(grouped, schema)
 
 
 def rejects_by_slice(tested: DataFrame, sizes: DataFrame, last: int, per: list[str] = ["run_id"], weight: str | None = None) -> DataFrame:

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from setsync.operators.transfer import payload_lines
 from setsync.plans import ledger
 from setsync.plans.costs import DIGEST_BYTES
-from setsync.sources.messages import settled
+from setsync.sources.messages import settled, spread
 
 #: Low terms of the field polynomials by width.
 FIELD = {16: 0x2B, 32: 0x8D, 64: 0x1B}
@@ -286,4 +286,4 @@ def syndrome_sketch(elements: DataFrame, capacity: int, width: int = 64) -> Data
             "side": pd.array(np.where(own, 1, -1).tolist() or [None], "Int32"), "decoded": [found is not None] * n,
         })
 
-    return elements.groupBy("run_id", "shard").applyInPandas(run, "run_id string, shard int, digest long, side int, decoded boolean")
+    return spread(elements, "run_id", "shard").groupBy("run_id", "shard").applyInPandas(run, "run_id string, shard int, digest long, side int, decoded boolean")

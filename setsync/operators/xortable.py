@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from setsync.functions.hashing import DIALECTS, below_np
 from setsync.operators.peel import SCHEMA, Cells, peel
+from setsync.sources.messages import spread
 
 
 def table_spots(elements: DataFrame, cells: int, k: int, dialect: str = "fast", salt: int = 900) -> DataFrame:
@@ -62,7 +63,7 @@ def list_table(table: DataFrame, cells: int, k: int = 3, salt: int = 900) -> Dat
             }
         )
 
-    return table.groupBy("run_id", "shard").applyInPandas(run, SCHEMA)
+    return spread(table, "run_id", "shard").groupBy("run_id", "shard").applyInPandas(run, SCHEMA)
 
 
 def table_reconcile(elements: DataFrame, cells: int, k: int = 3, salt: int = 900) -> DataFrame:

@@ -16,7 +16,7 @@ from setsync.plans import ledger
 from setsync.plans.costs import CELLS_PER_DIFFERENCE
 from setsync.plans.hybrid import reconcile_cells
 from setsync.sources.elements import LEFT, RIGHT
-from setsync.sources.messages import settled
+from setsync.sources.messages import settled, spread
 
 GRID = [k / 200 for k in range(1, 101)]
 
@@ -62,7 +62,7 @@ def static_counts(elements: DataFrame, eps: list[float], dialect: str = "fast")
         rows = kernel(ids[side == LEFT], ids[side == RIGHT])
         return pd.DataFrame([(pdf.run_id.iloc[0], *r) for r in rows], columns=["run_id", "eps", "bits_1", "bits_2", "leaks", "wanted"])
 
-    each = elements.select(*SCOPE, "side", "digest").groupBy(*SCOPE).applyInPandas(run, "run_id string, eps double, bits_1 long, bits_2 long, leaks long, wanted long")
+    each = spread(elements.select(*SCOPE, "side", "digest"), *SCOPE).groupBy(*SCOPE).applyInPandas(run, "run_id string, eps double, bits_1 long, bits_2 long, leaks long, wanted long")
     return settled(each.groupBy("run_id", "eps").agg(*[F.sum(c).alias(c) for c in ("bits_1", "bits_2", "leaks", "wanted")]), "rates", 1)
 
 

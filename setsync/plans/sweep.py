@@ -18,7 +18,7 @@ from setsync.plans.hybrid import Phase, difference_found, filter_phases, hybrid_
 from setsync.plans.costs import CELLS_PER_DIFFERENCE, DIGEST_BYTES, leak_cost_bits
 from setsync.plans.static_hybrid import static_counts, static_ledger
 from setsync.sources.elements import LEFT, RIGHT
-from setsync.sources.messages import settled
+from setsync.sources.messages import settled, spread
 
 STATIC_RATES = [0.01, 0.05, 0.10, 0.25]
 
@@ -226,7 +226,7 @@ def method_times(elements: DataFrame, cost_bits: float | None = None, rate: floa
             charge("syndrome_sketch", 1, began)
         return pd.DataFrame([(pdf.run_id.iloc[0], k, a, b, a + b) for k, (a, b) in spent.items()], columns=["run_id", "method", "encode_ms", "decode_ms", "compute_ms"])
 
-    return elements.select("run_id", "side", "digest").groupBy("run_id").applyInPandas(run, "run_id string, method string, encode_ms double, decode_ms double, compute_ms double")
+    return spread(elements.select("run_id", "side", "digest"), "run_id").groupBy("run_id").applyInPandas(run, "run_id string, method string, encode_ms double, decode_ms double, compute_ms double")
 
 
 def converged(elements: DataFrame, trace) -> DataFrame:

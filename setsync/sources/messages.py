@@ -36,6 +36,16 @@ def settled(df: DataFrame, name: str = "part", files: int | None = None) -> Data
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def spread(df: DataFrame, *keys: str) -> DataFrame:
+    """Rows dealt by key over as many tasks as the cluster has use for.
+
+    For scopes whose work is not in their bytes: without a number of its own the shuffle's small
+    partitions are joined up by size, and a few tasks do everything.
+    """
+    spark = df.sparkSession
+    return df.repartition(max(int(spark.conf.get("spark.sql.shuffle.partitions")), 4 * spark.sparkContext.defaultParallelism), *keys)
+
+
 def ensure_checkpoints(spark: SparkSession) -> None:
     """``checkpoint()`` needs a folder; only local sessions without one get their own."""
     shared_table(spark, "unused")
