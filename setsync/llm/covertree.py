@@ -26,11 +26,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from setsync.llm.shared import connected_components, cut, stored, table
+from setsync.llm.shared import bounded_batches, connected_components, cut, stored, table
 
 COSINE = 0.98
-#: Distinct vectors that the upper levels are built from, over all labels, at most; a label sends four for each full cell.
-ANCHORS = 8192
+#: Distinct vectors that the upper levels are built from, over all labels, at most; a label of more than one cell sends four for each full cell.
+ANCHORS = 4096
+#: Distances to anchors that are held at once.
+HELD = 1 << 20
 #: Home vectors of a cell in one group.
 CELL_ROWS = 4000
 LEAF = 24
@@ -147,26 +149,34 @@ def spots_task(anchors: dict, chunks: dict | None, reach: float):
     plane midway between the two is within ``reach`` of x, for beyond it no vector is at home in h.
     """
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, int, pd.DataFrame]]:
         for batch in batches:
-            pdf = batch.to_pandas()
+            for (label, dim), own in batch.to_pandas().groupby(["label", "dim"], sort=False):
+                step = max(1, HELD // len(anchors.get((label, dim), (0,))))
+                for at in range(0, len(own), step):
+                    yield label, dim, own[at : at + step]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for label, dim, own in blocks(batches):
             out = []
-            for (label, dim), own in pdf.groupby(["label", "dim"], sort=False):
-                raw = np.stack([np.frombuffer(v, "<f8") for v in own.vec])
-                x, centres = unit(raw), anchors[(label, dim)]
+            centres = anchors.get((label, dim))
+            if centres is None:  # a label of one cell, or one beyond the number of anchors
+                home, visits = np.zeros(len(own), np.int64), np.ones((len(own), 1), bool)
+            else:
+                x = unit(np.stack([np.frombuffer(v, "<f8") for v in own.vec]))
                 square = np.maximum(0, 2 - 2 * x @ centres.T)
                 home = square.argmin(1)
-                if chunks is None:
-                    cells, sizes = np.unique(home, return_counts=True)
-                    out.append((np.full(len(cells), label), np.full(len(cells), dim), cells, sizes))
-                    continue
-                between = np.sqrt(np.maximum(1e-300, 2 - 2 * centres @ centres.T))
-                plane = (square - square[np.arange(len(x)), home][:, None]) / (2 * between[home])
-                visits = plane <= reach + SLACK
+            if chunks is None:
+                cells, sizes = np.unique(home, return_counts=True)
+                out.append((np.full(len(cells), label), np.full(len(cells), dim), cells, sizes))
+            if chunks is not None and centres is not None:
+                between = np.sqrt(np.maximum(1e-300, 2 - 2 * centres[home] @ centres.T))
+                visits = (square - square[np.arange(len(x)), home][:, None]) / (2 * between) <= reach + SLACK
                 visits[np.arange(len(x)), home] = True
+            if chunks is not None:
                 rep = own.rep.to_numpy(np.int64)
                 rows, cells = np.nonzero(visits)
-                many = np.array([chunks.get((label, dim, c), 1) for c in range(len(centres))], np.int64)
+                many = np.array([chunks.get((label, dim, c), 1) for c in range(visits.shape[1])], np.int64)
                 # Of a cell in n chunks, group (i, j) has the home vectors of chunk i and all vectors of chunk j.
                 chunk = (rep[rows] * 2_654_435_761 % (1 << 31)) % many[cells]
                 at_home = cells == home[rows]
@@ -206,6 +216,7 @@ def group_task(cosine: float):
 
 def link_vectors(vectors: DataFrame, cosine: float = COSINE, anchors: int = ANCHORS, cell_rows: int = CELL_ROWS) -> DataFrame:
     """``vec_id, n_links, component_id, kept``: one row for every row of ``vec_id, embedding, label``."""
+    bounded_batches(vectors.sparkSession)
     reach = float(np.sqrt(2 - 2 * cosine))
     doubles = F.col("embedding").cast("array<double>")
     finite = F.forall(doubles, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < float("inf")))
@@ -216,19 +227,21 @@ def link_vectors(vectors: DataFrame, cosine: float = COSINE, anchors: int = ANCH
     classes = classes.withColumn("dim", F.size("embedding"))
     # Doubles in native order, eight bytes each, as the kernels read them.
     packed = stored(classes.mapInArrow(pack_task, "label long, dim long, rep long, weight long, vec binary"))
-    per_label = packed.groupBy("label", "dim").count().count()
-    if not per_label:
+    if not packed.limit(1).count():
         return rows.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
-    share = max(1, anchors // per_label)
+    # A label that fills no more than a cell needs no anchors; of the others the largest get them, so their number is bounded.
+    large = packed.groupBy("label", "dim").agg(F.count("*").alias("_n")).where(F.col("_n") > cell_rows).orderBy(F.desc("_n"), "label", "dim").limit(anchors)
+    large = cut(large)
+    share = max(1, anchors // max(1, large.count()))
     most = W.partitionBy("label", "dim").orderBy(F.xxhash64("rep"), "rep")
-    wanted = packed.groupBy("label", "dim").agg(F.least(F.lit(share), F.ceil(F.count("*") / F.lit(cell_rows / 4))).alias("_want"))
-    chosen = packed.withColumn("_turn", F.row_number().over(most)).where(F.col("_turn") <= share).join(wanted, ["label", "dim"]).where("_turn <= _want").drop("_turn", "_want")
+    wanted = large.select("label", "dim", F.least(F.lit(share), F.ceil(F.col("_n") / F.lit(cell_rows / 4))).alias("_want"))
+    chosen = packed.join(F.broadcast(wanted), ["label", "dim"]).withColumn("_turn", F.row_number().over(most)).where(f"_turn <= {share}").where("_turn <= _want").drop("_turn", "_want")
     centres: dict = {}
     for (label, dim), own in chosen.toPandas().groupby(["label", "dim"]):
         points = unit(np.stack([np.frombuffer(v, "<f8") for v in own.sort_values("rep").vec]))
         centres[(label, dim)] = points[upper_levels(points, reach)]
     spread = packed.mapInArrow(spots_task(centres, None, reach), "label long, dim long, cell long, n long")
-    # At most ``anchors`` cells, so at most as many rows reach the driver.
+    # A row for each cell above ``cell_rows``: at most ``anchors``, but for labels beyond that number.
     sizes = spread.groupBy("label", "dim", "cell").agg(F.sum("n").alias("rows")).where(F.col("rows") > cell_rows).collect()
     chunks = {(r.label, r.dim, r.cell): -(-r["rows"] // cell_rows) for r in sizes}
     spots = packed.mapInArrow(spots_task(centres, chunks, reach), "label long, dim long, cell long, part long, other long, home boolean, target boolean, rep long, weight long, vec binary")
