@@ -2,6 +2,12 @@
 
 Each stage works on all rows that the one before kept, and its result is written as Parquet and read
 again. All but the last return the columns of ``documents`` as they came (extra ones included).
+
+Defined cases: a null or empty text is scored as one blank word, is a near copy of the other empty ones,
+has no secrets, takes no words of the mix and so leaves there; rows without an id stay through the
+near-duplicate stage; rows that repeat an id stay if their texts are unlike; rows of a null language
+use the common threshold and those of a null source are a source of their own; ties fall to the
+smallest id; texts of any length are taken whole; an empty table gives no rows.
 """
 
 from __future__ import annotations
