@@ -258,9 +258,17 @@ def test_pipeline_stages_keep_columns_and_take_effect(spark, smoke):
 
 
 def test_pipeline_on_odd_rows(spark, smoke):
-    docs = odd(spark)
-    for _, stage in corpus_pipeline.STAGES:
-        docs = shared.stored(stage(spark, docs, smoke))
+    docs = shared.stored(corpus_pipeline.drop_toxic(spark, odd(spark), smoke))
+    assert docs.columns == odd(spark).columns
+    near = shared.stored(corpus_pipeline.drop_near_copies(spark, odd(spark), smoke))
+    kept = {r.doc_id: r.text for r in near.collect()}
+    assert near.count() == 4 and kept == {1: None, 4: "same words here", None: "no id at all", 6: "long " * 9000}
+    safe = shared.stored(corpus_pipeline.mask_secrets(spark, near, smoke))
+    assert {r.doc_id: r.text for r in safe.collect()} == kept
+    mixed = shared.stored(corpus_pipeline.mix_sources(spark, safe, smoke))
+    assert mixed.columns == odd(spark).columns and {r.doc_id for r in mixed.select("doc_id").collect()} <= {4, None, 6}
+    packed = corpus_pipeline.pack_sequences(spark, mixed, smoke).collect()
+    assert len({(r.sequence_id, r.offset) for r in packed}) == len(packed) and all(len(r.ids) == 4 * r.length for r in packed)
     empty = odd(spark).limit(0)
     for _, stage in corpus_pipeline.STAGES:
         empty = shared.stored(stage(spark, empty, smoke))
