@@ -21,7 +21,7 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -131,6 +131,15 @@ def signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
+def spot(part: int, bucket: Column, probe: bool) -> Column:
+    return F.struct(F.lit(part).alias("part"), bucket.alias("bucket"), F.lit(probe).alias("probe"))
+
+
+def around(part: int, home: Column):
+    """Spark counts a lambda's parameters, defaults included, so what a part binds is bound here."""
+    return lambda x: spot(part, home.bitwiseXOR(x), True)
+
+
 def probe_rows(prints: DataFrame, plan: list[tuple[int, int]]) -> DataFrame:
     """``part, bucket, fp, probe``: each fingerprint at home in every part, and as a probe around it."""
     parts = []
@@ -138,11 +147,10 @@ def probe_rows(prints: DataFrame, plan: list[tuple[int, int]]) -> DataFrame:
         bits = [b for b in range(64) if mask >> b & 1]
         flips = [signed(sum(1 << b for b in some)) for k in range(1, share) for some in combinations(bits, k)]
         home = F.col("fp").bitwiseAND(F.lit(signed(mask)))
-        spot = lambda bucket, probe, part=part: F.struct(F.lit(part).alias("part"), bucket.alias("bucket"), F.lit(probe).alias("probe"))
-        parts.append(F.array(spot(home, False)))
+        parts.append(F.array(spot(part, home, False)))
         if flips:  # one literal, however large the ball
             ball = F.split(F.lit(",".join(map(str, flips))), ",").cast("array<long>")
-            parts.append(F.transform(ball, lambda x, home=home, spot=spot: spot(home.bitwiseXOR(x), True)))
+            parts.append(F.transform(ball, around(part, home)))
     return prints.select("fp", F.explode(F.concat(*parts)).alias("s")).select("s.part", "s.bucket", "fp", "s.probe")
 
 

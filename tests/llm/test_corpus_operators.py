@@ -1,6 +1,7 @@
 """Operators over whole tables against brute force: groups, links, mixing, the pipeline."""
 
 import random
+from itertools import combinations
 
 import numpy as np
 import pytest
@@ -73,6 +74,22 @@ def test_ball_probes_lose_no_link(spark, plan, monkeypatch):
     test_hamming_links_connect_what_brute_force_connects(spark, 20_000)
 
 
+def test_large_tables_are_probed_by_balls(spark):
+    rng = np.random.default_rng(3)
+    sample = rng.integers(0, 2**63, 2048).astype(np.uint64)
+    plan = simhash.plan_parts(sample, 3_000_000)
+    assert max(share for _, share in plan) > 1  # as with the fingerprints of 6 GB of documents
+    rows = simhash.probe_rows(spark.createDataFrame([(7,), (-1,)], "fp long"), plan).collect()
+    for part, (mask, share) in enumerate(plan):
+        want = {(fp, bucket) for fp in (7, -1) for bucket in ball(fp % (1 << 64) & mask, mask, share)}
+        assert {(r.fp, r.bucket % (1 << 64)) for r in rows if r.part == part} == want
+
+
+def ball(home, mask, share):
+    bits = [b for b in range(64) if mask >> b & 1]
+    return [home ^ sum(1 << b for b in some) for k in range(share) for some in combinations(bits, k)]
+
+
 def test_simhash_groups(spark, smoke):
     docs = shared.table(spark, smoke, "documents")
     rows = docs.orderBy("doc_id").collect()
