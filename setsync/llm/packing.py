@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from setsync.llm.shared import bounded_batches, stored, table
+from setsync.llm.shared import bounded_batches, lean_worker, stored, table
 from setsync.llm.tokens import chunk_ids
 
 ROOM = 4096
@@ -76,6 +76,9 @@ class BestFit:
 PIECES = "doc_id long, piece int, start long, length long, {ids}, bin long, offset long, open boolean"
 #: What stands for a piece's ids: themselves, or their checksum alone, so that they need not be stored.
 IDS = {"ids": ("ids binary", pa.binary(), bytes), "crc": ("ids_crc32 long", pa.int64(), zlib.crc32)}
+#: Entries of the encoder's caches and bytes of a block of texts: smaller where ids are stored, as in a
+#: pipeline, whose executors also hold what earlier stages left and the writers' blocks of ids.
+CACHES = {"ids": (100_000, 2 << 20), "crc": (400_000, 4 << 20)}
 
 
 def pack_task(path: str, room: int, open_bins: int, spell: str = "ids"):
@@ -87,7 +90,8 @@ def pack_task(path: str, room: int, open_bins: int, spell: str = "ids"):
         return pa.record_batch([pa.array(c, k) for c, k in zip(cols, kinds)], names=["doc_id", "piece", "start", "length", column.split()[0], "bin", "offset", "open"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, fit = chunk_ids(path), BestFit(room, open_bins)
+        lean_worker("packing")
+        encoder, fit = chunk_ids(path, *CACHES[spell]), BestFit(room, open_bins)
         base = TaskContext.get().partitionId() << 36
         end = np.array([END_ID], "<u4").tobytes()
         held: dict[int, list[tuple]] = {}  # pieces of open bins: at most ``open_bins * room`` tokens

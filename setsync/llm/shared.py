@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -23,6 +25,22 @@ def bounded_batches(spark: SparkSession) -> None:
         spark.conf.set(name, str(BATCH_ROWS))
 
 
+#: What workers keep between tasks, by operator.
+KEPT: dict[str, dict] = {}
+
+
+def lean_worker(name: str) -> None:
+    """Workers serve one stage after the other: lets go what other operators kept and gives free memory back to the system."""
+    for other, kept in KEPT.items():
+        if other != name:
+            kept.clear()
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

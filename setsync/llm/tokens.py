@@ -272,9 +272,9 @@ class Recent:
 class ChunkIds:
     """Ids of texts whose vocabulary lower-cases, composes and drops white space, by distinct chunks of a block of texts."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, entries: int = 2 * CACHE, block_bytes: int = BLOCK_BYTES):
         self.tokenizer, self.added = load(path)
-        self.merger, self.chunks, self.pieces = merger(path), Recent(), Recent()
+        self.merger, self.chunks, self.pieces, self.block_bytes = merger(path), Recent(entries), Recent(entries), block_bytes
 
     def learn(self, chunks: list[str]) -> None:
         text = unicodedata.normalize("NFC", "\n".join(chunks))
@@ -322,11 +322,11 @@ class ChunkIds:
         return out
 
     def encode_column(self, column: pa.Array) -> Iterator[bytes]:
-        """Little-endian unsigned 32-bit ids of each text, in blocks of about ``BLOCK_BYTES``."""
+        """Little-endian unsigned 32-bit ids of each text, in blocks of about ``block_bytes``."""
         sizes = np.cumsum(pc.fill_null(pc.binary_length(column), 0).to_numpy())
         at = 0
         while at < len(column):
-            upto = max(at + 1, int(np.searchsorted(sizes, (sizes[at - 1] if at else 0) + BLOCK_BYTES, "right")))
+            upto = max(at + 1, int(np.searchsorted(sizes, (sizes[at - 1] if at else 0) + self.block_bytes, "right")))
             yield from self.encode_block(column.slice(at, upto - at))
             at = upto
 
@@ -334,9 +334,9 @@ class ChunkIds:
         return self.encode_block(pa.array([text], pa.string()))[0]
 
 
-@lru_cache(maxsize=2)
-def chunk_ids(path: str) -> ChunkIds:
-    return ChunkIds(path)
+@lru_cache(maxsize=1)
+def chunk_ids(path: str, entries: int = 2 * CACHE, block_bytes: int = BLOCK_BYTES) -> ChunkIds:
+    return ChunkIds(path, entries, block_bytes)
 
 
 def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -6,6 +6,7 @@ import gzip
 import hashlib
 import lzma
 import random
+import zlib
 import re
 import zlib
 
@@ -436,3 +437,45 @@ def test_row_operators_take_odd_rows(spark):
     assert secrets.scan_secrets(docs).where("n_layers is not null").count() == len(ODD_ROWS)
     assert secrets.scan_secrets(docs.limit(0)).count() == 0
     assert pd.isna(secrets.masked(None, []))
+
+
+def test_toxicity_learns_from_all_labelled_rows(spark):
+    rng = random.Random(7)
+    filler = ["alpha", "beta", "gamma", "delta", "epsilon", "zeta", "eta", "theta"]
+    rows = [(k, " ".join([*rng.choices(filler, k=8), *(["awful"] if k % 2 else [])]), "xy"[k % 4 // 2], k % 2) for k in range(7500)]
+    docs = spark.createDataFrame([r[:3] for r in rows], "doc_id long, text string, lang string")
+    labels = spark.createDataFrame([(r[0], r[3]) for r in rows], "doc_id long, toxic int")
+    usable = sum(zlib.crc32(str(k).encode()) % 5 != 0 for k in range(7500))
+    assert usable > 5000 and toxicity.labelled_sample(docs, labels).count() == usable
+    model = toxicity.train(docs, labels)
+    scores = toxicity.Scorer(model).scores([r[1] for r in rows])
+    assert ((scores >= 0.5) == np.array([r[3] for r in rows])).mean() > 0.99
+    assert set(model.thresholds) == {None, "x", "y"}
+    again = toxicity.train(docs.repartition(7), labels.repartition(3))
+    assert np.array_equal(scores, toxicity.Scorer(again).scores([r[1] for r in rows])) and again.thresholds == model.thresholds
+
+
+def test_thresholds_take_every_score(spark):
+    rng = np.random.default_rng(8)
+    toxic = rng.integers(0, 2, 3000)
+    scores = 1 / (1 + np.exp(-(3 * toxic - 1 + rng.normal(0, 1, 3000))))
+    rows = spark.createDataFrame([(None, int(t), float(x)) for t, x in zip(toxic, scores)], "lang string, toxic int, score double")
+    bins = toxicity.score_bins(rows).collect()
+    assert sum(r.n for r in bins) == 3000 and sum(r.toxic for r in bins) == toxic.sum()
+    f1 = lambda at: 2 * toxic[scores >= at].sum() / ((scores >= at).sum() + toxic.sum())
+    assert f1(toxicity.calibrate(bins)) >= max(map(f1, scores)) - 0.005
+
+
+def test_packing_lets_other_operators_caches_go():
+    toxicity.SCORER.update(key=1, scorer=object())
+    shared.lean_worker("toxicity")
+    assert toxicity.SCORER
+    shared.lean_worker("packing")
+    assert not toxicity.SCORER
+    small = tokens.ChunkIds(public_tokenizers.path("word_bpe_49k.json"), *packing.CACHES["ids"])
+    texts = [f"word{k} longer-word{k} {k}" for k in range(120_000)]
+    want = tokens.chunk_ids(public_tokenizers.path("word_bpe_49k.json"))
+    for at in range(0, len(texts), 20_000):
+        block = pa.array(texts[at : at + 20_000])
+        assert list(small.encode_column(block)) == list(want.encode_column(block))
+    assert max(len(small.chunks.new), len(small.chunks.old)) < 100_000 + 60_000 < len(want.chunks.new) + len(want.chunks.old)
