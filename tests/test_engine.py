@@ -190,6 +190,23 @@ def test_stream_stops_where_the_batch_does(spark, tmp_path):
     assert state.suspects.count() == batch.status.where("suspect").count()
 
 
+def test_pairs_rank_only_the_lowest_orders(spark):
+    base = spark.range(40_000).select(F.col("id").alias("digest"), F.lit(8).alias("payload_bytes"))
+    runs = workloads.runs_table(spark, 300, [50.0, 90.0], 3)
+    for dialect in ("fast", "portable"):
+        order = workloads.order_of(F.col("digest"), F.col("trial"), dialect)
+        turns = base.withColumn("trial", F.explode(F.sequence(F.lit(0), F.lit(2))))
+        brute = workloads.ranked(turns, order).where("rank < 400").select("trial", "digest", "rank")
+        for about in (40_000, 10_000_000):  # a bad guess is mended
+            low = workloads.lowest(turns, 400, about, 3, dialect)
+            assert 1200 <= low.count() < 6000
+            assert low.join(brute, ["trial", "digest"]).count() == 1200
+        got = workloads.replica_pairs(base, runs, dialect, 3).select("run_id", "side", "digest").collect()
+        ranks = {(r.trial, r["rank"]): r.digest for r in brute.collect()}
+        want = {(x.run_id, side, ranks[x.trial, k]) for x in runs.collect() for side in (-1, 1) for k in range(x.n + x.u) if k < x.n - x.u or (k < x.n) == (side < 0)}
+        assert set(map(tuple, got)) == want and len(got) == len(want)
+
+
 def test_change_feed_keeps_cells(spark, tmp_path):
     left = frame(spark, range(100), []).drop("payload_bytes")
     feed = str(tmp_path / "feed")
