@@ -190,6 +190,20 @@ def test_stream_stops_where_the_batch_does(spark, tmp_path):
     assert state.suspects.count() == batch.status.where("suspect").count()
 
 
+def test_stream_waits_for_all_files_of_a_slice(spark, tmp_path):
+    messages.ensure_checkpoints(spark)
+    pair = frame(spark, range(2000), range(700, 2700)).persist()
+    left, right = pair.where("side < 0"), pair.where("side > 0")
+    batch = hybrid.run_phase(left, right, 1)
+    whole, path = str(tmp_path / "whole"), str(tmp_path / "parts")
+    slice_stream.write_slices(left, whole, 0, 9)
+    spark.read.schema(slice_stream.SLICE_SCHEMA).parquet(whole).repartition(3, "word_no").withColumn("part", F.col("slice")).write.partitionBy("part").parquet(path)
+    state = slice_stream.stream_slices(spark, path, right, leak_cost_bits(), checkpoint=str(tmp_path / "progress"))
+    stop = batch.stops.first().stop
+    assert state.stop == stop and state.overshoot == 9 - stop
+    assert {k: n for k, n, _ in state.trace} == {r.slice: r.new_rejects for r in batch.histogram.collect() if r.slice <= stop}
+
+
 def test_pairs_rank_only_the_lowest_orders(spark):
     base = spark.range(40_000).select(F.col("id").alias("digest"), F.lit(8).alias("payload_bytes"))
     runs = workloads.runs_table(spark, 300, [50.0, 90.0], 3)
