@@ -204,6 +204,15 @@ def test_stream_waits_for_all_files_of_a_slice(spark, tmp_path):
     assert {k: n for k, n, _ in state.trace} == {r.slice: r.new_rejects for r in batch.histogram.collect() if r.slice <= stop}
 
 
+def test_advice_and_ranges_read_their_tables(spark, smoke):
+    advice = catalogue.queries()["advise"](spark, smoke).collect()
+    sizes = {r.run_id: r for r in catalogue.queries()["replica_pair_sizes"](spark, smoke).collect()}
+    assert {(r.run_id, r.n, r.d) for r in advice if r.d >= 0} == {(k, r.n_a, r.d) for k, r in sizes.items()} and len(advice) == 12
+    keys = sorted({r[0] for r in table(spark, smoke, "orders").select("o_orderkey").collect()})
+    got = {(r.digest, r.side) for r in catalogue.queries()["worked_ranges"](spark, smoke).collect()}
+    assert got == {(keys[0], -1), (keys[1], -1), (keys[-2], 1), (keys[-1], 1)}
+
+
 def test_pairs_rank_only_the_lowest_orders(spark):
     base = spark.range(40_000).select(F.col("id").alias("digest"), F.lit(8).alias("payload_bytes"))
     runs = workloads.runs_table(spark, 300, [50.0, 90.0], 3)
