@@ -3,8 +3,8 @@
 Words hash into an embedding table; filters of several widths run over a text, the most each reaches
 anywhere is its feature, and a logistic layer scores the features. Only the place of each maximum
 learns. At scoring, a filter's product with every embedding is tabulated once, so a text costs one
-look-up and one addition per word, filter and offset. All labelled rows teach: shards are fitted beside
-each other and meet after every epoch. Thresholds per language are calibrated on the fifth of the labelled
+look-up and one addition per word, filter and offset. All labelled rows teach: their words are hashed once,
+shards are fitted beside each other and meet after every epoch. Thresholds per language are calibrated on the fifth of the labelled
 rows that was not fitted, by bins of their scores; they act on the flag alone, never on a score.
 
 Defined cases: null and empty texts have one blank word and so a score; repeated rows score alike;
@@ -15,9 +15,11 @@ of toxic labels (0 if there are none); a language without labels uses the common
 from __future__ import annotations
 
 import pickle
-import zlib
+import struct
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from itertools import islice
+from zlib import crc32
 
 import numpy as np
 import pandas as pd
@@ -49,21 +51,52 @@ BLOCK_WORDS = 100_000
 LEAST_TOXIC = 10
 
 
+def bucket(part: str) -> int:
+    return 1 + crc32(part.encode("utf-8", "surrogatepass")) % (BUCKETS - 1)
+
+
+class Stems(dict):
+    """Buckets of beginnings of words, worked out when first asked for; few words have one of their own."""
+
+    def __missing__(self, stem: str) -> int:
+        if len(self) > CACHE:
+            self.clear()
+        self[stem] = found = bucket(f"{stem}*")
+        return found
+
+
+STEM_BUCKETS = Stems()
+
+
 def buckets(word: str) -> tuple[int, ...]:
     """Buckets, 1 to ``BUCKETS - 1``, of a word and of its beginnings; bucket 0 is the blank."""
     bare = word.lower().strip(STRIP) or word
-    parts = [bare, *(f"{bare[:k]}*" if len(bare) >= k else "" for k in STEMS)]
-    return tuple(1 + zlib.crc32(p.encode("utf-8", "surrogatepass")) % (BUCKETS - 1) if p else 0 for p in parts)
+    return bucket(bare), *[STEM_BUCKETS[bare[:k]] if len(bare) >= k else 0 for k in STEMS]
+
 
+#: A word's buckets as bytes; one that has none stands for the blank.
+PACKED = struct.Struct(f"<{1 + len(STEMS)}H")
 
-def word_ids(text: str | None, known: dict[str, tuple[int, ...]]) -> np.ndarray:
-    """A row of buckets for each word of a text; a blank row for none."""
-    rows = []
-    for word in (text or "").split():
-        if word not in known:
-            known[word] = buckets(word)
-        rows.append(known[word])
-    return np.array(rows or [(0,) * (1 + len(STEMS))], np.int32)
+
+class PackedWords(dict):
+    """``buckets`` of words as bytes, worked out when first asked for."""
+
+    def __missing__(self, word: str) -> bytes:
+        self[word] = packed = PACKED.pack(*buckets(word))
+        return packed
+
+
+def shorten(known: dict) -> None:
+    """Lets go the later half of what was kept: frequent words come early, most later ones never again."""
+    for word in list(islice(known, CACHE // 2, None)):
+        del known[word]
+
+
+def word_ids(text: str | None, known: PackedWords) -> bytes:
+    """The buckets of each word of a text in turn; a blank for none. ``known`` is shortened when it has grown above ``CACHE``."""
+    if len(known) > CACHE:
+        shorten(known)
+    return b"".join(map(known.__getitem__, (text or "").split())) or bytes(PACKED.size)
 
 
 @dataclass
@@ -83,8 +116,20 @@ class Model:
         return np.concatenate([f[k] for f in self.filters for k in range(len(f))], 1)
 
 
-def padded(ids: np.ndarray) -> np.ndarray:
-    return np.concatenate([ids, np.zeros((max(WIDTHS) - 1, ids.shape[1]), np.int32)])
+def padded(packed: bytes) -> np.ndarray:
+    """A row of buckets for the words, one for each beginning; blanks at the end."""
+    ids = np.frombuffer(packed, "<u2").reshape(-1, 1 + len(STEMS)).T
+    out = np.zeros((len(ids), ids.shape[1] + max(WIDTHS) - 1), np.intp)
+    out[:, : ids.shape[1]] = ids
+    return out
+
+
+def word_vectors(table_: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """The sum of the embeddings of each word's buckets; ``ids``: as ``padded`` gives them."""
+    vectors = table_.take(ids[0], axis=0)
+    for part in ids[1:]:
+        vectors += table_.take(part, axis=0)
+    return vectors
 
 
 @dataclass
@@ -115,16 +160,18 @@ class Learner:
     def step(self, ids: np.ndarray, label: int, scale: float, rate: float = RATE) -> None:
         """``ids``: a text's padded buckets; ``scale``: the weight of its class."""
         model = self.model
-        n = len(ids) - max(WIDTHS) + 1
-        vectors = model.table[ids].sum(1)
-        places, tops = [], []
-        for f in model.filters:
-            out = vectors[:n] @ f[0]
-            for k in range(1, len(f)):
-                out += vectors[k : k + n] @ f[k]
-            at = out.argmax(0)
+        n = ids.shape[1] - max(WIDTHS) + 1
+        vectors = word_vectors(model.table, ids)
+        reach = model.kernel().T @ vectors.T
+        places, tops, row = [], [], 0
+        for width in WIDTHS:
+            out = reach[row : row + FILTERS, :n]
+            for k in range(1, width):
+                out += reach[row + k * FILTERS : row + (k + 1) * FILTERS, k : k + n]
+            row += width * FILTERS
+            at = out.argmax(1)
             places.append(at)
-            tops.append(out[at, np.arange(FILTERS)])
+            tops.append(out[np.arange(FILTERS), at])
         top = np.concatenate(tops) + model.shift
         hidden = np.maximum(top, 0)
         score = 1 / (1 + np.exp(-np.clip(hidden @ model.weights + model.bias, -30, 30)))
@@ -145,14 +192,14 @@ class Learner:
                 continue
             for k in range(len(f)):
                 at = places[w] + k
-                words = ids[at]
                 slope = vectors[at].T * own
                 pull = f[k].T * own[:, None]
                 seen[k] += slope**2
                 f[k] -= rate * slope / np.sqrt(seen[k])
-                for part in words.T:
-                    np.add.at(self.seen_table, part, (pull**2).mean(1))
-                    np.add.at(model.table, part, -rate * pull / np.sqrt(self.seen_table[part])[:, None])
+                square, pull = (pull**2).mean(1), -rate * pull
+                for part in ids[:, at]:
+                    np.add.at(self.seen_table, part, square)
+                    np.add.at(model.table, part, pull / np.sqrt(self.seen_table[part])[:, None])
         model.table[0] = 0
 
     def dense(self) -> list[np.ndarray]:
@@ -207,7 +254,7 @@ def fit(texts: list[str | None], labels: list[int], epochs: int = EPOCHS, seed:
     counts = {c: sum(int(y) == c for y in labels) for c in (0, 1)}
     if not counts[0] or not counts[1]:
         return constant(counts)
-    learner, rng, scale, known = Learner.new(seed), np.random.default_rng(seed), class_scales(counts), {}
+    learner, rng, scale, known = Learner.new(seed), np.random.default_rng(seed), class_scales(counts), PackedWords()
     rows = [padded(word_ids(t, known)) for t in texts]
     for _ in range(epochs):
         for r in rng.permutation(len(rows)):
@@ -216,18 +263,16 @@ def fit(texts: list[str | None], labels: list[int], epochs: int = EPOCHS, seed:
 
 
 def shard_task(shared, scale: dict[int, float], epoch: int):
-    """An epoch over one partition of ``text, toxic``, batch by batch: nothing but a batch is held."""
+    """An epoch over one partition of ``ids, toxic``, batch by batch: nothing but a batch is held."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        learner, known, steps = pickle.loads(shared.value), {}, 0
+        learner, steps = pickle.loads(shared.value), 0
         before = learner.seen_table.copy()
         rng = np.random.default_rng((SEED, epoch, TaskContext.get().partitionId()))
         for batch in batches:
-            texts, labels = batch.column(0), batch.column(1).to_pylist()
+            ids, labels = batch.column(0), batch.column(1).to_pylist()
             for r in rng.permutation(len(labels)).tolist():
-                if len(known) > CACHE:
-                    known.clear()
-                learner.step(padded(word_ids(texts[r].as_py(), known)), labels[r], scale[labels[r]])
+                learner.step(padded(ids[r].as_py()), labels[r], scale[labels[r]])
             steps += len(labels)
         if steps:
             yield pa.record_batch([pa.array([pickle.dumps(learner.moved(before))], pa.binary())], names=["part"])
@@ -236,7 +281,7 @@ def shard_task(shared, scale: dict[int, float], epoch: int):
 
 
 def fit_shards(rows: DataFrame, counts: dict[int, int], epochs: int = EPOCHS) -> Model:
-    """Fits on every row of ``text, toxic``: each partition goes on from the common model, and their outcomes meet after each epoch."""
+    """Fits on every row of ``ids, toxic``: each partition goes on from the common model, and their outcomes meet after each epoch."""
     learner, scale, context = Learner.new(), class_scales(counts), rows.sparkSession.sparkContext
     for epoch in range(epochs):
         shared = context.broadcast(pickle.dumps(learner))
@@ -245,49 +290,57 @@ def fit_shards(rows: DataFrame, counts: dict[int, int], epochs: int = EPOCHS) ->
     return back_to_shares(learner.model, counts)
 
 
+class Numbers(dict):
+    """Words numbered from 1 as they come."""
+
+    def __missing__(self, word: str) -> int:
+        self[word] = number = len(self) + 1
+        return number
+
+
 class Scorer:
     """Scores texts in blocks; keeps each known word's product with every filter, ``CACHE`` words at most."""
 
     def __init__(self, model: Model):
         self.model = model
         self.kernel = model.kernel()
-        self.forget()
+        self.known = Numbers()
+        self.rows = np.zeros((self.kernel.shape[1], 1 << 12), np.float32)  # place 0: the blank
 
-    def forget(self) -> None:
-        self.known: dict[str, int] = {}
-        self.rows = np.zeros((1, self.kernel.shape[1]), np.float32)  # row 0: the blank
 
-    def learn(self, words: list[str]) -> None:
-        vectors = self.model.table[np.array([buckets(w) for w in words], np.int32)].sum(1)
-        self.rows = np.concatenate([self.rows, vectors @ self.kernel])
+    def learn(self, words: list[str], first: int) -> None:
+        """Words that are numbered from ``first`` on."""
+        end = first + len(words)
+        if end > self.rows.shape[1]:
+            rows = np.zeros((len(self.rows), end + end // 2), np.float32)
+            rows[:, :first] = self.rows[:, :first]
+            self.rows = rows
+        vectors = word_vectors(self.model.table, np.frombuffer(b"".join([PACKED.pack(*buckets(w)) for w in words]), "<u2").reshape(len(words), -1).T)
+        self.rows[:, first:end] = (vectors @ self.kernel).T
 
     def block(self, texts: list[list[str]]) -> np.ndarray:
         if len(self.known) > CACHE:
-            self.forget()
-        known, new = self.known, []
-        for words in texts:
-            for w in words:
-                if w not in known:
-                    known[w] = len(known) + 1
-                    new.append(w)
-        if new:
-            self.learn(new)
+            shorten(self.known)
+            self.rows = self.rows[:, : 1 + len(self.known)].copy()
+        first, number = len(self.known) + 1, self.known.__getitem__
         m, gap = self.model, max(WIDTHS) - 1
         sizes = np.array([max(1, len(x)) for x in texts])
         starts = np.concatenate([[0], np.cumsum(sizes + gap)[:-1]])
         n = int((sizes + gap).sum())
-        flat = np.zeros(n, np.int32)
+        flat = np.zeros(n, np.intp)
         for at, words in zip(starts.tolist(), texts):
-            flat[at : at + len(words)] = [known[w] for w in words]
+            flat[at : at + len(words)] = list(map(number, words))
+        if len(self.known) >= first:
+            self.learn(list(islice(self.known, first - 1, None)), first)
         spans = np.stack([starts, starts + sizes], 1).ravel()
         tops, at = [], 0
         for width in WIDTHS:
-            out = np.zeros((n, FILTERS), np.float32)
+            out = np.zeros((FILTERS, n), np.float32)
             for k in range(width):
-                out[: n - k] += self.rows[flat[k:], at : at + FILTERS]
+                out[:, : n - k] += self.rows[at : at + FILTERS].take(flat[k:], axis=1)
                 at += FILTERS
-            tops.append(np.maximum.reduceat(out, spans, axis=0)[::2])
-        hidden = np.maximum(np.concatenate(tops, 1) + m.shift, 0)
+            tops.append(np.maximum.reduceat(out, spans, axis=1)[:, ::2])
+        hidden = np.maximum(np.ascontiguousarray(np.concatenate(tops).T) + m.shift, 0)
         return 1 / (1 + np.exp(-np.clip(hidden.astype(np.float64) @ m.weights.astype(np.float64) + m.bias, -30, 30)))
 
     def scores(self, texts) -> np.ndarray:
@@ -326,17 +379,57 @@ def score_bins(scored: DataFrame) -> DataFrame:
     return scored.groupBy("lang", logit.alias("bin")).agg(F.count("*").alias("n"), F.sum("toxic").alias("toxic"), F.min("score").alias("low"), F.max("score").alias("high"))
 
 
+#: Bits of the number of a word of the bitmap that ``likely_labelled`` makes: 2^25 marks, 16 bytes for 64 of them.
+MARK_BITS = 19
+
+
+def likely_labelled(docs: DataFrame, usable: DataFrame) -> DataFrame:
+    """``docs`` without most of the rows whose id is not in ``usable``; none that is there is lost.
+
+    Ids are marked in a bitmap of bounded size, so that texts without a label need not move to be joined;
+    the more labels there are, the more of those pass and meet the join.
+    """
+    if docs.schema["doc_id"].dataType != usable.schema["doc_id"].dataType:
+        return docs
+    place = F.xxhash64("doc_id", F.lit(SEED + 1))
+    word, bit = F.shiftrightunsigned(place, 64 - MARK_BITS), place.bitwiseAND(F.lit(63)).cast("int")
+    marks = usable.groupBy(word.alias("word")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), bit)).alias("marks"))
+    marked = docs.withColumn("word", word).withColumn("bit", bit).join(F.broadcast(marks), "word")
+    return marked.where("shiftright(marks, bit) & 1 = 1").drop("word", "bit", "marks")
+
+
 def labelled_sample(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """``doc_id, text, lang, toxic, turn`` of every labelled document but the held-out fifth; nothing is left out."""
     usable = labels.where("toxic in (0, 1) and doc_id is not null").groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     usable = usable.where(F.crc32(F.col("doc_id").cast("string").cast("binary")) % HOLD != 0).withColumn("turn", F.xxhash64("doc_id", F.lit(SEED)))
     lang = F.col("lang").cast("string") if "lang" in docs.columns else F.lit(None).cast("string")
-    rows = docs.select("doc_id", "text", lang.alias("lang")).join(usable, "doc_id")
+    rows = likely_labelled(docs.select("doc_id", "text", lang.alias("lang")), usable).join(usable, "doc_id")
     # Of rows that repeat an id one teaches.
     own = F.min_by(F.struct("text", "lang"), F.xxhash64("text")).alias("own")
     return rows.groupBy("doc_id").agg(own, F.max("toxic").alias("toxic"), F.max("turn").alias("turn")).select("doc_id", "own.*", "toxic", "turn")
 
 
+def worker_ids(texts: list) -> list[bytes | None]:
+    known = SCORER.setdefault("words", PackedWords())
+    return [word_ids(t, known) if isinstance(t, str) else None for t in texts]
+
+
+@F.pandas_udf(T.BinaryType())
+def ids_of(text: pd.Series) -> pd.Series:
+    """``word_ids`` of texts; null for null."""
+    return pd.Series(worker_ids(text.tolist()), dtype=object)
+
+
+def dealt(sample: DataFrame, shards: int) -> DataFrame:
+    """``lang, toxic, ids, text`` of a ``labelled_sample``, a partition for each shard: hashed words of the rows to fit, texts of those kept aside."""
+    fifth = F.pmod("turn", F.lit(5)) == 0
+    rows = sample.select(
+        "doc_id", "lang", "toxic", "turn",
+        ids_of(F.when(~fifth, F.coalesce("text", F.lit("")))).alias("ids"), F.when(fifth, F.coalesce("text", F.lit(""))).alias("text"),
+    )
+    return rows.repartition(shards, "doc_id").sortWithinPartitions("turn", "doc_id").select("lang", "toxic", "ids", "text")
+
+
 def train(docs: DataFrame, labels: DataFrame) -> Model:
     """Fits on four fifths of all labelled rows and calibrates the flags' thresholds on all of the rest.
 
@@ -345,10 +438,10 @@ def train(docs: DataFrame, labels: DataFrame) -> Model:
     """
     bounded_batches(docs.sparkSession)
     shards = max(1, min(SHARDS, -(-labels.where("toxic is not null").count() // SHARD_ROWS)))
-    rows = cut(labelled_sample(docs, labels).repartition(shards, "doc_id").sortWithinPartitions("turn", "doc_id"))
-    kept, aside = (rows.where((F.pmod("turn", F.lit(5)) == 0) == part) for part in (False, True))
+    rows = cut(dealt(labelled_sample(docs, labels), shards))
+    kept, aside = rows.where("ids is not null"), rows.where("ids is null")
     counts = {r.toxic: r["count"] for r in kept.groupBy("toxic").count().collect()}
-    model = fit_shards(kept.select("text", "toxic"), counts) if len(counts) == 2 else constant(counts)
+    model = fit_shards(kept.select("ids", "toxic"), counts) if len(counts) == 2 else constant(counts)
     bins = score_bins(aside.select("lang", "toxic", score_column(model, docs.sparkSession)(F.col("text")).alias("score"))).collect()
     model.thresholds = {None: calibrate(bins)}
     for lang in {r.lang for r in bins if r.lang is not None}:
@@ -376,6 +469,7 @@ def score_column(model: Model, spark: SparkSession):
 
 def worker_scorer(shared) -> Scorer:
     if SCORER.get("key") != id(shared.value):
+        SCORER.pop("words", None)
         SCORER.update(key=id(shared.value), model=shared.value, scorer=Scorer(shared.value))
     return SCORER["scorer"]
 

@@ -455,6 +455,44 @@ def test_toxicity_learns_from_all_labelled_rows(spark):
     assert np.array_equal(scores, toxicity.Scorer(again).scores([r[1] for r in rows])) and again.thresholds == model.thresholds
 
 
+def test_toxicity_scores_equal_a_plain_forward_pass(monkeypatch):
+    rng = np.random.default_rng(4)
+    texts = [" ".join(f"wörd{k}," for k in rng.zipf(1.3, rng.integers(0, 60)) % 500) for _ in range(300)]
+    model = toxicity.Learner.new().model
+
+    def plain(text):
+        rows = [toxicity.buckets(w) for w in text.split()] or [(0, 0, 0)]
+        vectors = np.array([model.table[list(r)].sum(0) for r in rows + [(0, 0, 0)] * 2])
+        reach = [max(sum(vectors[i + k] @ f[k][:, j] for k in range(len(f))) for i in range(len(rows))) for f in model.filters for j in range(toxicity.FILTERS)]
+        return 1 / (1 + np.exp(-(np.maximum(np.array(reach) + model.shift, 0) @ model.weights + model.bias)))
+
+    want = [plain(t) for t in texts]
+    monkeypatch.setattr(toxicity, "BLOCK_WORDS", 200)
+    kept = []
+    for cache in (10**6, 40):
+        monkeypatch.setattr(toxicity, "CACHE", cache)
+        scorer = toxicity.Scorer(model)
+        assert np.allclose(scorer.scores(texts), want, atol=1e-6)
+        kept.append(len(scorer.known))
+        known = toxicity.PackedWords()
+        for t in texts:
+            assert toxicity.word_ids(t, known) == (np.array([toxicity.buckets(w) for w in t.split()] or [(0, 0, 0)], "<u2").tobytes())
+    assert kept[1] < kept[0] <= 500
+
+
+def test_toxicity_moves_labelled_texts_alone(spark):
+    docs = spark.createDataFrame([(k % 20_000 if k else None, f"t{k}") for k in range(20_100)], "doc_id long, text string")
+    labels = spark.createDataFrame([(k, k % 2) for k in range(0, 20_000, 100)], "doc_id long, toxic int")
+    passed = [r.doc_id for r in toxicity.likely_labelled(docs, labels).collect()]
+    want = [k % 20_000 for k in range(1, 20_100) if k % 20_000 % 100 == 0]
+    assert not set(want) - set(passed) and len(passed) < 2 * len(want)
+    assert sorted(k for k in passed if k is not None and k % 100 == 0) == sorted(want)
+    other = labels.withColumn("doc_id", F.col("doc_id").cast("int"))
+    assert toxicity.likely_labelled(docs, other).count() == 20_100
+    ids = {r.doc_id for r in toxicity.labelled_sample(docs, other).collect()}
+    assert ids == {k for k in range(100, 20_000, 100) if zlib.crc32(str(k).encode()) % 5} | ({0} if zlib.crc32(b"0") % 5 else set())
+
+
 def test_thresholds_take_every_score(spark):
     rng = np.random.default_rng(8)
     toxic = rng.integers(0, 2, 3000)
