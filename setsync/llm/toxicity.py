@@ -4,7 +4,7 @@ Words hash into an embedding table; filters of several widths run over a text, t
 anywhere is its feature, and a logistic layer scores the features. Only the place of each maximum
 learns. At scoring, a filter's product with every embedding is tabulated once, so a text costs one
 look-up and one addition per word, filter and offset. All labelled rows teach: their words are hashed once,
-shards are fitted beside each other and meet after every epoch. Thresholds per language are calibrated on the fifth of the labelled
+shards, dealt by a value of the row, are fitted beside each other and meet after every epoch. Thresholds per language are calibrated on the fifth of the labelled
 rows that was not fitted, by bins of their scores; they act on the flag alone, never on a score.
 
 Defined cases: null and empty texts have one blank word and so a score; repeated rows score alike;
@@ -421,13 +421,17 @@ def ids_of(text: pd.Series) -> pd.Series:
 
 
 def dealt(sample: DataFrame, shards: int) -> DataFrame:
-    """``lang, toxic, ids, text`` of a ``labelled_sample``, a partition for each shard: hashed words of the rows to fit, texts of those kept aside."""
+    """``lang, toxic, ids, text`` of a ``labelled_sample``, a partition for each shard: hashed words of the rows to fit, texts of those kept aside.
+
+    A row's shard is a value of its id, so there are as many shards whatever the cluster deals rows into.
+    """
     fifth = F.pmod("turn", F.lit(5)) == 0
+    shard = F.pmod(F.hash("doc_id"), F.lit(shards))
     rows = sample.select(
-        "doc_id", "lang", "toxic", "turn",
+        "doc_id", "lang", "toxic", "turn", shard.alias("shard"),
         ids_of(F.when(~fifth, F.coalesce("text", F.lit("")))).alias("ids"), F.when(fifth, F.coalesce("text", F.lit(""))).alias("text"),
     )
-    return rows.repartition(shards, "doc_id").sortWithinPartitions("turn", "doc_id").select("lang", "toxic", "ids", "text")
+    return rows.repartitionById(shards, "shard").sortWithinPartitions("turn", "doc_id").select("lang", "toxic", "ids", "text")
 
 
 def train(docs: DataFrame, labels: DataFrame) -> Model:

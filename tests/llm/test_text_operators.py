@@ -493,6 +493,21 @@ def test_toxicity_moves_labelled_texts_alone(spark):
     assert ids == {k for k in range(100, 20_000, 100) if zlib.crc32(str(k).encode()) % 5} | ({0} if zlib.crc32(b"0") % 5 else set())
 
 
+def test_toxicity_shards_do_not_follow_the_partitions(spark, monkeypatch):
+    rows = [(k, f"alpha beta w{k % 50} {'awful' if k % 3 == 0 else 'fine'}", int(k % 3 == 0)) for k in range(900)]
+    docs = spark.createDataFrame([r[:2] for r in rows], "doc_id long, text string")
+    labels = spark.createDataFrame([(r[0], r[2]) for r in rows], "doc_id long, toxic int")
+    monkeypatch.setattr(toxicity, "SHARD_ROWS", 300)
+    met, meet = [], toxicity.Learner.meet
+    monkeypatch.setattr(toxicity.Learner, "meet", lambda self, parts: (met.append(len(parts)), meet(self, parts)))
+    score = lambda: toxicity.Scorer(toxicity.train(docs, labels)).scores([r[1] for r in rows])
+    first = score()
+    frame = type(docs)
+    plain = frame.repartition
+    monkeypatch.setattr(frame, "repartition", lambda self, n, *cols: plain(self, max(40, n) if cols and isinstance(n, int) else n, *cols))
+    assert np.array_equal(first, score()) and met == [3] * 2 * toxicity.EPOCHS
+
+
 def test_thresholds_take_every_score(spark):
     rng = np.random.default_rng(8)
     toxic = rng.integers(0, 2, 3000)
